@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, exact_dedup, packing, sentencepieces, simhash, sketches
+from . import chat, exact_dedup, language, packing, quality, sentencepieces, simhash, sketches, toxicity
 from .common import table
 
 
@@ -22,10 +22,22 @@ def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sentencepieces.encode_digests(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
 
 
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sketches.fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.predict_languages(table(spark, sf_dir, "documents"))
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"))
 
@@ -38,5 +50,5 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer_file("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_perspectives, op2_sentencepiece, op4_fingerprints, op8_exact_dedup, op9_simhash, op10_packing)}
+QUERIES = {f.__name__: f for f in (op1_chat_perspectives, op2_sentencepiece, op3_toxicity, op4_fingerprints, op6_language, op7_quality, op8_exact_dedup, op9_simhash, op10_packing)}
 ORACLE_SQL = {"op1_chat_perspectives": chat.ORACLE_SQL, "op8_exact_dedup": exact_dedup.ORACLE_SQL}
