@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, exact_dedup, language, packing, quality, sentencepieces, simhash, sketches, toxicity
+from . import chat, exact_dedup, language, packing, passages, quality, sentencepieces, simhash, sketches, toxicity
 from .common import table
 
 
@@ -30,6 +30,10 @@ def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sketches.fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op5_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passages.repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.predict_languages(table(spark, sf_dir, "documents"))
 
@@ -50,5 +54,5 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer_file("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_perspectives, op2_sentencepiece, op3_toxicity, op4_fingerprints, op6_language, op7_quality, op8_exact_dedup, op9_simhash, op10_packing)}
+QUERIES = {f.__name__: f for f in (op1_chat_perspectives, op2_sentencepiece, op3_toxicity, op4_fingerprints, op5_passages, op6_language, op7_quality, op8_exact_dedup, op9_simhash, op10_packing)}
 ORACLE_SQL = {"op1_chat_perspectives": chat.ORACLE_SQL, "op8_exact_dedup": exact_dedup.ORACLE_SQL}

@@ -242,7 +242,8 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS,
             own = [t for t in batch.column(0).to_pylist() if (hit := lexicon.match(t)) is not None and hit[0]]
             yield pa.RecordBatch.from_arrays([pa.array(own, pa.string())], ["term"])
 
-    seen = terms.filter("other > 0 and other * 3 > toxic and not endswith(term, '*')").orderBy(F.desc("other")).limit(1_000_000)
+    # neighbours seen in one clean document alone stay hits here, as new ones will when texts are scored
+    seen = terms.filter("other > 1 and other * 3 > toxic and not endswith(term, '*')").orderBy(F.desc("other")).limit(1_000_000)
     clean = {r["term"] for r in seen.select("term").mapInArrow(neighbours, "term string").limit(100_000).collect()} if lexicon_terms else set()
 
     def featured(batches):
