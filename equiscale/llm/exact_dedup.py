@@ -49,15 +49,18 @@ def repeat_filter(rows: DataFrame, words: int) -> DataFrame:
     return bits.groupBy("word", "b").agg(F.count("*").alias("n")).filter("n > 1").groupBy("word").agg(F.bit_or(_bit("b")).alias("bits"))
 
 
+def probe(rows: DataFrame, repeated: DataFrame, words: int) -> DataFrame:
+    """doc_id, text_sha256, maybe: whether another row may have the same text."""
+    placed = _places(rows, words).join(repeated.withColumnRenamed("word", "__w"), F.col("word") == F.col("__w"), "left")
+    mask = _bit("b1").bitwiseOR(_bit("b2"))
+    return placed.select("doc_id", "text_sha256", F.coalesce(F.col("bits").bitwiseAND(mask) == mask, F.lit(False)).alias("maybe"))
+
+
 def exact_groups(docs: DataFrame, *, bits_per_row: int = 24) -> DataFrame:
     """One row for each document: doc_id, keep_id, group_size, kept, text_sha256."""
     rows = cut(hashed(docs))
     words = filter_words(rows.count(), bits_per_row)
-    repeated = cut(repeat_filter(rows, words)).withColumnRenamed("word", "__w")
-    probed = _places(rows, words).join(repeated, F.col("word") == F.col("__w"), "left")
-    mask = _bit("b1").bitwiseOR(_bit("b2"))
-    maybe = F.coalesce(F.col("bits").bitwiseAND(mask) == mask, F.lit(False))
-    probed = cut(probed.select("doc_id", "text_sha256", maybe.alias("maybe")))
+    probed = cut(probe(rows, cut(repeat_filter(rows, words)), words))
     single = probed.filter("not maybe").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "text_sha256")
     again = probed.filter("maybe").select("doc_id", "text_sha256")
     groups = cut(again.groupBy("text_sha256").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))).withColumnRenamed("text_sha256", "__s")

@@ -32,18 +32,16 @@ def grams(batch: list[str]) -> tuple[np.ndarray, np.ndarray]:
     code = _PLAIN[np.frombuffer(b"".join(raw), np.uint8)]
     start = np.concatenate([[0], np.cumsum([len(r) for r in raw])])
     n = len(code)
+    code = np.concatenate([code, np.full(4, 32, np.uint8)])
     wide = code.astype(np.uint32)
-    three = np.zeros(n, np.uint32)
-    three[: n - 2] = wide[: n - 2] | (wide[1 : n - 1] << np.uint32(8)) | (wide[2:] << np.uint32(16))
-    four = np.zeros(n, np.uint32)
-    four[: n - 3] = three[: n - 3] | (wide[3:] << np.uint32(24))
+    three = wide[:n] | (wide[1 : n + 1] << np.uint32(8)) | (wide[2 : n + 2] << np.uint32(16))
+    four = three | (wide[3 : n + 3] << np.uint32(24))
     blank = code == 32
     out, pos = [], []
     for size, value in zip(GRAMS, (three, four)):
-        ok = np.zeros(n, bool)
-        ok[: n - size + 1] = ~blank[1 : n - size + 2]
+        ok = ~blank[1 : n + 1]
         for k in range(2, size - 1):
-            ok[: n - size + 1] &= ~blank[k : n - size + 1 + k]
+            ok &= ~blank[k : n + k]
         at = np.flatnonzero(ok)
         out.append(((value[at] * np.uint32(2654435761 + 2 * size)) >> np.uint32(17)).astype(np.int32))
         pos.append(at)

@@ -1,19 +1,25 @@
 """SimHash near-duplicates through Golay fuzzy keys.
 
 A fingerprint bit is the majority of that bit over the XXH64 hashes of the text's
-word shingles.  Fingerprints that differ in at most four bits are linked.  The 64
-bits are cut into three segments (21, 21 and 22 bits).  Four errors over three segments leave
+features.  The 64 bits are cut into three segments (21, 21 and 22 bits) with the keys
 
-* a segment without error and another with at most two: key = the raw segment and a Golay index of the other; or
-* one or two errors in each segment: key = Golay indices of all three,
+* the raw segment and a Golay index of another one, for each ordered pair of segments;
+* Golay indices of all three.
 
-so linked fingerprints always share a key.  Equal fingerprints are one node.  Nodes with a common
+Four errors over three segments leave either a segment without error and another with at most two (a key of the
+first kind is shared), or one or two errors in each (a key of the second kind is), so fingerprints within
+four bits always share a key.  Equal fingerprints are one node.  Nodes with a common
 key meet in a task and are verified; the task returns only a spanning star of each
 component that it finds, never all pairs.  A key bucket over ``bucket_bytes`` is dealt over a grid of
 cells, so that each two of its nodes still meet in one.
 
+``near_components`` links 64-bit fingerprints of word shingles within four bits.  ``near_groups`` is for
+similarity of five-word shingles: it takes three fingerprints of the set of words (an edited
+word moves one feature there, not five), keys of the first kind alone, links within ``distance`` of 192 bits,
+and then keeps a link to the group's smallest id only if the five-word shingles agree to ``similarity``.
+
 Defined results: null text is empty; a text without words has fingerprint zero and is linked like any other;
-fewer words than ``words`` are one shingle; repeated rows keep their rows; other columns are ignored.
+fewer words than a shingle has are one shingle; repeated rows keep their rows; null ids are the smallest; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,46 +31,90 @@ from pyspark.sql import functions as F
 from .common import cut, text_chunks, texts
 from .golay import indices
 from .graph import components
+from .sketches import WORDS
 
 SEED = 42
 DISTANCE = 4
 SEGMENTS = ((0, 21), (21, 21), (42, 22))
 
 
-def simhash(text: str, words: int) -> int:
+def _majority(hashes: np.ndarray) -> int:
+    ones, n = np.zeros(64, np.int64), len(hashes)
+    for at in range(0, n, 1 << 16):
+        ones += np.unpackbits(hashes[at : at + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int.from_bytes(np.packbits(ones * 2 > n, bitorder="little").tobytes(), "little")
+
+
+def shingle_hashes(own: list[bytes], words: int) -> np.ndarray:
+    """XXH64 of all shingles of a list of words, repeats included."""
     import xxhash
 
-    own = text.encode().lower().split()
     if not own:
-        return 0
+        return np.zeros(0, np.uint64)
     n = max(1, len(own) - words + 1)
-    size = np.fromiter(map(len, own), np.int64, len(own)) + 1
-    start = np.concatenate([[0], np.cumsum(size)])
+    start = np.concatenate([[0], np.cumsum(np.fromiter(map(len, own), np.int64, len(own)) + 1)])
     joined = b" ".join(own)
     ends = (start[np.minimum(np.arange(n) + words, len(own))] - 1).tolist()
     digest = xxhash.xxh64_intdigest
-    hashes = np.fromiter((digest(joined[a:b], SEED) for a, b in zip(start.tolist(), ends)), np.uint64, n)
-    ones = np.zeros(64, np.int64)
-    for at in range(0, n, 1 << 16):
-        ones += np.unpackbits(hashes[at : at + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int.from_bytes(np.packbits(ones * 2 > n, bitorder="little").tobytes(), "little")
+    return np.fromiter((digest(joined[a:b], SEED) for a, b in zip(start.tolist(), ends)), np.uint64, n)
+
+
+def simhash(text: str, words: int) -> int:
+    hashes = shingle_hashes(text.encode().lower().split(), words)
+    return _majority(hashes) if len(hashes) else 0
 
 
 def fingerprints(docs: DataFrame, words: int = 4) -> DataFrame:
-    """doc_id, fp (signed long)."""
+    """doc_id, fps (8 bytes, little-endian)."""
 
     def run(batches):
         import pyarrow as pa
 
         for batch in batches:
             for part in text_chunks(batch, 8_000_000):
-                fp = np.array([simhash(t, words) for t in part.column(1).to_pylist()], np.uint64)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
+                fps = [simhash(t, words).to_bytes(8, "little") for t in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary())], ["doc_id", "fps"])
+
+    return texts(docs).mapInArrow(run, "doc_id long, fps binary")
 
-    return texts(docs).mapInArrow(run, "doc_id long, fp long")
 
+FULL = 400  # texts of more shingles keep the hashes below a quarter of the range
+QUARTER = np.uint64(2**62)
 
-def fuzzy_keys(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+
+def word_set_fingerprints(docs: DataFrame, count: int = 3, words: int = WORDS) -> DataFrame:
+    """doc_id, fps (``count`` fingerprints of the set of words), n (distinct shingles), sketch (sorted distinct shingle hashes)."""
+
+    def run(batches):
+        import pyarrow as pa
+        import xxhash
+
+        for batch in batches:
+            for part in text_chunks(batch, 8_000_000):
+                fps, sizes, kept = [], [], []
+                for t in part.column(1).to_pylist():
+                    own = t.encode().lower().split()
+                    bag = np.fromiter((xxhash.xxh64_intdigest(w, SEED) for w in set(own)), np.uint64)
+                    bag, raw = _scramble(bag), b""
+                    for _ in range(count):
+                        raw += (_majority(bag) if len(bag) else 0).to_bytes(8, "little")
+                        bag = _scramble(bag)
+                    fps.append(raw)
+                    h = np.unique(shingle_hashes(own, words))
+                    sizes.append(len(h))
+                    kept.append((h if len(h) <= FULL else h[h < QUARTER]).astype("<u8").tobytes())
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary()), pa.array(sizes, pa.int64()), pa.array(kept, pa.binary())], ["doc_id", "fps", "n", "sketch"])
+
+    return texts(docs).mapInArrow(run, "doc_id long, fps binary, n long, sketch binary")
+
+
+def _scramble(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def fuzzy_keys(fp: np.ndarray, triples: bool = True) -> tuple[np.ndarray, np.ndarray]:
     """(key, row of fp) for all keys of all fingerprints."""
     seg = [((fp >> np.uint64(at)) & np.uint64((1 << bits) - 1)).astype(np.int64) for at, bits in SEGMENTS]
     near = [indices(s) for s in seg]
@@ -73,68 +123,55 @@ def fuzzy_keys(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     for x in range(3):
         for y in range(3):
             if x != y:
-                k = (np.int64(3 * x + y) << 58) | (seg[x][:, None] << 12) | near[y]
+                k = (np.int64(3 * x + y) << 56) | (seg[x][:, None] << 12) | near[y]
                 ok = near[y] >= 0
                 keys.append(k[ok])
                 at.append(np.broadcast_to(rows[:, None], k.shape)[ok])
-    k = (np.int64(9) << 58) | (near[0][:, :, None, None] << 24) | (near[1][:, None, :, None] << 12) | near[2][:, None, None, :]
-    ok = (near[0] >= 0)[:, :, None, None] & (near[1] >= 0)[:, None, :, None] & (near[2] >= 0)[:, None, None, :]
-    keys.append(k[ok])
-    at.append(np.broadcast_to(rows[:, None, None, None], k.shape)[ok])
+    if triples:
+        k = (np.int64(9) << 56) | (near[0][:, :, None, None] << 24) | (near[1][:, None, :, None] << 12) | near[2][:, None, None, :]
+        ok = (near[0] >= 0)[:, :, None, None] & (near[1] >= 0)[:, None, :, None] & (near[2] >= 0)[:, None, None, :]
+        keys.append(k[ok])
+        at.append(np.broadcast_to(rows[:, None, None, None], k.shape)[ok])
     return np.concatenate(keys), np.concatenate(at)
 
 
-def _mix(x: np.ndarray) -> np.ndarray:
-    x = x.astype(np.uint64)
-    x = (x ^ (x >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
-    return x ^ (x >> np.uint64(29))
-
-
-def key_blobs(nodes: DataFrame, n_buckets: int, grid: dict[int, int] | None = None, chunk: int = 8192) -> DataFrame:
-    """(bucket, cell, blob): packed (key, fingerprint) pairs; a bucket in ``grid`` goes to cells (i, j), i <= j."""
+def key_blobs(nodes: DataFrame, n_buckets: int, grid: dict[int, int] | None = None, triples: bool = True, chunk: int = 8192) -> DataFrame:
+    """(bucket, cell, blob): keys with their nodes; a bucket in ``grid`` goes to cells (i, j), i <= j, of a grid."""
     grid = grid or {}
 
-    def run(batches):
+    def emit(rep: np.ndarray, fps: np.ndarray):
         import pyarrow as pa
 
-        held, n = [], 0
-
-        def flush():
-            fp = np.concatenate(held)
-            for at in range(0, len(fp), chunk):
-                own = fp[at : at + chunk]
-                key, row = fuzzy_keys(own)
-                bucket = (_mix(key) % np.uint64(n_buckets)).astype(np.int64)
-                order = np.argsort(bucket, kind="stable")
-                ends = np.searchsorted(bucket[order], np.arange(n_buckets + 1))
-                out: tuple[list, list, list] = ([], [], [])
-                for b in np.flatnonzero(np.diff(ends)).tolist():
-                    pick = order[ends[b] : ends[b + 1]]
-                    k, f = key[pick], own[row[pick]]
-                    g = grid.get(b, 1)
-                    lane = (_mix(f) >> np.uint64(7)) % np.uint64(g)
-                    for i in range(g):
-                        mine = lane == i if g > 1 else slice(None)
-                        if g > 1 and not mine.any():
-                            continue
-                        blob = k[mine].tobytes() + f[mine].tobytes()
-                        for j in range(g):
-                            out[0].append(b)
-                            out[1].append(min(i, j) * g + max(i, j))
-                            out[2].append(blob)
-                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], ["bucket", "cell", "blob"])
+        parts = [fuzzy_keys(fps[:, f], triples) for f in range(fps.shape[1])]
+        key = np.concatenate([k | (np.int64(f) << 60) for f, (k, _) in enumerate(parts)])
+        row = np.concatenate([r for _, r in parts])
+        bucket = (_scramble(key.view(np.uint64)) % np.uint64(n_buckets)).astype(np.int64)
+        order = np.argsort(bucket, kind="stable")
+        ends = np.searchsorted(bucket[order], np.arange(n_buckets + 1))
+        out: tuple[list, list, list] = ([], [], [])
+        for b in np.flatnonzero(np.diff(ends)).tolist():
+            pick = order[ends[b] : ends[b + 1]]
+            g = grid.get(b, 1)
+            lane = _scramble(rep[row[pick]].view(np.uint64)) % np.uint64(g)
+            for i in range(g):
+                mine = pick[lane == i] if g > 1 else pick
+                if len(mine):
+                    own, at = np.unique(row[mine], return_inverse=True)
+                    blob = np.array([len(own), len(mine)], "<i8").tobytes() + rep[own].tobytes() + fps[own].tobytes() + key[mine].tobytes() + at.astype("<u4").tobytes()
+                    for j in range(g):
+                        out[0].append(b)
+                        out[1].append(min(i, j) * g + max(i, j))
+                        out[2].append(blob)
+        return pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], ["bucket", "cell", "blob"])
 
+    def run(batches):
         for batch in batches:
-            if batch.num_rows:
-                held.append(batch.column(0).to_numpy().view(np.uint64))
-                n += batch.num_rows
-            if n >= 8 * chunk:
-                yield from flush()
-                held, n = [], 0
-        if n:
-            yield from flush()
+            rep = np.asarray(batch.column(0).fill_null(-(2**63)))
+            fps = np.frombuffer(b"".join(batch.column(1).to_pylist()), "<u8").reshape(len(rep), -1) if len(rep) else None
+            for at in range(0, len(rep), chunk):
+                yield emit(rep[at : at + chunk], fps[at : at + chunk])
 
-    return nodes.select("fp").mapInArrow(run, "bucket long, cell long, blob binary")
+    return nodes.select("rep", "fps").mapInArrow(run, "bucket long, cell long, blob binary")
 
 
 class Forest:
@@ -151,90 +188,144 @@ class Forest:
             if not len(a):
                 return
             np.minimum.at(self.label, np.maximum(la, lb), np.minimum(la, lb))
-            while (nxt := self.label[self.label] != self.label).any():
-                self.label = self.label[self.label]
+            while not np.array_equal(nxt := self.label[self.label], self.label):
+                self.label = nxt
 
 
-def spanning_stars(key: np.ndarray, fp: np.ndarray, distance: int = DISTANCE, small: int = 12) -> tuple[np.ndarray, np.ndarray]:
-    """(u, v): fingerprints and the smallest one they are linked to, by verified pairs of equal key."""
-    nodes, at = np.unique(fp, return_inverse=True)
+def spanning_stars(key: np.ndarray, at: np.ndarray, rep: np.ndarray, fps: np.ndarray, distance: int, small: int = 12) -> tuple[np.ndarray, np.ndarray]:
+    """(u, v): nodes and the smallest one they are linked to, by verified pairs of equal key.  ``rep`` ascends."""
+
+    def close(x, y):
+        return np.bitwise_count(fps[x] ^ fps[y]).sum(-1) <= distance
+
     order = np.lexsort((at, key))
     key, at = key[order], at[order]
     again = np.concatenate([[True], (key[1:] != key[:-1]) | (at[1:] != at[:-1])])
     key, at = key[again], at[again]
     first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     size = np.diff(np.append(first, len(key)))
-    forest = Forest(len(nodes))
-    pick = np.repeat(size <= small, size)
+    forest = Forest(len(rep))
+    pick = np.repeat((size <= small) & (size > 1), size)
     k, a = key[pick], at[pick]
     for step in range(1, small):
-        if len(k) <= step:
-            break
-        same = np.flatnonzero(k[step:] == k[:-step])
+        same = np.flatnonzero(k[step:] == k[:-step]) if len(k) > step else ()
         if not len(same):
             break
         x, y = a[same], a[same + step]
-        ok = np.bitwise_count(nodes[x] ^ nodes[y]) <= distance
+        ok = close(x, y)
         forest.link(x[ok], y[ok])
     for r in sorted(np.flatnonzero(size > small).tolist(), key=lambda r: -size[r]):
-        own = at[first[r] : first[r] + size[r]]
-        label = forest.label[own]
+        left = at[first[r] : first[r] + size[r]]
+        label = forest.label[left]
         if (label == label[0]).all():
             continue
-        left, x, y = own, [], []
+        x: list[int] = []
+        y: list[int] = []
         queue: list[int] = []
-        while len(left) or queue:
+        while len(left):  # what a node reaches leaves the run, so dense runs shrink at once
             if not queue:
                 queue, left = [int(left[0])], left[1:]
-                if not len(left):
-                    break
+                continue
             here = queue.pop()
-            close = np.bitwise_count(nodes[left] ^ nodes[here]) <= distance
-            if close.any():
-                got = left[close]
-                x += [here] * len(got)
-                y += got.tolist()
-                queue += got.tolist()
-                left = left[~close]
-            if not len(left):
-                break
+            ok = close(left, here)
+            got = left[ok].tolist()
+            x += [here] * len(got)
+            y += got
+            queue += got
+            left = left[~ok]
         forest.link(np.array(x, np.int64), np.array(y, np.int64))
-    moved = np.flatnonzero(forest.label != np.arange(len(nodes)))
-    return nodes[moved], nodes[forest.label[moved]]
-
-
-def links(nodes: DataFrame, *, bucket_bytes: int = 48_000_000, keys_per_node: int = 181) -> DataFrame:
-    """(u, v) fingerprints: edges whose components are those of all fingerprints within DISTANCE."""
-    n_buckets = max(12, -(-nodes.count() * keys_per_node * 16 // (bucket_bytes // 2)))
-    sizes = key_blobs(nodes, n_buckets).groupBy("bucket").agg(F.sum(F.octet_length("blob")).alias("b")).filter(F.col("b") > bucket_bytes)
+    moved = np.flatnonzero(forest.label != np.arange(len(rep)))
+    return rep[moved], rep[forest.label[moved]]
+
+
+def _unblob(blobs: list[bytes]):
+    reps, fps, keys, ats, base = [], [], [], [], 0
+    for b in blobs:
+        n, m = np.frombuffer(b, "<i8", 2).tolist()
+        reps.append(np.frombuffer(b, "<i8", n, 16))
+        width = (len(b) - 16 - 8 * n - 12 * m) // 8
+        fps.append(np.frombuffer(b, "<u8", width, 16 + 8 * n).reshape(n, -1))
+        keys.append(np.frombuffer(b, "<i8", m, 16 + 8 * n + 8 * width))
+        ats.append(np.frombuffer(b, "<u4", m, 16 + 8 * n + 8 * width + 8 * m).astype(np.int64) + base)
+        base += n
+    rep, first, inverse = np.unique(np.concatenate(reps), return_index=True, return_inverse=True)
+    return np.concatenate(keys), inverse[np.concatenate(ats)], rep, np.concatenate(fps)[first]
+
+
+def links(nodes: DataFrame, *, distance: int = DISTANCE, triples: bool = True, width: int = 1, bucket_bytes: int = 48_000_000) -> DataFrame:
+    """(u, v): edges whose components are those of all nodes (rep, fps) that share a key and lie within ``distance``."""
+    per_node = width * (181 if triples else 32) * 16
+    n_buckets = max(12, -(-nodes.count() * per_node // (bucket_bytes // 2)))
+    sizes = key_blobs(nodes, n_buckets, None, triples).groupBy("bucket").agg(F.sum(F.octet_length("blob")).alias("b")).filter(F.col("b") > bucket_bytes)
     grid = {r["bucket"]: -(-2 * r["b"] // bucket_bytes) for r in sizes.collect()}  # at most total / bucket_bytes rows
 
     def meet(table):
         import pyarrow as pa
 
-        blobs = table.column("blob").to_pylist()
-        key = np.concatenate([np.frombuffer(b, np.int64, len(b) // 16) for b in blobs])
-        fp = np.concatenate([np.frombuffer(b, np.uint64, len(b) // 16, len(b) // 2) for b in blobs])
-        u, v = spanning_stars(key, fp)
-        return pa.table({"u": pa.array(u.view(np.int64)), "v": pa.array(v.view(np.int64))})
+        u, v = spanning_stars(*_unblob(table.column("blob").to_pylist()), distance)
+        return pa.table({"u": pa.array(u), "v": pa.array(v)})
+
+    return key_blobs(nodes, n_buckets, grid, triples).groupBy("bucket", "cell").applyInArrow(meet, "u long, v long")
+
+
+def _nodes(rows: DataFrame) -> DataFrame:
+    return cut(rows.groupBy("fps").agg(F.min(F.coalesce("doc_id", F.lit(-(2**63)))).alias("rep")))
 
-    return key_blobs(nodes, n_buckets, grid).groupBy("bucket", "cell").applyInArrow(meet, "u long, v long")
+
+def _named(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """(__f, component_id) for every node."""
+    named = nodes.join(components(edges), F.col("rep") == F.col("node"), "left").select(F.col("fps").alias("__f"), F.coalesce("root", "rep").alias("c"))
+    return cut(named.select("__f", F.when(F.col("c") > -(2**63), F.col("c")).alias("component_id")))
 
 
 def near_components(docs: DataFrame, *, words: int = 4, bucket_bytes: int = 48_000_000) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id that links lead to, its own included)."""
     rows = cut(fingerprints(docs, words))
-    nodes = cut(rows.groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    roots = components(links(nodes, bucket_bytes=bucket_bytes))
-    joined = nodes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
-    joined = cut(joined)
-    least = cut(joined.groupBy("root").agg(F.min("rep").alias("component_id"))).withColumnRenamed("root", "__r")
-    named = cut(joined.join(least, F.col("root") == F.col("__r")).select(F.col("fp").alias("__f"), "component_id"))
-    return rows.join(named, F.col("fp") == F.col("__f")).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    nodes = _nodes(rows)
+    named = _named(nodes, links(nodes, bucket_bytes=bucket_bytes))
+    return rows.join(named, F.col("fps") == F.col("__f")).select("doc_id", F.lower(F.hex(_reversed("fps"))).alias("fingerprint"), "component_id")
+
+
+def _reversed(col: str):
+    """The eight bytes in reverse order."""
+    return F.concat(*[F.expr(f"substring({col}, {k}, 1)") for k in range(8, 0, -1)])
+
+
+def _agreement(pairs: DataFrame) -> DataFrame:
+    """(doc_id, jaccard) of two sketches; both are cut to a quarter if one is."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            got = []
+            for r in batch.select(["n", "sketch", "n_root", "sketch_root"]).to_pylist():
+                a, b = np.frombuffer(r["sketch"], "<u8"), np.frombuffer(r["sketch_root"], "<u8")
+                if max(r["n"], r["n_root"]) > FULL:
+                    a, b = a[a < QUARTER], b[b < QUARTER]
+                both = len(np.intersect1d(a, b, assume_unique=True))
+                union = len(a) + len(b) - both
+                got.append(both / union if union else 1.0)
+            yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("doc_id")), pa.array(got, pa.float64())], ["doc_id", "jaccard"])
+
+    return pairs.mapInArrow(run, "doc_id long, jaccard double")
+
+
+def near_groups(docs: DataFrame, *, similarity: float = 0.8, count: int = 3, distance: int = 20, bucket_bytes: int = 48_000_000) -> DataFrame:
+    """(doc_id, keep_id) of the documents whose group has a smaller id that they agree with."""
+    rows = cut(word_set_fingerprints(docs, count))
+    nodes = _nodes(rows)
+    named = _named(nodes, links(nodes, distance=distance, triples=False, width=count, bucket_bytes=bucket_bytes))
+    grouped = cut(rows.select("doc_id", "fps").join(named, F.col("fps") == F.col("__f")).filter("doc_id > component_id").select(F.col("doc_id").alias("__d"), "component_id"))
+    mine = rows.select("doc_id", "n", "sketch").join(grouped, F.col("doc_id") == F.col("__d")).drop("__d")
+    roots = cut(rows.select(F.col("doc_id").alias("__d"), "n", "sketch").join(grouped.select(F.col("component_id").alias("__c")).distinct(), F.col("__d") == F.col("__c"), "left_semi").dropDuplicates(["__d"]).select("__d", F.col("n").alias("n_root"), F.col("sketch").alias("sketch_root")))
+    pairs = mine.join(roots, F.col("component_id") == F.col("__d"))
+    sure = _agreement(pairs.select("doc_id", "n", "sketch", "n_root", "sketch_root")).filter(F.col("jaccard") >= similarity).select(F.col("doc_id").alias("__s")).distinct()
+    return grouped.join(sure, F.col("__d") == F.col("__s")).select(F.col("__d").alias("doc_id"), F.col("component_id").alias("keep_id"))
 
 
 def drop_near(docs: DataFrame, **options) -> DataFrame:
-    """All columns of the documents that stay: the smallest doc_id of each group."""
+    """All columns of the documents that stay: of each group of near copies the smallest doc_id."""
     keep = docs.columns
-    gone = near_components(docs, **options).filter("not doc_id <=> component_id").select(F.col("doc_id").alias("__gone")).distinct()
+    gone = cut(near_groups(docs, **options).select(F.col("doc_id").alias("__gone")).distinct())
     return docs.join(gone, docs["doc_id"].eqNullSafe(F.col("__gone")), "left_anti").select(*[docs[c] for c in keep])

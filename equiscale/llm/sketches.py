@@ -21,7 +21,6 @@ WORDS, SCALE = 5, 4
 
 def sketch(text: Column, words: int = WORDS, scale: int = SCALE) -> Column:
     """Sorted array of the retained shingle hashes."""
-    limit = -(2**63) + 2**64 // scale
     own = F.transform(F.filter(F.split(text, "\\s+"), lambda w: w != ""), lambda w: F.xxhash64(w))
 
     def shingles(w: Column) -> Column:
@@ -29,7 +28,7 @@ def sketch(text: Column, words: int = WORDS, scale: int = SCALE) -> Column:
         return F.when(F.size(w) >= words, some).when(F.size(w) > 0, F.array(F.xxhash64(w))).otherwise(F.array().cast("array<bigint>"))
 
     whole = F.transform(F.array(own), shingles)[0]  # the words are bound once
-    return F.array_sort(F.array_distinct(F.filter(whole, lambda h: h < F.lit(limit))))
+    return F.array_sort(F.array_distinct(whole if scale == 1 else F.filter(whole, lambda h: h < F.lit(-(2**63) + 2**64 // scale))))
 
 
 def fingerprint(sk: Column) -> Column:
