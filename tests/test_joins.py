@@ -162,8 +162,9 @@ def test_space_saving(spark):
         assert exact <= {(r["key"], r["f"]) for r in found.collect()}, method
 
 
-def test_plans(bags):
-    _, _, l, r = bags
+def test_plans(spark):
+    # tables on disk: only a size that the planner knows is broadcast
+    l, r = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet").withColumnRenamed(k, "key") for t, k in (("events", "user_id"), ("customer", "c_custkey")))
     plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" in plan(baselines.sort_merge_join(l, r, "key"))
     assert "ShuffledHashJoin" in plan(baselines.shuffle_hash_join(l, r, "key"))
