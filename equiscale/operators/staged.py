@@ -57,21 +57,32 @@ def _levels(idx: DataFrame, sides: Sides, cfg: JoinConfig, l_max: float) -> Data
     return out.unionByName(index.emit_pairs(idx, sides))
 
 
-def level_sizes(left: DataFrame, right: DataFrame, on, cfg: JoinConfig = JoinConfig()) -> DataFrame:
-    """(level, entries, hot): index entries of each level of the basic form, until none is left."""
+def _walk(left: DataFrame, right: DataFrame, on, cfg: JoinConfig, measure: Column) -> list[tuple[int, int, int, int]]:
+    """(level, entries, hot entries, largest ``measure`` of an entry) of each level of the basic form, until none is hot."""
     sides = Sides.of(left, right, on)
     idx = index.build_joined_index(sides)
-    rows, at = [], 0
+    rows = []
     while True:
         idx = cut(idx)
-        n, hot = idx.count(), idx.filter(_predicate(cfg)).count()
-        rows.append((at, n, hot))
+        n, hot, most = idx.agg(F.count("*"), F.count(F.when(_predicate(cfg), 1)), F.max(measure)).first()
+        rows.append((len(rows), n, hot, most or 0))
         if not hot:
-            return left.sparkSession.createDataFrame(rows, "level int, entries long, hot long")
-        at += 1
+            return rows
         idx = level(idx, sides, cfg)[1]
 
 
+def level_sizes(left: DataFrame, right: DataFrame, on, cfg: JoinConfig = JoinConfig()) -> DataFrame:
+    """(level, entries, hot): index entries of each level of the basic form, until none is left."""
+    rows = [r[:3] for r in _walk(left, right, on, cfg, F.lit(0))]
+    return left.sparkSession.createDataFrame(rows, "level int, entries long, hot long")
+
+
+def level_loads(left: DataFrame, right: DataFrame, on, cfg: JoinConfig = JoinConfig()) -> DataFrame:
+    """(level, entries, heaviest): the pairs that the heaviest index entry of each level stands for, which bound the work of a task."""
+    rows = [(at, n, most) for at, n, _, most in _walk(left, right, on, cfg, F.size("ls").cast("long") * F.size("rs"))]
+    return left.sparkSession.createDataFrame(rows, "level int, entries long, heaviest long")
+
+
 def _longest(sides: Sides) -> float:
     counts = [df.groupBy(*sides.keys).agg(F.count("*").alias("f")).agg(F.max("f")).first()[0] or 1 for df in (sides.left, sides.right)]
     return math.sqrt(counts[0] * counts[1]) if counts[0] * counts[1] else 1

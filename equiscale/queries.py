@@ -11,7 +11,7 @@ from equiscale.operators import baselines, hotkeys
 from equiscale.operators.adaptive import adaptive_join, piece_sizes
 from equiscale.operators.selfjoin import natural_self_join, self_join
 from equiscale.operators.small_large import chunked_broadcast_join, index_broadcast_join
-from equiscale.operators.staged import level_sizes, spread_input, staged_join, staged_join_basic
+from equiscale.operators.staged import level_loads, level_sizes, spread_input, staged_join, staged_join_basic
 from equiscale.plans import cost, metrics
 from equiscale.plans.config import JoinConfig
 from equiscale.sources.io import read
@@ -281,6 +281,7 @@ for _how in KIND:
     add(f"example_hot_sets_{_how}", lambda s, d, h=_how: adaptive_join(_bag(s, SETS[0], "a"), _bag(s, SETS[1], "b"), "key", h, JoinConfig(hot_threshold=2)), f"SELECT coalesce(l.key, r.key) AS key, a, b FROM {_bag_sql(SETS[0], 'a')} l {KIND[_how]} {_bag_sql(SETS[1], 'b')} r ON l.key = r.key")
     add(f"example_levels_{_how}", lambda s, d, h=_how: staged_join_basic(_bag(s, LEVELS[0], "a"), _bag(s, LEVELS[1], "b"), "key", h, FEW), f"SELECT coalesce(l.key, r.key) AS key, a, b FROM {_bag_sql(LEVELS[0], 'a')} l {KIND[_how]} {_bag_sql(LEVELS[1], 'b')} r ON l.key = r.key")
 add("example_level_sizes", lambda s, d: level_sizes(_bag(s, LEVELS[0], "a"), _bag(s, LEVELS[1], "b"), "key", FEW), "SELECT * FROM (VALUES (0, 4::BIGINT, 2::BIGINT), (1, 8::BIGINT, 2::BIGINT), (2, 8::BIGINT, 0::BIGINT)) v(level, entries, hot)")
+add("example_balance", lambda s, d: level_loads(_bag(s, LEVELS[0], "a"), _bag(s, LEVELS[1], "b"), "key", FEW), "SELECT * FROM (VALUES (0, 4::BIGINT, 20::BIGINT), (1, 8::BIGINT, 6::BIGINT), (2, 8::BIGINT, 2::BIGINT)) v(level, entries, heaviest)")
 
 
 # cost models
