@@ -85,9 +85,9 @@ def contexts(texts: list[bytes], length: int = LENGTH, gram: int = GRAM) -> tupl
         found.append((text, a + shift, b + shift, grams[p], c))
 
     for t, raw in enumerate(texts):
-        for at in range(0, max(1, len(raw)), 8 * SEGMENT):
-            part = raw[at : at + 8 * SEGMENT + length - 1]  # windows that start in the next part are its own
-            if len(part) >= length and (at == 0 or len(part) >= length):
+        for at in range(0, len(raw), SEGMENT):
+            part = raw[at : at + SEGMENT + length - 1]  # windows that start in the next part are its own
+            if len(part) >= length:
                 held.append((t, at, part))
                 size += len(part)
             if size >= SEGMENT:
@@ -203,7 +203,7 @@ def _compare(table):
     return pa.table({"shard": pa.array([r[0] for r in rows], pa.int64()), "blob": pa.array([r[1] for r in rows], pa.binary())})
 
 
-def _select(n_buckets: int, length: int, gram: int):
+def _select(n_routes: int, length: int, gram: int):
     """Shard and its verdicts -> (route, shard, blob): bytes of mixed contexts by anchor bucket, spans already sure on route -1 - shard."""
 
     def run(key, docs, verdicts):
@@ -230,7 +230,7 @@ def _select(n_buckets: int, length: int, gram: int):
             if len(d):
                 rows.append((-1 - shard, shard, _pack(d, x, y)))
             ask = np.flatnonzero(~sure & np.isin(c, mixed))
-            for bucket, i in _by_bucket(((h[ask] & _PLACE) % np.uint64(n_buckets)).astype(np.int64)):
+            for bucket, i in _by_bucket(((h[ask] & _PLACE) % np.uint64(n_routes)).astype(np.int64)):
                 pick = ask[i]
                 order = np.argsort(c[pick], kind="stable")
                 pick = pick[order]
@@ -339,12 +339,12 @@ def _removal(docs: DataFrame, finish, schema: str, length: int, gram: int, shard
     n_buckets = max(4, n // 2)
     thin = "bucket long, shard long, blob binary"
     verdicts = dealt.groupBy("__shard").applyInArrow(_digests(n_buckets, length, gram), thin).groupBy("bucket").applyInArrow(_compare, "shard long, blob binary")
-    asked = dealt.groupBy("__shard").cogroup(verdicts.groupBy("shard")).applyInArrow(_select(n_buckets, length, gram), "route long, shard long, blob binary")
+    asked = dealt.groupBy("__shard").cogroup(verdicts.groupBy("shard")).applyInArrow(_select(2 * n_buckets, length, gram), "route long, shard long, blob binary")
     spans = asked.groupBy("route").applyInArrow(_resolve(length, suffix_bytes), "shard long, blob binary")
     return dealt.groupBy("__shard").cogroup(spans.groupBy("shard")).applyInArrow(finish, schema)
 
 
-def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 4_000_000) -> DataFrame:
+def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 1_500_000) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
 
     def finish(docs, spans):
@@ -360,7 +360,7 @@ def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM
     return _removal(rows, finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", length, gram, shard_bytes, suffix_bytes)
 
 
-def remove_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 4_000_000) -> DataFrame:
+def remove_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 1_500_000) -> DataFrame:
     """All rows and columns, with the removed bytes cut out of ``text`` (null stays null) and ``n_chars``, where present, counted anew."""
     columns = docs.columns
 

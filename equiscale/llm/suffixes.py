@@ -98,10 +98,12 @@ def common_prefixes(text: np.ndarray, sa: np.ndarray, limit: int, stride: int =
 def window_words(text: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
     """The ``length`` bytes at each position as big-endian words, in the order of their bytes."""
     word = np.concatenate([words_at(text), np.zeros(length + 8, np.uint64)])
-    cols = [word[at + k] for k in range(0, length, 8)]
+    out = np.empty((len(at), -(-length // 8)), np.uint64)
+    for k in range(out.shape[1]):
+        out[:, k] = word[at + 8 * k]
     if length % 8:
-        cols[-1] = cols[-1] >> np.uint64(64 - 8 * (length % 8))
-    return np.stack(cols, axis=1) if len(at) else np.zeros((0, -(-length // 8)), np.uint64)
+        out[:, -1] >>= np.uint64(64 - 8 * (length % 8))
+    return out
 
 
 def _less(a: np.ndarray, b: np.ndarray) -> np.ndarray:
