@@ -16,7 +16,7 @@ cells, so that each two of its nodes still meet in one.
 ``near_components`` links 64-bit fingerprints of word shingles within four bits.  ``near_groups`` is for
 similarity of five-word shingles: it takes three fingerprints of the set of words (an edited
 word moves one feature there, not five), keys of the first kind alone, links within ``distance`` of 192 bits,
-and then keeps a link to the group's smallest id only if the five-word shingles agree to ``similarity``.
+keeps a link only if the five-word shingles agree to ``similarity``, and takes the components of what it keeps.
 
 Defined results: null text is empty; a text without words has fingerprint zero and is linked like any other;
 fewer words than a shingle has are one shingle; repeated rows keep their rows; null ids are the smallest; other columns are ignored.
@@ -292,36 +292,35 @@ def _reversed(col: str):
 
 
 def _agreement(pairs: DataFrame) -> DataFrame:
-    """(doc_id, jaccard) of two sketches; both are cut to a quarter if one is."""
+    """(u, v, jaccard) of two sketches; both are cut to a quarter if one is."""
 
     def run(batches):
         import pyarrow as pa
 
         for batch in batches:
             got = []
-            for r in batch.select(["n", "sketch", "n_root", "sketch_root"]).to_pylist():
-                a, b = np.frombuffer(r["sketch"], "<u8"), np.frombuffer(r["sketch_root"], "<u8")
-                if max(r["n"], r["n_root"]) > FULL:
+            for r in batch.select(["n_u", "sketch_u", "n_v", "sketch_v"]).to_pylist():
+                a, b = np.frombuffer(r["sketch_u"], "<u8"), np.frombuffer(r["sketch_v"], "<u8")
+                if max(r["n_u"], r["n_v"]) > FULL:
                     a, b = a[a < QUARTER], b[b < QUARTER]
                 both = len(np.intersect1d(a, b, assume_unique=True))
                 union = len(a) + len(b) - both
                 got.append(both / union if union else 1.0)
-            yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("doc_id")), pa.array(got, pa.float64())], ["doc_id", "jaccard"])
+            yield pa.RecordBatch.from_arrays([batch.column("u"), batch.column("v"), pa.array(got, pa.float64())], ["u", "v", "jaccard"])
 
-    return pairs.mapInArrow(run, "doc_id long, jaccard double")
+    return pairs.mapInArrow(run, "u long, v long, jaccard double")
 
 
 def near_groups(docs: DataFrame, *, similarity: float = 0.8, count: int = 3, distance: int = 20, bucket_bytes: int = 48_000_000) -> DataFrame:
-    """(doc_id, keep_id) of the documents whose group has a smaller id that they agree with."""
-    rows = cut(word_set_fingerprints(docs, count))
+    """(doc_id, keep_id) of the documents that are not the smallest id of their component of links that agree to ``similarity``."""
+    rows = cut(word_set_fingerprints(docs, count).withColumn("doc_id", F.coalesce("doc_id", F.lit(-(2**63)))))
     nodes = _nodes(rows)
-    named = _named(nodes, links(nodes, distance=distance, triples=False, width=count, bucket_bytes=bucket_bytes))
-    grouped = cut(rows.select("doc_id", "fps").join(named, F.col("fps") == F.col("__f")).filter("doc_id > component_id").select(F.col("doc_id").alias("__d"), "component_id"))
-    mine = rows.select("doc_id", "n", "sketch").join(grouped, F.col("doc_id") == F.col("__d")).drop("__d")
-    roots = cut(rows.select(F.col("doc_id").alias("__d"), "n", "sketch").join(grouped.select(F.col("component_id").alias("__c")).distinct(), F.col("__d") == F.col("__c"), "left_semi").dropDuplicates(["__d"]).select("__d", F.col("n").alias("n_root"), F.col("sketch").alias("sketch_root")))
-    pairs = mine.join(roots, F.col("component_id") == F.col("__d"))
-    sure = _agreement(pairs.select("doc_id", "n", "sketch", "n_root", "sketch_root")).filter(F.col("jaccard") >= similarity).select(F.col("doc_id").alias("__s")).distinct()
-    return grouped.join(sure, F.col("__d") == F.col("__s")).select(F.col("__d").alias("doc_id"), F.col("component_id").alias("keep_id"))
+    same = rows.select(F.col("doc_id").alias("u"), "fps").join(nodes.select(F.col("fps").alias("__f"), F.col("rep").alias("v")), F.col("fps") == F.col("__f")).select("u", "v")
+    edges = cut(links(nodes, distance=distance, triples=False, width=count, bucket_bytes=bucket_bytes).unionByName(same).filter("u <> v").distinct())
+    for end in ("u", "v"):
+        edges = edges.join(rows.select(F.col("doc_id").alias("__" + end), F.col("n").alias("n_" + end), F.col("sketch").alias("sketch_" + end)), F.col(end) == F.col("__" + end)).drop("__" + end)
+    sure = _agreement(edges).filter(F.col("jaccard") >= similarity)
+    return components(sure.select("u", "v")).select(F.col("node").alias("doc_id"), F.when(F.col("root") > -(2**63), F.col("root")).alias("keep_id"))
 
 
 def drop_near(docs: DataFrame, **options) -> DataFrame:

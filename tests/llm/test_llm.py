@@ -203,6 +203,54 @@ def test_near_groups_verify_five_word_shingles(spark):
     assert not got - set(near) and len(got) >= 0.95 * len(near)
 
 
+def brute_groups(rows, similarity=0.8):
+    """{doc_id: smallest id of its component} of the documents that go, over all pairs."""
+    low = lambda t: re.sub("[A-Z]", lambda m: m.group().lower(), t)
+    ids, sets, holders = [], [], {}
+    for d, t in sorted(rows):
+        w = low(t).split()
+        own = {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+        for x in own or {()}:
+            holders.setdefault(x, []).append(len(ids))
+        ids.append(d)
+        sets.append(own)
+    root = list(range(len(ids)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    met = {(a, b) for own in holders.values() for k, b in enumerate(own) for a in own[:k]}
+    for a, b in met:
+        both, union = len(sets[a] & sets[b]), len(sets[a] | sets[b])
+        if (both / union if union else 1.0) >= similarity:
+            a, b = sorted((find(a), find(b)))
+            root[b] = a
+    return {ids[x]: ids[find(x)] for x in range(len(ids)) if find(x) != x}
+
+
+def edited(own, words, n, rng):
+    own = list(own)
+    for k in rng.sample(range(len(own)), n):
+        own[k] = rng.choice(words)
+    return own
+
+
+def test_near_groups_follow_chains(spark):
+    rng = random.Random(10)
+    words = [f"w{k}" for k in range(4000)]
+    rows = []
+    for g in range(30):  # neighbours agree to about 0.9, the ends of a chain do not agree to 0.8
+        own = [rng.choice(words) for _ in range(200)]
+        for k in range(4):
+            rows.append((10 * g + k, " ".join(own)))
+            own = edited(own, words, 2, rng)
+    got = {r["doc_id"]: r["keep_id"] for r in simhash.near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    want = brute_groups(rows)
+    assert not set(got) - set(want) and len(got) >= 0.85 * len(want)
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(30)] + [(100, k) for k in range(101, 160)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in graph.components(spark.createDataFrame(edges, "u long, v long")).collect()}
