@@ -78,10 +78,6 @@ def fingerprints(docs: DataFrame, words: int = 4) -> DataFrame:
     return texts(docs).mapInArrow(run, "doc_id long, fps binary")
 
 
-FULL = 400  # texts of more shingles keep the hashes below a quarter of the range
-QUARTER = np.uint64(2**62)
-
-
 def word_set_fingerprints(docs: DataFrame, count: int = 3, words: int = WORDS) -> DataFrame:
     """doc_id, fps (``count`` fingerprints of the set of words), n (distinct shingles), sketch (sorted distinct shingle hashes)."""
 
@@ -102,7 +98,7 @@ def word_set_fingerprints(docs: DataFrame, count: int = 3, words: int = WORDS) -
                     fps.append(raw)
                     h = np.unique(shingle_hashes(own, words))
                     sizes.append(len(h))
-                    kept.append((h if len(h) <= FULL else h[h < QUARTER]).astype("<u8").tobytes())
+                    kept.append(h.astype("<u8").tobytes())
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary()), pa.array(sizes, pa.int64()), pa.array(kept, pa.binary())], ["doc_id", "fps", "n", "sketch"])
 
     return texts(docs).mapInArrow(run, "doc_id long, fps binary, n long, sketch binary")
@@ -292,7 +288,7 @@ def _reversed(col: str):
 
 
 def _agreement(pairs: DataFrame) -> DataFrame:
-    """(u, v, jaccard) of two sketches; both are cut to a quarter if one is."""
+    """(u, v, jaccard) of all shingle hashes of both texts."""
 
     def run(batches):
         import pyarrow as pa
@@ -301,8 +297,6 @@ def _agreement(pairs: DataFrame) -> DataFrame:
             got = []
             for r in batch.select(["n_u", "sketch_u", "n_v", "sketch_v"]).to_pylist():
                 a, b = np.frombuffer(r["sketch_u"], "<u8"), np.frombuffer(r["sketch_v"], "<u8")
-                if max(r["n_u"], r["n_v"]) > FULL:
-                    a, b = a[a < QUARTER], b[b < QUARTER]
                 both = len(np.intersect1d(a, b, assume_unique=True))
                 union = len(a) + len(b) - both
                 got.append(both / union if union else 1.0)

@@ -251,6 +251,19 @@ def test_near_groups_follow_chains(spark):
     assert not set(got) - set(want) and len(got) >= 0.85 * len(want)
 
 
+def test_near_groups_compare_long_texts_in_full(spark):
+    rng = random.Random(11)
+    words = [f"w{k}" for k in range(4000)]
+    rows = []
+    for g in range(60):  # just under 0.8
+        own = [rng.choice(words) for _ in range(1200)]
+        rows += [(2 * g, " ".join(own)), (2 * g + 1, " ".join(edited(own, words, 29, rng)))]
+    want = brute_groups(rows)
+    assert len(want) < 20
+    got = {r["doc_id"] for r in simhash.near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert not got - set(want)
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(30)] + [(100, k) for k in range(101, 160)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in graph.components(spark.createDataFrame(edges, "u long, v long")).collect()}
