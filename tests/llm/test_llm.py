@@ -264,6 +264,51 @@ def test_near_groups_compare_long_texts_in_full(spark):
     assert not got - set(want)
 
 
+def near_rows():
+    """Groups of ten copies edited independently of an original of a larger id, chains, pairs around 0.8 and texts of 20 to 2000 words with one line in common."""
+    rng = random.Random(19)
+    words = [f"w{k}" for k in range(4000)]
+    line = [f"common{k}" for k in range(12)]
+    texts = []
+    for g, size in enumerate([60, 120, 250, 450, 900, 2000] * 5):
+        own = [rng.choice(words) for _ in range(size)] + line
+        texts.append(own)
+        texts += [edited(own, words, max(1, size // rng.choice([45, 55, 70])), rng) for _ in range(9)] if g % 3 == 0 else []
+        for _ in range(8):  # each link about 0.83, the ends far below 0.8
+            own = edited(own, words, max(1, size // 52), rng)
+            texts.append(own)
+    texts += [edited([f"s{g}x{k}" for k in range(20)], words, n, rng) + line for g in range(10) for n in (0, 0, 1)]
+    ids = rng.sample(range(1, 10 * len(texts)), len(texts))
+    return [(d, " ".join(t)) for d, t in zip(ids, texts)] + [(5 * 10**6, ""), (5 * 10**6 + 1, " ")]
+
+
+def test_near_groups_are_the_components_of_all_pairs(spark, docs):
+    rows = near_rows()
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_groups(rows)
+    assert {r["doc_id"]: r["keep_id"] for r in simhash.near_groups(frame).collect()} == want
+    for distance in (20, 0):  # with hardly a link of fingerprints the prefixes find the rest
+        assert {r["doc_id"]: r["keep_id"] for r in simhash.near_groups(frame, distance=distance, bucket_bytes=20_000).collect()} == want
+    assert {r["doc_id"]: r["keep_id"] for r in simhash.near_groups(docs).collect()} == brute_groups(local(docs))
+    kept = {r["doc_id"]: r["text"] for r in simhash.drop_near(frame).collect()}
+    assert kept == {d: t for d, t in rows if d not in want}
+    assert simhash.near_groups(frame.limit(0)).count() == 0
+
+
+def test_prefix_and_parity_are_bounds():
+    rng = np.random.default_rng(3)
+    for _ in range(300):
+        n = int(rng.integers(1, 1500))
+        a = np.unique(rng.integers(0, 2**63, n, dtype=np.uint64))
+        b = np.unique(np.concatenate([a[rng.random(len(a)) < 0.95], rng.integers(0, 2**63, int(n * rng.random() / 6), dtype=np.uint64)]))
+        both = len(np.intersect1d(a, b))
+        common = np.sort(a[rng.random(len(a)) < 0.5])
+        if both >= 0.8 * (len(a) + len(b) - both):
+            assert len(np.intersect1d(simhash.prefix(a, 0.8, common), simhash.prefix(b, 0.8, common)))
+        bits = np.bitwise_count(np.frombuffer(simhash.parity(a), np.uint8) ^ np.frombuffer(simhash.parity(b), np.uint8)).sum()
+        assert bits <= len(a) + len(b) - 2 * both
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(30)] + [(100, k) for k in range(101, 160)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in graph.components(spark.createDataFrame(edges, "u long, v long")).collect()}
