@@ -534,3 +534,26 @@ def test_pipeline(spark):
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, SF)
     assert {r[0] for r in packed.select("doc_id").distinct().collect()} == {r[0] for r in docs.select("doc_id").collect()}
     assert corpus_pipeline.ORACLE_SQL is None and len(corpus_pipeline.STAGES) == 5
+
+
+def test_pipeline_stages_against_brute_force(spark):
+    """Exact, near and passage stage on groups of more than two, pairs at 0.80-0.85 and long texts; the packing keeps every id."""
+    import corpus_pipeline
+
+    stage = dict(corpus_pipeline.STAGES)
+    rows = near_rows()
+    rows += [(10**6 + d, t.upper()) for d, t in rows[::7]]
+    last = {t.lower(): d for d, t in sorted(rows)}
+    out = stage["exact dedup"](spark, spark.createDataFrame(rows, "doc_id long, text string"), SF)
+    exact = {r["doc_id"]: r["text"] for r in out.collect()}
+    assert exact == {d: t for d, t in rows if last[t.lower()] == d}
+
+    docs = spark.createDataFrame(list(exact.items()), "doc_id long, text string")
+    near = {r["doc_id"]: r["text"] for r in stage["SimHash near-dedup"](spark, docs, SF).collect()}
+    gone = brute_groups(list(exact.items()))
+    assert near == {d: t for d, t in exact.items() if d not in gone}
+
+    out = stage["suffix-array dedup"](spark, spark.createDataFrame(list(near.items()), "doc_id long, text string"), SF)
+    got = {r["doc_id"]: hashlib.sha256(r["text"].encode()).hexdigest() for r in out.collect()}
+    assert got == {d: r[3] for d, r in brute_passages(list(near.items())).items()}
+    assert {r[0] for r in stage["best-fit packing"](spark, out, SF).select("doc_id").distinct().collect()} == set(got)
