@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -40,12 +42,47 @@ def literal(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``, else (tests) a fresh local one."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="equiscale-")).rstrip("/")
+    """A folder of this application below ``spark.checkpoint.dir``, which all executors share; it goes when the driver ends.
+
+    Unset, a session with one machine's threads (tests) gets a temporary folder; on a cluster that is an error, as
+    executors would write where neither the driver nor other executors can read.
+    """
+    top = spark.conf.get("spark.checkpoint.dir", None)
+    context = spark.sparkContext
+    if not top:
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        top = _LOCAL.setdefault(context.applicationId, "file://" + tempfile.mkdtemp(prefix="equiscale-"))
+    folder = f"{top.rstrip('/')}/equiscale-{context.applicationId}"
+    if folder not in _FOLDERS:
+        _FOLDERS.add(folder)
+        atexit.register(_remove, context._jvm, context._jsc.hadoopConfiguration(), folder)
+    return folder
+
+
+_LOCAL: dict[str, str] = {}
+_FOLDERS: set[str] = set()
+
+
+def _remove(jvm, conf, path: str) -> None:
+    with contextlib.suppress(Exception):  # the driver's JVM may have ended already
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(conf).delete(at, True)
 
 
 def cut(df: DataFrame) -> DataFrame:
     """Writes and reads again: lineage ends, and the size is known to the planner."""
     path = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._cut = path
+    return out
+
+
+def release(*cuts: DataFrame) -> None:
+    """Deletes what ``cut`` has written, once nothing will read it any more."""
+    for df in cuts:
+        path = getattr(df, "_cut", None)
+        if path is not None:
+            context = df.sparkSession.sparkContext
+            _remove(context._jvm, context._jsc.hadoopConfiguration(), path)
