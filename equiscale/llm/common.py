@@ -2,32 +2,44 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+import ctypes
+import inspect
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from equiscale.sources.io import cut, release, shared_dir  # noqa: F401
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``, else (tests) a fresh local one."""
-    configured = spark.conf.get("spark.checkpoint.dir", None)
-    if configured:
-        return configured.rstrip("/")
-    folder = getattr(spark, "_equiscale_dir", None)
-    if folder is None:
-        folder = "file://" + tempfile.mkdtemp(prefix="equiscale-")
-        spark._equiscale_dir = folder
-    return folder
+def trim() -> None:
+    """Gives this worker's freed memory back to the system.  Spark reuses workers, which else keep the peak of every stage."""
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    give_back = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if give_back is not None:
+        give_back(0)
+
+
+def lean(run):
+    """A function over Arrow batches or over one group, with ``trim`` when its task or its group ends."""
+    if inspect.isgeneratorfunction(run):
+
+        def held(*args):
+            yield from run(*args)
+            trim()
+
+    else:
 
+        def held(*args):
+            out = run(*args)
+            trim()
+            return out
 
-def cut(df: DataFrame) -> DataFrame:
-    """Writes ``df`` as Parquet in the shared folder and reads it back: lineage ends there."""
-    path = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    held.__signature__ = inspect.signature(run)  # Spark counts the arguments
+    return held
 
 
 def texts(docs: DataFrame) -> DataFrame:

@@ -16,7 +16,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, text_chunks, texts
+from .common import fold, lean, text_chunks, texts
 
 #: Documents that the model is fitted on, at most (about; chosen by a hash of doc_id).
 SAMPLE_ROWS = 4_000
@@ -128,7 +128,7 @@ def learn(docs: DataFrame, *, sample_rows: int = SAMPLE_ROWS, **options) -> Lang
             got = [_histogram(t) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([i.astype("<i4").tobytes() for i, _ in got], pa.binary()), pa.array([c.astype("<f4").tobytes() for _, c in got], pa.binary())], ["doc_id", "lang", "i", "c"])
 
-    rows = own.mapInArrow(run, "doc_id long, lang string, i binary, c binary").collect()
+    rows = own.mapInArrow(lean(run), "doc_id long, lang string, i binary, c binary").collect()
     rows.sort(key=lambda r: (r["doc_id"] is not None, r["doc_id"]))
     return LanguageModel.train([(np.frombuffer(r["i"], "<i4"), np.frombuffer(r["c"], "<f4"), r["lang"]) for r in rows], **options)
 
@@ -144,7 +144,7 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
                 lang, p = model.predict(part.column(1).to_pylist())
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(lang, pa.string()), pa.array(p, pa.float64()), pa.array((p >= model.floor) & (p > 0))], ["doc_id", "lang_pred", "score", "accepted"])
 
-    return texts(docs).mapInArrow(run, "doc_id long, lang_pred string, score double, accepted boolean")
+    return texts(docs).mapInArrow(lean(run), "doc_id long, lang_pred string, score double, accepted boolean")
 
 
 def predict_languages(docs: DataFrame, *, sample_rows: int = SAMPLE_ROWS) -> DataFrame:

@@ -25,6 +25,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import lean
 from .suffixes import common_prefixes, locate, suffix_array, window_words
 
 LENGTH, GRAM = 50, 20
@@ -338,10 +339,10 @@ def _removal(docs: DataFrame, finish, schema: str, length: int, gram: int, shard
     dealt, n = _dealt(docs, shard_bytes)
     n_buckets = max(4, n // 2)
     thin = "bucket long, shard long, blob binary"
-    verdicts = dealt.groupBy("__shard").applyInArrow(_digests(n_buckets, length, gram), thin).groupBy("bucket").applyInArrow(_compare, "shard long, blob binary")
-    asked = dealt.groupBy("__shard").cogroup(verdicts.groupBy("shard")).applyInArrow(_select(2 * n_buckets, length, gram), "route long, shard long, blob binary")
-    spans = asked.groupBy("route").applyInArrow(_resolve(length, suffix_bytes), "shard long, blob binary")
-    return dealt.groupBy("__shard").cogroup(spans.groupBy("shard")).applyInArrow(finish, schema)
+    verdicts = dealt.groupBy("__shard").applyInArrow(lean(_digests(n_buckets, length, gram)), thin).groupBy("bucket").applyInArrow(lean(_compare), "shard long, blob binary")
+    asked = dealt.groupBy("__shard").cogroup(verdicts.groupBy("shard")).applyInArrow(lean(_select(2 * n_buckets, length, gram)), "route long, shard long, blob binary")
+    spans = asked.groupBy("route").applyInArrow(lean(_resolve(length, suffix_bytes)), "shard long, blob binary")
+    return dealt.groupBy("__shard").cogroup(spans.groupBy("shard")).applyInArrow(lean(finish), schema)
 
 
 def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 1_500_000) -> DataFrame:

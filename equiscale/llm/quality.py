@@ -16,7 +16,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, text_chunks, texts
+from .common import fold, lean, text_chunks, texts
 from .toxicity import labelled_sample, logistic
 
 #: Labelled rows that the model is fitted on, at most (about; chosen by a hash of doc_id).
@@ -172,7 +172,7 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS)
             x = x[:, :BASE].astype("<f4")
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([x[a:b].tobytes() for a, b in zip(start[:-1], start[1:])], pa.binary()), pa.array([size[a:b].astype("<i4").tobytes() for a, b in zip(start[:-1], start[1:])], pa.binary())], ["doc_id", "y", "x", "size"])
 
-    rows = labelled_sample(docs, labels, "quality", 3, 1, sample_rows).mapInArrow(run, "doc_id long, y int, x binary, size binary").collect()
+    rows = labelled_sample(docs, labels, "quality", 3, 1, sample_rows).mapInArrow(lean(run), "doc_id long, y int, x binary, size binary").collect()
     rows.sort(key=lambda r: r["doc_id"])
     if not rows:
         return QualityModel(None, None)
@@ -196,5 +196,5 @@ def score_documents(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SA
             for part in text_chunks(batch, 4_000_000):
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(model.score(part.column(1).to_pylist()))], ["doc_id", "score"])
 
-    out = texts(docs).mapInArrow(run, "doc_id long, score double")
+    out = texts(docs).mapInArrow(lean(run), "doc_id long, score double")
     return out.select("doc_id", (fold(F.col("doc_id"), 3) == 1).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))

@@ -20,7 +20,7 @@ from functools import lru_cache
 import numpy as np
 from pyspark.sql import DataFrame
 
-from .common import text_chunks, texts
+from .common import lean, text_chunks, texts
 from .merges import PairTable, UnitCache, merge_words
 
 MARK = "▁"
@@ -141,4 +141,4 @@ def _run(docs: DataFrame, model_file: str, begin: int, end: int, check_every: in
                 else:
                     yield pa.RecordBatch.from_arrays([ids_of, pa.array([np.concatenate([[begin], x, [end]]).astype(np.int32) for x in encoded], pa.list_(pa.int32())), pa.array(decoded, pa.string())], ["doc_id", "ids", "decoded"])
 
-    return texts(docs).mapInArrow(run, schema)
+    return texts(docs).mapInArrow(lean(run), schema)

@@ -35,7 +35,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, text_chunks, texts
+from .common import cut, lean, text_chunks, texts
 from .golay import indices
 from .graph import components
 from .sketches import WORDS
@@ -82,7 +82,7 @@ def fingerprints(docs: DataFrame, words: int = 4) -> DataFrame:
                 fps = [simhash(t, words).to_bytes(8, "little") for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary())], ["doc_id", "fps"])
 
-    return texts(docs).mapInArrow(run, "doc_id long, fps binary")
+    return texts(docs).mapInArrow(lean(run), "doc_id long, fps binary")
 
 
 BITS = 1024  # of the parity bitmap: bit i is the parity of how many of a text's shingle hashes fall on i
@@ -127,7 +127,7 @@ def common_shingles(docs: DataFrame, words: int, sample_bytes: int = 6_000_000,
             for part in text_chunks(batch, 8_000_000):
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([shingle_set(t, words) for t in part.column(1).to_pylist()]).view(np.int64))], ["h"])
 
-    found = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share).mapInArrow(run, "h long").groupBy("h").count().filter(F.col("count") >= least).select("h")
+    found = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share).mapInArrow(lean(run), "h long").groupBy("h").count().filter(F.col("count") >= least).select("h")
     return np.sort(np.asarray(found.toArrow().column("h")).astype(np.int64).view(np.uint64))
 
 
@@ -155,7 +155,7 @@ def word_set_fingerprints(docs: DataFrame, count: int = 3, words: int = WORDS, s
                     keys.append(prefix(h, similarity, common).tobytes())
                 yield pa.RecordBatch.from_arrays([part.column(0).fill_null(NULL_ID), pa.array(fps, pa.binary()), pa.array(sizes, pa.int64()), pa.array(bits, pa.binary()), pa.array(keys, pa.binary())], ["rep", "fps", "n", "bits", "keys"])
 
-    return texts(docs).mapInArrow(run, "rep long, fps binary, n long, bits binary, keys binary")
+    return texts(docs).mapInArrow(lean(run), "rep long, fps binary, n long, bits binary, keys binary")
 
 
 def _scramble(x: np.ndarray) -> np.ndarray:
@@ -221,7 +221,7 @@ def key_blobs(nodes: DataFrame, n_buckets: int, grid: dict[int, int] | None = No
             for at in range(0, len(rep), chunk):
                 yield emit(rep[at : at + chunk], fps[at : at + chunk])
 
-    return nodes.select("rep", "fps").mapInArrow(run, "bucket long, cell long, blob binary")
+    return nodes.select("rep", "fps").mapInArrow(lean(run), "bucket long, cell long, blob binary")
 
 
 class Forest:
@@ -315,7 +315,7 @@ def links(nodes: DataFrame, *, distance: int = DISTANCE, triples: bool = True, w
         u, v = spanning_stars(*_unblob(table.column("blob").to_pylist()), distance)
         return pa.table({"u": pa.array(u), "v": pa.array(v)})
 
-    return key_blobs(nodes, n_buckets, grid, triples).groupBy("bucket", "cell").applyInArrow(meet, "u long, v long")
+    return key_blobs(nodes, n_buckets, grid, triples).groupBy("bucket", "cell").applyInArrow(lean(meet), "u long, v long")
 
 
 def _nodes(rows: DataFrame) -> DataFrame:
@@ -508,7 +508,7 @@ def _held(ids: DataFrame) -> np.ndarray:
             p = (_scramble(np.asarray(batch.column(0)).view(np.uint64)) % np.uint64(m)).astype(np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(p >> 5), pa.array(np.int64(1) << (p & 31))], ["word", "bit"])
 
-    got = ids.mapInArrow(run, "word long, bit long").groupBy("word").agg(F.bit_or("bit").alias("bit")).toArrow()
+    got = ids.mapInArrow(lean(run), "word long, bit long").groupBy("word").agg(F.bit_or("bit").alias("bit")).toArrow()
     out = np.zeros(m >> 5, np.uint32)
     out[np.asarray(got.column("word"))] = np.asarray(got.column("bit")).astype(np.uint32)
     return out
@@ -541,10 +541,10 @@ def verified(docs: DataFrame, edges: DataFrame, similarity: float, words: int =
                 ok.append((both / union if union else 1.0) >= similarity)
             yield pa.RecordBatch.from_arrays([batch.column("u"), batch.column("v"), pa.array(ok, pa.bool_())], ["u", "v", "ok"])
 
-    full = cut(texts(docs).mapInArrow(sets, "id long, hashes binary"))
+    full = cut(texts(docs).mapInArrow(lean(sets), "id long, hashes binary"))
     pairs = edges.join(full.select(F.col("id").alias("__a"), F.col("hashes").alias("a")), F.col("u") == F.col("__a")).drop("__a")
     pairs = pairs.join(full.select(F.col("id").alias("__b"), F.col("hashes").alias("b")), F.col("v") == F.col("__b")).select("u", "v", "a", "b")
-    return cut(pairs.mapInArrow(judge, "u long, v long, ok boolean"))
+    return cut(pairs.mapInArrow(lean(judge), "u long, v long, ok boolean"))
 
 
 def near_groups(docs: DataFrame, *, similarity: float = 0.8, count: int = 3, distance: int = 20, bucket_bytes: int = 48_000_000) -> DataFrame:
@@ -558,7 +558,7 @@ def near_groups(docs: DataFrame, *, similarity: float = 0.8, count: int = 3, dis
     size = rows.agg(F.sum(F.octet_length("keys")).alias("b")).first()["b"] or 0
     n_buckets = max(12, -(-2 * size // (bucket_bytes // 2)))
     blobs = "bucket long, blob binary"
-    shared = cut(rows.select("rep", "keys").mapInArrow(_dealt_keys(n_buckets), blobs).groupBy("bucket").applyInArrow(_repeated, "rep long, keys binary"))
+    shared = cut(rows.select("rep", "keys").mapInArrow(lean(_dealt_keys(n_buckets)), blobs).groupBy("bucket").applyInArrow(lean(_repeated), "rep long, keys binary"))
     for every in (False, True):
         group = components(sure)
         known = rows.select(F.col("rep").alias("__r"), "n", "bits").join(group, F.col("__r") == F.col("node"), "left").select("__r", "n", "bits", F.coalesce("root", "__r").alias("label"))
@@ -566,7 +566,7 @@ def near_groups(docs: DataFrame, *, similarity: float = 0.8, count: int = 3, dis
         met = cut(met)
         # a pair of similar texts is in the first part or, if one has more than LONG shingles, in the second
         parts = [(met.filter(F.col("n") <= LONG), BITS), (met.filter(F.col("n") >= similarity * LONG), WIDE)]
-        found = [part.mapInArrow(_dealt_keys(n_buckets, bits), blobs).groupBy("bucket").applyInArrow(_within(similarity, every, bits), "u long, v long") for part, bits in parts]
+        found = [part.mapInArrow(lean(_dealt_keys(n_buckets, bits)), blobs).groupBy("bucket").applyInArrow(lean(_within(similarity, every, bits)), "u long, v long") for part, bits in parts]
         tried = verified(docs, found[0].unionByName(found[1]).filter("u <> v"), similarity)
         sure = cut(sure.unionByName(tried.filter("ok").select("u", "v")))
         if tried.filter("not ok").isEmpty():  # else a pair may hang on an edge that failed: all pairs of different groups follow

@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, fold, text_chunks, texts
+from .common import cut, fold, lean, text_chunks, texts
 
 #: Labelled rows that the model is fitted on, at most (about; chosen by a hash of doc_id).
 SAMPLE_ROWS = 20_000
@@ -220,7 +220,7 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS,
                     tally.setdefault(w, [0, 0])[y] += 1
         yield pa.RecordBatch.from_arrays([pa.array(list(tally), pa.string()), pa.array([v[1] for v in tally.values()], pa.int64()), pa.array([v[0] for v in tally.values()], pa.int64())], ["term", "toxic", "other"])
 
-    terms = cut(sample.mapInArrow(count, "term string, toxic long, other long").groupBy("term").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other")))
+    terms = cut(sample.mapInArrow(lean(count), "term string, toxic long, other long").groupBy("term").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other")))
     support = max(4, n_toxic // 100)
     strong = terms.filter((F.col("toxic") >= support) & (F.col("toxic") >= precision * (F.col("toxic") + F.col("other")))).orderBy(F.desc("toxic"), "term").limit(LEXICON_SIZE).collect()
     stems = {r["term"] for r in strong if r["term"].endswith("*")}
@@ -244,7 +244,7 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS,
 
     # neighbours seen in one clean document alone stay hits here, as new ones will when texts are scored
     seen = terms.filter("other > 1 and other * 3 > toxic and not endswith(term, '*')").orderBy(F.desc("other")).limit(1_000_000)
-    clean = {r["term"] for r in seen.select("term").mapInArrow(neighbours, "term string").limit(100_000).collect()} if lexicon_terms else set()
+    clean = {r["term"] for r in seen.select("term").mapInArrow(lean(neighbours), "term string").limit(100_000).collect()} if lexicon_terms else set()
 
     def featured(batches):
         import pyarrow as pa
@@ -254,7 +254,7 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS,
             x = [scan.features(t) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float64())), batch.column(2)], ["x", "y"])
 
-    rows = sample.select("doc_id", "text", "y").mapInArrow(featured, "x array<double>, y int").collect()
+    rows = sample.select("doc_id", "text", "y").mapInArrow(lean(featured), "x array<double>, y int").collect()
     y = np.array([r["y"] for r in rows], float)
     if not len(y) or y.min() == y.max():
         return [], set(), [0.0] * (FEATURES - 1) + [-30.0]
@@ -278,7 +278,7 @@ def score(docs: DataFrame, model: tuple[list[str], set[str], list[float]], colum
 
     rows = texts(docs) if columns is None else docs.select(*columns)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields) + ", __score double"
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(lean(run), schema)
 
 
 def judge(docs: DataFrame, labels: DataFrame, *, threshold: float = 0.5, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
