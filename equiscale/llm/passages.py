@@ -3,18 +3,20 @@
 Every byte goes that is covered by a ``length``-byte string which also starts in a document with a smaller id.
 
 1. Documents are dealt into shards by a hash of their id (the only time that texts shuffle; later steps reuse the exchange).
-2. Every window of ``length`` bytes has one anchor: the ``gram`` bytes in it with the smallest hash (the
-   first of several).  Equal windows have equal anchors, so equal windows are found by
-   anchor.  Neighbouring windows with one anchor are one context.
-3. Shards exchange thin digests of anchors and contexts by anchor: a context whose very bytes occur in a
-   document with a smaller id is removed whole.  The digest of a context leaves a shard once, however often it occurs there.
-4. What remains are anchors with several different contexts, that is the edges of passages.  Their bytes
-   are dealt by anchor into suffix shards; each sorts its suffixes (Larsson-Sadakane), takes common prefixes (Kasai) and finds each window's
-   smallest id; suffix shards over ``shard_bytes`` are cut, and the sorted arrays merged by binary search.
-5. Shards get the removed spans of their documents back and cut them out.
+2. Every window of ``length`` bytes has one anchor: the ``gram`` bytes in it with the smallest hash (the first of several).
+   Equal windows have equal anchors.  Neighbouring windows with one anchor are one context.
+3. Shards exchange thin digests of their anchors.  An anchor of one document alone repeats nowhere and is done with.  Digests
+   only choose candidates; from here on bytes decide.
+4. Each shard deals the bytes of its other contexts into suffix shards by anchor, equal contexts (compared by their bytes)
+   once.  An anchor with more than ``hot_contexts`` contexts is split: its windows are dealt by most of their own bytes, so
+   that a frequent header's surroundings go to many tasks.
+5. Each suffix shard of at most about ``suffix_bytes`` sorts its suffixes (Larsson-Sadakane), takes common prefixes (Kasai)
+   and finds the smallest id of each window; sorted windows of several suffix shards of a task are merged by binary search.
+6. Shards get the removed spans of their documents back and cut them out.
 
 Defined results: null text is empty; null ids rank below all others; rows that repeat an id are one document, which
-never removes from itself; cut characters leave no bytes of theirs in ``kept text`` of the filter form; an empty table gives no rows.
+never removes from itself, and each keeps its own text and spans; cut characters leave no bytes of theirs in ``text`` of the
+filter form; an empty table gives no rows; a text shorter than ``length`` bytes loses nothing; other columns are kept or ignored.
 """
 
 from __future__ import annotations
@@ -26,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import lean
-from .suffixes import common_prefixes, locate, suffix_array, window_words
+from .suffixes import common_prefixes, locate, merge_windows, suffix_array, window_words
 
 LENGTH, GRAM = 50, 20
 SEGMENT = 1_000_000  # bytes that are hashed at once
@@ -52,8 +54,32 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def contexts(texts: list[bytes], length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, ...]:
-    """(text, first window, last window, anchor hash, context hash) of all contexts of all texts."""
+STEP = 4  # neighbouring windows of a hot anchor that are dealt together
+
+
+def _split(a: np.ndarray, b: np.ndarray, p: np.ndarray, h: np.ndarray, hot: np.ndarray, digest, length: int, gram: int) -> tuple[np.ndarray, ...]:
+    """(first window, last window, anchor, key): contexts of hot anchors cut by where the anchor lies in the window, keyed by the bytes that all windows of a cut share."""
+    split = _among(h >> np.uint64(24), hot)
+    if not split.any():
+        return a, b, p, h
+    cuts = [(a[~split], b[~split], p[~split], h[~split])]
+    a, b, p = a[split], b[split], p[split]
+    for q in range(0, length - gram + 1, STEP):
+        low, high = np.maximum(a, p - (q + STEP - 1)), np.minimum(b, p - q)
+        ok = low <= high
+        begin = p[ok] - q
+        cuts.append((low[ok], high[ok], p[ok], _mix(digest(begin, begin - (STEP - 1) + length) ^ np.uint64((2 * q + 1) * 0x9E3779B9))))
+    return tuple(np.concatenate(x) for x in zip(*cuts))
+
+
+def _among(x: np.ndarray, ascending: np.ndarray) -> np.ndarray:
+    if not len(ascending):
+        return np.zeros(len(x), bool)
+    return ascending[np.minimum(np.searchsorted(ascending, x), len(ascending) - 1)] == x
+
+
+def contexts(texts: list[bytes], length: int = LENGTH, gram: int = GRAM, hot: np.ndarray = np.zeros(0, np.uint64)) -> tuple[np.ndarray, ...]:
+    """(text, first window, last window, key, context hash) of all contexts of all texts.  The key is the anchor's hash, but for ``hot`` anchors."""
     found: list[tuple[np.ndarray, ...]] = []
     held: list[tuple[int, int, bytes]] = []
     size = 0
@@ -78,12 +104,13 @@ def contexts(texts: list[bytes], length: int = LENGTH, gram: int = GRAM) -> tupl
         first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]]))
         last = np.append(first[1:], len(anchor)) - 1
         a, b, p = valid[first], valid[last], anchor[first]
-        own = (total[b + length] - total[a]) * up[a]
-        c = _mix(own ^ ((b - a).astype(np.uint64) * np.uint64(0xA24BAED4963EE407)) ^ ((p - a).astype(np.uint64) * np.uint64(0x9FB21C651E98DF25)))
+        digest = lambda x, y: (total[y] - total[x]) * up[x]
+        a, b, p, key = _split(a, b, p, grams[p], hot, digest, length, gram)
+        c = _mix(digest(a, b + length) ^ ((b - a).astype(np.uint64) * np.uint64(0xA24BAED4963EE407)) ^ ((p - a).astype(np.uint64) * np.uint64(0x9FB21C651E98DF25)))
         which = np.searchsorted(ends, a, side="right")
         text = np.array([t for t, _, _ in held])[which]
         shift = np.array([o for _, o, _ in held])[which] - begins[which]
-        found.append((text, a + shift, b + shift, grams[p], c))
+        found.append((text, a + shift, b + shift, key, c))
 
     for t, raw in enumerate(texts):
         for at in range(0, len(raw), SEGMENT):
@@ -120,26 +147,36 @@ def _pack(*cols: np.ndarray) -> bytes:
     return b"".join(np.ascontiguousarray(c).tobytes() for c in cols)
 
 
-def _narrow(x: np.ndarray, size: int) -> np.ndarray:
-    return x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :size]
+ANCHOR = 5  # bytes of an anchor's hash by which anchors are told apart; its bucket comes from the others
+_ANCHOR = np.dtype([("hash", "u1", ANCHOR), ("contexts", "<u2")])
+MANY = 1 << 15  # added to ``contexts`` if the shard has the anchor in several documents
+_SPAN = np.dtype([("row", "<u4"), ("a", "<u4"), ("b", "<u4")])
 
 
-def _wide(raw: bytes, n: int, size: int, at: int) -> np.ndarray:
-    out = np.zeros((n, 8), np.uint8)
-    out[:, :size] = np.frombuffer(raw, np.uint8, n * size, at).reshape(n, size)
-    return out.view("<u8").ravel()
+def _narrow(x: np.ndarray) -> np.ndarray:
+    return x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :ANCHOR]
 
 
-ANCHOR, CONTEXT = 5, 6  # bytes kept of the hashes; an anchor's bucket comes from other bits
-_CUT = np.uint64((1 << 8 * CONTEXT) - 1)
+def _wide(x: np.ndarray) -> np.ndarray:
+    out = np.zeros((len(x), 8), np.uint8)
+    out[:, :ANCHOR] = x
+    return out.view("<u8").ravel()
 
 
-def _docs_of(table) -> tuple[np.ndarray, list[bytes]]:
+def _docs_of(table):
+    """The shard's rows in order of id and text, their ids, and their texts as bytes: a row's number is the same in every step."""
     import pyarrow as pa
     import pyarrow.compute as pc
 
     ids = np.asarray(pc.fill_null(table.column("doc_id").cast(pa.int64()), -(2**63)))
-    return ids, table.column("text").cast(pa.binary()).fill_null(b"").to_pylist()
+    raw = table.column("text").cast(pa.binary()).fill_null(b"").to_pylist()
+    order = np.argsort(ids, kind="stable")
+    again = np.flatnonzero(ids[order][1:] == ids[order][:-1])
+    if len(again):
+        order = np.array(sorted(order.tolist(), key=lambda k: (ids[k], raw[k])), np.int64)
+    if (order[1:] > order[:-1]).all():
+        return table, ids, raw
+    return table.take(pa.array(order)), ids[order], [raw[k] for k in order.tolist()]
 
 
 def _by_bucket(bucket: np.ndarray):
@@ -148,176 +185,226 @@ def _by_bucket(bucket: np.ndarray):
     return zip(own.tolist(), np.split(order, first[1:])) if len(own) else ()
 
 
-def _digests(n_buckets: int, length: int, gram: int):
-    """Shard -> (bucket, shard, blob): anchor, context and smallest id of each of its contexts."""
+def _rows(rows: list[tuple], *names: str):
+    import pyarrow as pa
+
+    cols = list(zip(*rows)) or [()] * len(names)
+    return pa.table({n: pa.array(c, pa.binary() if n == "blob" else pa.int64()) for n, c in zip(names, cols)})
 
-    def run(key, table):
-        import pyarrow as pa
 
-        ids, raw = _docs_of(table)
+def _anchors(n_buckets: int, length: int, gram: int):
+    """Shard -> (bucket, shard, blob): its anchors, how many contexts each has, and whether in several documents."""
+
+    def run(key, table):
+        _, ids, raw = _docs_of(table)
         t, _, _, h, c = contexts(raw, length, gram)
-        doc, c = ids[t], c & _CUT
-        order = np.lexsort((doc, c))
-        order = order[np.concatenate([[True], c[order][1:] != c[order][:-1]])] if len(order) else order
-        order = order[np.argsort(doc[order], kind="stable")]
+        doc = ids[t]
+        order = np.lexsort((c, h))
         h, c, doc = h[order], c[order], doc[order]
-        rows = [(b, key[0].as_py(), _pack(_narrow(h[i] >> np.uint64(24), ANCHOR), _narrow(c[i], CONTEXT), doc[i])) for b, i in _by_bucket(((h & _PLACE) % np.uint64(n_buckets)).astype(np.int64))]
-        return pa.table({"bucket": pa.array([r[0] for r in rows], pa.int64()), "shard": pa.array([r[1] for r in rows], pa.int64()), "blob": pa.array([r[2] for r in rows], pa.binary())})
+        first = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]])) if len(h) else np.zeros(0, np.int64)
+        n = np.add.reduceat(np.concatenate([[1], (h[1:] != h[:-1]) | (c[1:] != c[:-1])]), first) if len(h) else first
+        many = np.minimum.reduceat(doc, first) < np.maximum.reduceat(doc, first) if len(h) else first
+        out = np.zeros(len(first), _ANCHOR)
+        out["hash"], out["contexts"] = _narrow(h[first] >> np.uint64(24)), np.minimum(n, MANY - 1) + MANY * many
+        return _rows([(b, key[0].as_py(), out[i].tobytes()) for b, i in _by_bucket(((h[first] & _PLACE) % np.uint64(n_buckets)).astype(np.int64))], "bucket", "shard", "blob")
 
     return run
 
 
-def _compare(table):
-    """Bucket -> (shard, blob): contexts to remove whole, then contexts whose anchor has others."""
-    import pyarrow as pa
+def _candidates(hot_contexts: int):
+    """Bucket -> (shard, blob): which of a shard's anchors several documents have, hot ones first."""
+
+    def run(table):
+        parts = [np.frombuffer(b, _ANCHOR) for b in table.column("blob").to_pylist()]
+        shard = np.repeat(np.asarray(table.column("shard")), [len(x) for x in parts])
+        every = np.concatenate(parts)
+        own, at = np.unique(_wide(every["hash"]), return_inverse=True)
+        held = every["contexts"].astype(np.int64)
+        several = (np.bincount(at, minlength=len(own)) > 1) | (np.bincount(at, held >= MANY) > 0)
+        hot = np.bincount(at, held % MANY) > hot_contexts
+        keep = np.flatnonzero(several[at])
+        rows = []
+        for s, i in _by_bucket(shard[keep]):
+            mine = at[keep[i]]
+            is_hot = hot[mine]
+            rows.append((s, np.int64(is_hot.sum()).tobytes() + _pack(_narrow(own[mine[is_hot]]), _narrow(own[mine[~is_hot]]))))
+        return _rows(rows, "shard", "blob")
+
+    return run
 
-    h, c, doc, shard = [], [], [], []
-    for s, blob in zip(table.column("shard").to_pylist(), table.column("blob").to_pylist()):
-        n = len(blob) // (ANCHOR + CONTEXT + 8)
-        h.append(_wide(blob, n, ANCHOR, 0))
-        c.append(_wide(blob, n, CONTEXT, n * ANCHOR))
-        doc.append(np.frombuffer(blob, "<i8", n, n * (ANCHOR + CONTEXT)))
-        shard.append(np.full(n, s, np.int64))
-    h, c, doc, shard = map(np.concatenate, (h, c, doc, shard))
-    order = np.argsort(h, kind="stable")
-    h = h[order]
-    again = np.concatenate([[False], h[1:] == h[:-1]])
-    again[:-1] |= again[1:]
-    order, h = order[again], h[again]
-    c, doc, shard = c[order], doc[order], shard[order]
-    order = np.lexsort((doc, c, h))
-    h, c, doc, shard = h[order], c[order], doc[order], shard[order]
-    if not len(h):
-        return pa.table({"shard": pa.array([], pa.int64()), "blob": pa.array([], pa.binary())})
-    new_h = np.concatenate([[True], h[1:] != h[:-1]])
-    new_c = new_h | np.concatenate([[True], c[1:] != c[:-1]])
-    least = doc[np.flatnonzero(new_c)][np.cumsum(new_c) - 1]
-    group = np.cumsum(new_h) - 1
-    mixed = (np.bincount(group, new_c) > 1)[group]
-    whole = doc > least
-    keep = whole | mixed
-    c, shard, whole = c[keep], shard[keep], whole[keep]
-    rows = []
-    for s, i in _by_bucket(shard):
-        w = whole[i]
-        rows.append((s, np.int64(w.sum()).tobytes() + _pack(c[i][w], c[i][~w])))
-    return pa.table({"shard": pa.array([r[0] for r in rows], pa.int64()), "blob": pa.array([r[1] for r in rows], pa.binary())})
+
+def collapse(raw: list[bytes], t: np.ndarray, a: np.ndarray, z: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, list[bytes]]:
+    """(number of each string raw[t][a:z], the strings), equal strings once: hashes ``c`` bring them together, their bytes decide."""
+    group, bodies = np.zeros(len(t), np.int64), []
+    odd: dict[bytes, int] = {}
+    last = None
+    order = np.argsort(c, kind="stable")
+    for k, text, x, y, h in zip(order.tolist(), t[order].tolist(), a[order].tolist(), z[order].tolist(), c[order].tolist()):
+        own = raw[text][x:y]
+        if h != last:
+            last, own_group = h, len(bodies)
+            bodies.append(own)
+            odd.clear()
+        elif bodies[own_group] != own:  # two strings of one hash
+            if own not in odd:
+                odd[own] = len(bodies)
+                bodies.append(own)
+            group[k] = odd[own]
+            continue
+        group[k] = own_group
+    return group, bodies
 
 
 def _select(n_routes: int, length: int, gram: int):
-    """Shard and its verdicts -> (route, shard, blob): bytes of mixed contexts by anchor bucket, spans already sure on route -1 - shard."""
+    """Shard and its candidates -> (route, shard, blob): bytes of its contexts, equal ones once; spans already sure on route -1 - shard."""
 
     def run(key, docs, verdicts):
-        import pyarrow as pa
-
-        shard = key[0].as_py()
-        rows = []
+        shard, rows = key[0].as_py(), []
         if docs.num_rows:
-            ids, raw = _docs_of(docs)
-            whole, mixed = [], []
+            _, ids, raw = _docs_of(docs)
+            hot, cool = [np.zeros(0, np.uint64)], [np.zeros(0, np.uint64)]
             for blob in verdicts.column("blob").to_pylist():
+                both = _wide(np.frombuffer(blob, np.uint8, offset=8).reshape(-1, ANCHOR))
                 n = int(np.frombuffer(blob, "<i8", 1)[0])
-                both = np.frombuffer(blob, "<u8", offset=8)
-                whole.append(both[:n])
-                mixed.append(both[n:])
-            whole, mixed = (np.unique(np.concatenate([np.zeros(0, np.uint64), *x])) for x in (whole, mixed))
+                hot.append(both[:n])
+                cool.append(both[n:])
+            hot = np.unique(np.concatenate(hot))
             t, a, b, h, c = contexts(raw, length, gram)
-            doc, c = ids[t], c & _CUT
-            own, inverse = np.unique(c, return_inverse=True)
-            least = np.full(len(own), np.iinfo(np.int64).max)
-            np.minimum.at(least, inverse, doc)
-            sure = (doc > least[inverse]) | np.isin(c, whole)
-            d, x, y = _merge_spans(doc[sure], a[sure], b[sure] + length)
-            if len(d):
-                rows.append((-1 - shard, shard, _pack(d, x, y)))
-            ask = np.flatnonzero(~sure & np.isin(c, mixed))
-            for bucket, i in _by_bucket(((h[ask] & _PLACE) % np.uint64(n_routes)).astype(np.int64)):
-                pick = ask[i]
-                order = np.argsort(c[pick], kind="stable")
-                pick = pick[order]
-                first = np.flatnonzero(np.concatenate([[True], c[pick][1:] != c[pick][:-1]]))
-                one = pick[first]
-                body = [raw[t[k]][a[k] : b[k] + length] for k in one.tolist()]
-                head = np.array([len(one), len(pick)], "<i8")
-                rows.append((bucket, shard, _pack(head, doc[one], np.array([len(x) for x in body], "<i8"), np.diff(np.append(first, len(pick))).astype("<i8"), a[pick].astype("<i8")) + b"".join(body)))
-        return pa.table({"route": pa.array([r[0] for r in rows], pa.int64()), "shard": pa.array([r[1] for r in rows], pa.int64()), "blob": pa.array([r[2] for r in rows], pa.binary())})
+            wanted = np.unique(np.concatenate([hot, *cool]))
+            ask = _among(h >> np.uint64(24), wanted)
+            if len(hot):  # again, with contexts of hot anchors cut
+                t, a, b, h, c, ask = _with_cuts(raw, length, gram, hot, (t, a, b, h, c), ask)
+            t, a, b, h, c = t[ask], a[ask], b[ask], h[ask], c[ask]
+            group, bodies = collapse(raw, t, a, b + length, c)
+            doc = ids[t]
+            least = np.full(len(bodies), np.iinfo(np.int64).max)
+            np.minimum.at(least, group, doc)
+            sure = doc > least[group]
+            row, x, y = _merge_spans(t[sure], a[sure], b[sure] + length)
+            if len(row):
+                rows.append((-1 - shard, shard, _spans(row, x, y)))
+            open_at = np.flatnonzero(~sure)
+            open_at = open_at[np.argsort(group[open_at], kind="stable")]
+            first = np.flatnonzero(np.concatenate([[True], np.diff(group[open_at]) > 0])) if len(open_at) else open_at
+            count = np.diff(np.append(first, len(open_at)))
+            place = np.zeros(len(open_at), _SPAN)
+            place["row"], place["a"] = t[open_at], a[open_at]
+            for route, i in _by_bucket(((h[open_at[first]] & _PLACE) % np.uint64(n_routes)).astype(np.int64)):
+                mine = group[open_at[first[i]]].tolist()
+                body = [bodies[g] for g in mine]
+                at = np.repeat(first[i] - (np.cumsum(count[i]) - count[i]), count[i]) + np.arange(count[i].sum())
+                head = np.array([len(body), len(at)], "<i8")
+                rows.append((route, shard, _pack(head, least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count[i].astype("<u4"), place[at]) + b"".join(body)))
+        return _rows(rows, "route", "shard", "blob")
 
     return run
 
 
-def smallest_ids(bodies: list[bytes], doc: np.ndarray, length: int, shard_bytes: int) -> list[np.ndarray]:
-    """For each body, the smallest id that has the window at each start, by suffix arrays of at most about ``shard_bytes`` each."""
-    sizes = np.array([len(x) for x in bodies])
-    part = np.cumsum(sizes) // shard_bytes
-    shards = []
+def _with_cuts(raw: list[bytes], length: int, gram: int, hot: np.ndarray, plain: tuple[np.ndarray, ...], ask: np.ndarray):
+    """The contexts with those of hot anchors cut, and which of them are candidates: a cut one always is."""
+    is_hot = _among(plain[3] >> np.uint64(24), hot)
+    texts = np.unique(plain[0][is_hot])
+    t, a, b, h, c = contexts([raw[k] for k in texts.tolist()], length, gram, hot)
+    # cut contexts lie inside the plain ones of hot anchors
+    t = texts[t]
+    plain_hot = np.flatnonzero(is_hot)
+    key = lambda x, y: (x.astype(np.int64) << 32) | y
+    begins = key(plain[0][plain_hot], plain[1][plain_hot])
+    order = np.argsort(begins)
+    at = np.searchsorted(begins[order], key(t, a), side="right") - 1
+    own = plain_hot[order[np.maximum(at, 0)]]
+    inside = (at >= 0) & (plain[0][own] == t) & (a <= plain[2][own])
+    keep = ask & ~is_hot
+    cut = [np.concatenate([x[keep], y[inside]]) for x, y in zip(plain, (t, a, b, h, c))]
+    return (*cut, np.ones(len(cut[0]), bool))
+
+
+def _spans(row: np.ndarray, a: np.ndarray, b: np.ndarray) -> bytes:
+    out = np.zeros(len(row), _SPAN)
+    out["row"], out["a"], out["b"] = row, a, b
+    return out.tobytes()
+
+
+def smallest_ids(bodies: list[bytes], doc: np.ndarray, length: int, suffix_bytes: int) -> tuple[np.ndarray, np.ndarray]:
+    """The smallest id that has the window at each start of each body, flat, and where each body's begin; by suffix arrays of at most about ``suffix_bytes`` each."""
+    sizes = np.array([len(x) for x in bodies], np.int64)
+    windows = np.maximum(sizes - length + 1, 0)
+    begins = np.concatenate([[0], np.cumsum(windows)])
+    out = np.full(int(begins[-1]), np.iinfo(np.int64).max)
+    part = np.cumsum(sizes) // suffix_bytes
+    shards, merged = [], []
     for p in np.unique(part).tolist():
         pick = np.flatnonzero(part == p)
         text = np.frombuffer(b"".join(bodies[k] for k in pick.tolist()), np.uint8)
         begin = np.cumsum(sizes[pick]) - sizes[pick]
-        owner = np.repeat(np.arange(len(pick)), sizes[pick])
+        owner = np.repeat(np.arange(len(pick), dtype=np.int32), sizes[pick])
         sa = suffix_array(text)  # in full order: Kasai's bound needs it
         group = np.cumsum(common_prefixes(text, sa, length) < length) - 1
         room = (begin + sizes[pick])[owner[sa]] - sa >= length  # windows of one body only
         sa, group = sa[room], group[room]
-        _, first, group = np.unique(group, return_index=True, return_inverse=True)
-        least = np.minimum.reduceat(doc[pick][owner[sa]], first) if len(first) else np.zeros(0, np.int64)
-        shards.append([pick, begin, sa, group, least, window_words(text, sa[first], length)])
-    lowest = [s[4].copy() for s in shards]
-    for x in range(len(shards)):
-        for y in range(x + 1, len(shards)):
-            at = locate(shards[x][5], shards[y][5])
-            hit = np.flatnonzero(at >= 0)
-            both = np.minimum(shards[y][4][hit], shards[x][4][at[hit]])
-            np.minimum.at(lowest[y], hit, both)
-            np.minimum.at(lowest[x], at[hit], both)
-    out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(bodies)
-    for (pick, begin, sa, group, _, _), least in zip(shards, lowest):
-        at = np.full(int(sizes[pick].sum()), np.iinfo(np.int64).max)
-        at[sa] = least[group]
-        for k, b in zip(pick.tolist(), begin.tolist()):
-            out[k] = at[b : b + max(0, len(bodies[k]) - length + 1)]
-    return out
-
-
-def _resolve(length: int, shard_bytes: int):
+        group = np.cumsum(np.concatenate([[True], group[1:] != group[:-1]])) - 1 if len(group) else group
+        first = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])) if len(group) else group
+        own = owner[sa]
+        least = np.minimum.reduceat(doc[pick][own], first) if len(first) else np.zeros(0, np.int64)
+        place = begins[pick][own] + (sa - begin[own])
+        words = window_words(text, sa[first], length)
+        shards.append((place, group, words))
+        merged.append((words, least))
+    while len(merged) > 1:  # two at a time
+        merged = [merge_windows(*merged[k], *merged[k + 1]) if k + 1 < len(merged) else merged[k] for k in range(0, len(merged), 2)]
+    for place, group, words in shards:
+        out[place] = merged[0][1][group if len(shards) == 1 else locate(merged[0][0], words)[group]]
+    return out, begins
+
+
+def _resolve(length: int, suffix_bytes: int):
     """Route -> (shard, blob) with removed spans."""
 
     def run(key, table):
-        import pyarrow as pa
-
         if key[0].as_py() < 0:
             return table.select(["shard", "blob"])
-        bodies, docs, shards, places = [], [], [], []
+        number: dict[bytes, int] = {}
+        docs, shards, counts, places, which = [], [], [], [], []
         for s, blob in zip(table.column("shard").to_pylist(), table.column("blob").to_pylist()):
             n, m = np.frombuffer(blob, "<i8", 2).tolist()
-            doc, size, count = np.frombuffer(blob, "<i8", 3 * n, 16).reshape(3, n)
-            docs.append(doc)
-            places += np.split(np.frombuffer(blob, "<i8", m, 16 + 24 * n), np.cumsum(count)[:-1])
-            ends = np.cumsum(size) + 16 + 24 * n + 8 * m
-            bodies += [blob[e - z : e] for e, z in zip(ends.tolist(), size.tolist())]
+            docs.append(np.frombuffer(blob, "<i8", n, 16))
+            size = np.frombuffer(blob, "<u2", n, 16 + 8 * n).astype(np.int64)
+            counts.append(np.frombuffer(blob, "<u4", n, 16 + 10 * n).astype(np.int64))
+            places.append(np.frombuffer(blob, _SPAN, m, 16 + 14 * n))
+            ends = np.cumsum(size) + 16 + 14 * n + _SPAN.itemsize * m
+            which += [number.setdefault(blob[e - z : e], len(number)) for e, z in zip(ends.tolist(), size.tolist())]
             shards.append(np.full(n, s, np.int64))
-        doc, shard = np.concatenate(docs), np.concatenate(shards)
-        out: list[tuple[int, int, int, int]] = []
-        for k, least in enumerate(smallest_ids(bodies, doc, length, shard_bytes)):
-            gone = np.flatnonzero(least < doc[k])
-            if len(gone):
-                runs = np.split(gone, np.flatnonzero(np.diff(gone) > 1) + 1)
-                out += [(int(shard[k]), int(doc[k]), int(p + r[0]), int(p + r[-1] + length)) for p in places[k] for r in runs]
-        cols = np.array(out, np.int64).reshape(-1, 4)
-        rows = [(s, _pack(*_merge_spans(cols[i, 1], cols[i, 2], cols[i, 3]))) for s, i in _by_bucket(cols[:, 0])]
-        return pa.table({"shard": pa.array([r[0] for r in rows], pa.int64()), "blob": pa.array([r[1] for r in rows], pa.binary())})
+        doc, shard, count, place, which = np.concatenate(docs), np.concatenate(shards), np.concatenate(counts), np.concatenate(places), np.array(which)
+        least = np.full(len(number), np.iinfo(np.int64).max)
+        np.minimum.at(least, which, doc)
+        lowest, begins = smallest_ids(list(number), least, length, suffix_bytes)
+        # windows of every shard's contexts, one after another; runs of removed ones
+        n_windows = np.diff(begins)[which]
+        ask = np.repeat(np.arange(len(which)), n_windows)
+        start = np.cumsum(n_windows) - n_windows
+        at = np.arange(len(ask)) - start[ask]
+        gone = np.flatnonzero(lowest[begins[which][ask] + at] < doc[ask])
+        new = np.concatenate([[True], (np.diff(gone) > 1) | (np.diff(ask[gone]) > 0)]) if len(gone) else np.zeros(0, bool)
+        first = np.flatnonzero(new)
+        last = np.append(first[1:], len(gone)) - 1 if len(gone) else first
+        of, low, high = ask[gone[first]], at[gone[first]], at[gone[last]] + length
+        # each run at all places of its context
+        begin = np.cumsum(count) - count
+        run_of = np.repeat(np.arange(len(of)), count[of])
+        spot = place[np.repeat(begin[of] - (np.cumsum(count[of]) - count[of]), count[of]) + np.arange(len(run_of))]
+        a = spot["a"].astype(np.int64)
+        s, row, x, y = shard[of][run_of], spot["row"].astype(np.int64), a + low[run_of], a + high[run_of]
+        return _rows([(k, _spans(*_merge_spans(row[i], x[i], y[i]))) for k, i in _by_bucket(s)], "shard", "blob")
 
     return run
 
 
-def _spans_of(ids: np.ndarray, blobs: list[bytes]) -> dict[int, list[tuple[int, int]]]:
-    parts = [np.frombuffer(b, "<i8").reshape(3, -1) for b in blobs]
-    if not parts:
-        return {}
-    doc, a, b = _merge_spans(*np.concatenate(parts, axis=1))
+def _spans_of(blobs: list[bytes]) -> dict[int, list[tuple[int, int]]]:
+    """Removed spans of each row number."""
+    every = np.frombuffer(b"".join(blobs), _SPAN)
     out: dict[int, list[tuple[int, int]]] = {}
-    for d, x, y in zip(doc.tolist(), a.tolist(), b.tolist()):
-        out.setdefault(d, []).append((x, y))
+    for r, x, y in zip(*(v.tolist() for v in _merge_spans(*(every[n].astype(np.int64) for n in ("row", "a", "b"))))):
+        out.setdefault(r, []).append((x, y))
     return out
 
 
@@ -335,48 +422,52 @@ def _dealt(docs: DataFrame, shard_bytes: int) -> tuple[DataFrame, int]:
     return docs.withColumn("__shard", F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(n))), n
 
 
-def _removal(docs: DataFrame, finish, schema: str, length: int, gram: int, shard_bytes: int, suffix_bytes: int) -> DataFrame:
+def _removal(docs: DataFrame, finish, schema: str, length: int, gram: int, shard_bytes: int, suffix_bytes: int, hot_contexts: int) -> DataFrame:
     dealt, n = _dealt(docs, shard_bytes)
     n_buckets = max(4, n // 2)
-    thin = "bucket long, shard long, blob binary"
-    verdicts = dealt.groupBy("__shard").applyInArrow(lean(_digests(n_buckets, length, gram)), thin).groupBy("bucket").applyInArrow(lean(_compare), "shard long, blob binary")
-    asked = dealt.groupBy("__shard").cogroup(verdicts.groupBy("shard")).applyInArrow(lean(_select(2 * n_buckets, length, gram)), "route long, shard long, blob binary")
-    spans = asked.groupBy("route").applyInArrow(lean(_resolve(length, suffix_bytes)), "shard long, blob binary")
+    sent, told = "bucket long, shard long, blob binary", "shard long, blob binary"
+    verdicts = dealt.groupBy("__shard").applyInArrow(lean(_anchors(n_buckets, length, gram)), sent).groupBy("bucket").applyInArrow(lean(_candidates(hot_contexts)), told)
+    asked = dealt.groupBy("__shard").cogroup(verdicts.groupBy("shard")).applyInArrow(lean(_select(3 * n_buckets, length, gram)), "route long, shard long, blob binary")
+    spans = asked.groupBy("route").applyInArrow(lean(_resolve(length, suffix_bytes)), told)
     return dealt.groupBy("__shard").cogroup(spans.groupBy("shard")).applyInArrow(lean(finish), schema)
 
 
-def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 1_500_000) -> DataFrame:
+#: Bytes of documents in a shard, bytes of a suffix array, and contexts from which an anchor is split over tasks.
+SHARD_BYTES, SUFFIX_BYTES, HOT_CONTEXTS = 8_000_000, 1_500_000, 4_000
+
+
+def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = SHARD_BYTES, suffix_bytes: int = SUFFIX_BYTES, hot_contexts: int = HOT_CONTEXTS) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
 
     def finish(docs, spans):
         import pyarrow as pa
 
-        ids, raw = _docs_of(docs)
-        by = _spans_of(ids, spans.column("blob").to_pylist())
-        rows = [(len(x), sum(b - a for a, b in own), len(own), hashlib.sha256(_kept(x, own)).hexdigest()) for x, own in ((x, by.get(d, [])) for d, x in zip(ids.tolist(), raw))]
+        docs, _, raw = _docs_of(docs)
+        by = _spans_of(spans.column("blob").to_pylist())
+        rows = [(len(x), sum(b - a for a, b in own), len(own), hashlib.sha256(_kept(x, own)).hexdigest()) for x, own in ((x, by.get(k, [])) for k, x in enumerate(raw))]
         cols = list(zip(*rows)) or [(), (), (), ()]
         return pa.table({"doc_id": docs.column("doc_id"), "n_bytes": pa.array(cols[0], pa.int64()), "n_removed": pa.array(cols[1], pa.int64()), "n_spans": pa.array(cols[2], pa.int64()), "kept_sha256": pa.array(cols[3], pa.string())})
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    return _removal(rows, finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", length, gram, shard_bytes, suffix_bytes)
+    return _removal(rows, finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", length, gram, shard_bytes, suffix_bytes, hot_contexts)
 
 
-def remove_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = 8_000_000, suffix_bytes: int = 1_500_000) -> DataFrame:
+def remove_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = SHARD_BYTES, suffix_bytes: int = SUFFIX_BYTES, hot_contexts: int = HOT_CONTEXTS) -> DataFrame:
     """All rows and columns, with the removed bytes cut out of ``text`` (null stays null) and ``n_chars``, where present, counted anew."""
     columns = docs.columns
 
     def finish(docs, spans):
         import pyarrow as pa
 
-        ids, raw = _docs_of(docs)
-        by = _spans_of(ids, spans.column("blob").to_pylist())
+        docs, _, raw = _docs_of(docs)
+        by = _spans_of(spans.column("blob").to_pylist())
         null = docs.column("text").is_null().to_pylist()
-        text = [None if gone else _kept(x, by[d]).decode(errors="ignore") if d in by else x.decode() for d, x, gone in zip(ids.tolist(), raw, null)]
+        text = [None if gone else _kept(x, by[k]).decode(errors="ignore") if k in by else x.decode() for k, (x, gone) in enumerate(zip(raw, null))]
         new = {"text": pa.array(text, pa.string())}
         if "n_chars" in columns:
             n = docs.column("n_chars")
-            new["n_chars"] = pa.array([len(t) if d in by else v for t, d, v in zip(text, ids.tolist(), n.to_pylist())], n.type)
+            new["n_chars"] = pa.array([len(t) if k in by else v for k, (t, v) in enumerate(zip(text, n.to_pylist()))], n.type)
         return pa.table({c: new.get(c, docs.column(c)) for c in columns})
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return _removal(docs, finish, schema, length, gram, shard_bytes, suffix_bytes)
+    return _removal(docs, finish, schema, length, gram, shard_bytes, suffix_bytes, hot_contexts)

@@ -114,8 +114,8 @@ def _less(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return out
 
 
-def locate(ordered: np.ndarray, probes: np.ndarray) -> np.ndarray:
-    """Row of ``ordered`` (ascending rows) that equals each probe, or -1, by binary search."""
+def _lower(ordered: np.ndarray, probes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first row of ``ordered`` that is not below each probe, whether it equals it), by binary search."""
     lo, hi = np.zeros(len(probes), np.int64), np.full(len(probes), len(ordered), np.int64)
     for _ in range(max(1, len(ordered)).bit_length()):
         live = lo < hi
@@ -124,5 +124,21 @@ def locate(ordered: np.ndarray, probes: np.ndarray) -> np.ndarray:
         below[live] = _less(ordered[mid[live]], probes[live])
         lo, hi = np.where(live & below, mid + 1, lo), np.where(live & ~below, mid, hi)
     found = np.minimum(lo, max(0, len(ordered) - 1))
-    equal = (lo < len(ordered)) & (ordered[found] == probes).all(1) if len(ordered) else np.zeros(len(probes), bool)
-    return np.where(equal, found, -1)
+    return lo, (lo < len(ordered)) & (ordered[found] == probes).all(1) if len(ordered) else np.zeros(len(probes), bool)
+
+
+def locate(ordered: np.ndarray, probes: np.ndarray) -> np.ndarray:
+    """Row of ``ordered`` (ascending rows) that equals each probe, or -1."""
+    at, equal = _lower(ordered, probes)
+    return np.where(equal, at, -1)
+
+
+def merge_windows(words: np.ndarray, least: np.ndarray, more: np.ndarray, more_least: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two ascending lists of distinct windows as one, with the smaller id of each; the longer list is searched for the shorter one's."""
+    if len(words) < len(more):
+        words, least, more, more_least = more, more_least, words, least
+    at, equal = _lower(words, more)
+    least = least.copy()
+    least[at[equal]] = np.minimum(least[at[equal]], more_least[equal])
+    at = at[~equal]
+    return np.insert(words, at, more[~equal], axis=0), np.insert(least, at, more_least[~equal])

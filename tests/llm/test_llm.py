@@ -84,14 +84,68 @@ def brute_passages(rows, length=50):
     return out
 
 
-@pytest.mark.parametrize("shard,suffix", [(8_000_000, 4_000_000), (3000, 1500)])
-def test_passages(spark, odd, shard, suffix):
-    rows = local(odd)
-    got = passages.repeated_passages(odd, shard_bytes=shard, suffix_bytes=suffix).collect()
-    want = brute_passages(list(dict(rows).items()))
-    assert len(got) == len(rows)
-    for r in got:
-        assert tuple(r)[1:] == want[r["doc_id"]], r
+def passages_of(df, **options):
+    return sorted(tuple(r) if r["doc_id"] is not None else (-(2**63), *tuple(r)[1:]) for r in passages.repeated_passages(df, **options).collect())
+
+
+def brute_rows(rows, length=50):
+    """Like brute_passages, row by row: rows of one id never remove from each other."""
+    first, out = {}, []
+    for d, t in sorted((-(2**63) if d is None else d, t) for d, t in rows):
+        x = t.encode()
+        for i in range(len(x) - length + 1):
+            first.setdefault(x[i : i + length], d)
+    for d, t in rows:
+        d, x = -(2**63) if d is None else d, t.encode()
+        m = bytearray(len(x))
+        for i in range(len(x) - length + 1):
+            if first[x[i : i + length]] < d:
+                m[i : i + length] = b"\1" * length
+        out.append((d, len(x), sum(m), sum(1 for i in range(len(m)) if m[i] and (i == 0 or not m[i - 1])), hashlib.sha256(bytes(c for c, k in zip(x, m) if not k)).hexdigest()))
+    return sorted(out)
+
+
+@pytest.mark.parametrize("shard,suffix,hot", [(8_000_000, 4_000_000, 1000), (3000, 1500, 1000), (3000, 600, 1)])
+def test_passages(spark, odd, shard, suffix, hot):
+    assert passages_of(odd, shard_bytes=shard, suffix_bytes=suffix, hot_contexts=hot) == brute_rows(local(odd))
+
+
+def header_rows(n=60):
+    """A header in every text between texts of their own, texts cut out of others at every offset, and one id with two texts."""
+    rng = random.Random(9)
+    words = LOREM.split()
+    some = lambda k: " ".join(rng.choice(words) + str(rng.randrange(10)) for _ in range(k))
+    header = " licensed for every use under the terms of the open stone bridge accord, without any warranty, "
+    rows = [(i, some(rng.randrange(12)) + header + some(rng.randrange(12))) for i in range(n)]
+    rows += [(n + i, rows[i][1][i : i + 60 + i]) for i in range(n)]
+    return rows + [(7, some(30)), (7, rows[3][1]), (None, rows[9][1]), (None, "short")]
+
+
+@pytest.mark.parametrize("hot", [4000, 20, 1])
+def test_frequent_headers_are_split_and_stay_exact(spark, hot):
+    rows = header_rows()
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert passages_of(df, shard_bytes=1500, suffix_bytes=2000, hot_contexts=hot) == brute_rows(rows)
+
+
+def test_contexts_of_hot_anchors_cover_the_same_windows():
+    raw = [t.encode() for _, t in header_rows()]
+    t, a, b, h, _ = passages.contexts(raw)
+    hot = np.unique(h >> np.uint64(24))
+    cut = passages.contexts(raw, hot=hot)
+    windows = lambda x: sorted((k, w) for k, p, q in zip(*(v.tolist() for v in x[:3])) for w in range(p, q + 1))
+    assert windows((t, a, b)) == windows(cut)
+    key = {}
+    for k, p, q, own in zip(*(v.tolist() for v in cut[:4])):
+        for w in range(p, q + 1):
+            assert key.setdefault(raw[k][w : w + 50], own) == own, "equal windows have equal keys"
+
+
+def test_strings_of_one_hash_are_told_apart_by_their_bytes():
+    raw = [b"aaaabbbbaaaacccc"]
+    t, a = np.zeros(4, np.int64), np.array([0, 4, 8, 12])
+    group, bodies = passages.collapse(raw, t, a, a + 4, np.zeros(4, np.uint64))
+    assert [bodies[g] for g in group] == [b"aaaa", b"bbbb", b"aaaa", b"cccc"] and len(bodies) == 3
 
 
 def test_passages_on_documents_and_filter_form(spark, docs, odd):
@@ -101,6 +155,12 @@ def test_passages_on_documents_and_filter_form(spark, docs, odd):
     out = passages.remove_passages(odd)
     assert out.columns == odd.columns and out.count() == odd.count()
     assert out.filter("doc_id = 0").first()["text"] is None
+    rows = [(d, t) for d, t in header_rows() if d != 7]
+    df = spark.createDataFrame([(t, d, len(t)) for d, t in rows], "text string, doc_id long, n_chars int")
+    want = {(d, h) for d, _, _, _, h in brute_rows(rows)}
+    kept = passages.remove_passages(df, shard_bytes=3000).collect()
+    assert {(-(2**63) if r["doc_id"] is None else r["doc_id"], hashlib.sha256(r["text"].encode()).hexdigest()) for r in kept} == want
+    assert all(r["n_chars"] == len(r["text"]) for r in kept)
     assert passages.repeated_passages(empty(odd)).count() == 0
 
 
@@ -118,6 +178,10 @@ def test_suffix_arrays():
                 k = next((k for k in range(min(len(a), len(b), 64)) if a[k] != b[k]), min(len(a), len(b), 64))
                 assert lcp[i] == k
     words = np.sort(np.unique(np.random.default_rng(0).integers(0, 50, (40, 1)), axis=0), axis=0).astype(np.uint64)
+    a, b = ((np.array([[1], [4], [9]], np.uint64), np.array([5, 6, 7])), (np.array([[0], [4], [12], [13]], np.uint64), np.array([3, 2, 9, 8])))
+    for x, y in ((a, b), (b, a)):
+        words_, least = suffixes.merge_windows(*x, *y)
+        assert words_[:, 0].tolist() == [0, 1, 4, 9, 12, 13] and least.tolist() == [3, 5, 2, 7, 9, 8]
     assert all(suffixes.locate(words, np.array([[v]], np.uint64))[0] == (words[:, 0].tolist().index(v) if v in words else -1) for v in range(50))
 
 
