@@ -1,12 +1,13 @@
 """Exact deduplication behind two passes over a Bloom filter, in DataFrame functions alone.
 
-Pass 1 sets two bits of one 64-bit filter word for each row's hash and keeps,
-in a sparse table of words, only the bits that were set more than once.  Pass 2
-probes each row: unless both its bits are there, no other row can equal it and it passes
-straight through, unshuffled.  Only the rows left, thin (id and digest), shuffle by
-digest, are grouped with partial aggregation and get their group back in a join that
-adaptive execution may split when one group is hot.  Texts never shuffle.
-The filter table is broadcast only while Spark finds it under its broadcast threshold; beyond that the thin rows join it by shuffle.
+The filter is blocked: a row's hash chooses one 64-bit block and two bits in it.  Pass 1 merges the blocks as bit maps
+(or) and adds up how many bits their rows have set; each task sends a block at most once.  A block whose rows have set more
+bits than its map holds has been hit twice in some place.  Only those blocks are kept, one number each.
+Pass 2 probes each row: in any other block no second row can equal it and it passes straight through, unshuffled.
+Only the rows left, thin (id and digest), shuffle by digest, are grouped with partial aggregation and get their group
+back in a join that adaptive execution may split when one group is hot.  Texts never shuffle.
+The number of blocks grows with the rows up to ``max_blocks``, so the table of blocks to probe is at most 8 * ``max_blocks`` bytes and
+may be broadcast.  Beyond that more rows pass as possibly repeated and shuffle, thin; results stay the same.
 
 Defined results: null text is empty; equal means identical after A-Z are
 lower-cased; the largest doc_id stays (null ids rank below all others); rows that repeat one
@@ -17,10 +18,10 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, cut, texts
+from .common import ascii_lower, cut, release, texts
 
 
 def hashed(docs: DataFrame) -> DataFrame:
@@ -29,38 +30,39 @@ def hashed(docs: DataFrame) -> DataFrame:
     return norm.select("doc_id", F.sha2("norm", 256).alias("text_sha256"), F.xxhash64("norm").alias("h"))
 
 
-def filter_words(n_rows: int, bits_per_row: int = 24) -> int:
-    """Number of 64-bit words: a power of two with at least ``bits_per_row`` bits a row."""
-    return 1 << max(4, math.ceil(math.log2(max(1, n_rows) * bits_per_row / 64)))
+MAX_BLOCKS = 1 << 24
 
 
-def _places(rows: DataFrame, words: int) -> DataFrame:
-    mixed = F.xxhash64("h")
-    return rows.withColumns({"word": F.col("h").bitwiseAND(F.lit(words - 1)), "b1": F.shiftrightunsigned(mixed, 58).cast("int"), "b2": F.shiftrightunsigned(mixed, 52).bitwiseAND(F.lit(63)).cast("int")})
+def filter_blocks(n_rows: int, bits_per_row: int = 256, max_blocks: int = MAX_BLOCKS) -> int:
+    """Number of 64-bit blocks: a power of two with at least ``bits_per_row`` bits a row, as far as ``max_blocks`` allows."""
+    return min(max_blocks, 1 << max(4, math.ceil(math.log2(max(1, n_rows) * bits_per_row / 64))))
 
 
-def _bit(b: str):
-    return F.expr(f"shiftleft(1L, {b})")
+def _block(blocks: int) -> Column:
+    return F.col("h").bitwiseAND(F.lit(blocks - 1))
 
 
-def repeat_filter(rows: DataFrame, words: int) -> DataFrame:
-    """(word, bits): bits that more than one row has set.  A row that sets one bit twice counts once."""
-    bits = _places(rows.select("h"), words).select("word", F.explode(F.array_distinct(F.array("b1", "b2"))).alias("b"))
-    return bits.groupBy("word", "b").agg(F.count("*").alias("n")).filter("n > 1").groupBy("word").agg(F.bit_or(_bit("b")).alias("bits"))
+def repeated_blocks(rows: DataFrame, blocks: int) -> DataFrame:
+    """(block): blocks in which some bit was set by more than one row.  A row's two bits may be one; it then counts once."""
+    mixed = F.xxhash64("h")
+    bit = lambda shift: F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(mixed, shift).bitwiseAND(F.lit(63)).cast("int"))
+    own = rows.select(_block(blocks).alias("block"), bit(58).bitwiseOR(bit(52)).alias("bits"))
+    merged = own.groupBy("block").agg(F.bit_or("bits").alias("map"), F.sum(F.bit_count("bits")).alias("n"))
+    return merged.filter(F.col("n") > F.bit_count("map")).select("block")
 
 
-def probe(rows: DataFrame, repeated: DataFrame, words: int) -> DataFrame:
+def probe(rows: DataFrame, repeated: DataFrame, blocks: int) -> DataFrame:
     """doc_id, text_sha256, maybe: whether another row may have the same text."""
-    placed = _places(rows, words).join(repeated.withColumnRenamed("word", "__w"), F.col("word") == F.col("__w"), "left")
-    mask = _bit("b1").bitwiseOR(_bit("b2"))
-    return placed.select("doc_id", "text_sha256", F.coalesce(F.col("bits").bitwiseAND(mask) == mask, F.lit(False)).alias("maybe"))
+    hit = F.broadcast(repeated.select(F.col("block").alias("__b"), F.lit(True).alias("__hit")))  # at most ``blocks`` numbers
+    return rows.join(hit, _block(blocks) == F.col("__b"), "left").select("doc_id", "text_sha256", F.coalesce("__hit", F.lit(False)).alias("maybe"))
 
 
-def exact_groups(docs: DataFrame, *, bits_per_row: int = 24) -> DataFrame:
+def exact_groups(docs: DataFrame, *, bits_per_row: int = 256, max_blocks: int = MAX_BLOCKS) -> DataFrame:
     """One row for each document: doc_id, keep_id, group_size, kept, text_sha256."""
     rows = cut(hashed(docs))
-    words = filter_words(rows.count(), bits_per_row)
-    probed = cut(probe(rows, cut(repeat_filter(rows, words)), words))
+    blocks = filter_blocks(rows.count(), bits_per_row, max_blocks)
+    probed = cut(probe(rows, cut(repeated_blocks(rows, blocks)), blocks))
+    release(rows)
     single = probed.filter("not maybe").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "text_sha256")
     again = probed.filter("maybe").select("doc_id", "text_sha256")
     groups = cut(again.groupBy("text_sha256").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))).withColumnRenamed("text_sha256", "__s")
