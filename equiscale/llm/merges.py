@@ -115,7 +115,7 @@ def agenda_many(block: np.ndarray, table: PairTable) -> np.ndarray:
 class UnitCache:
     """Ids of text units in one flat array.  ``fill`` gets the new units of a batch; over ``limit`` units the cache starts anew."""
 
-    def __init__(self, fill, limit: int = 1_000_000):
+    def __init__(self, fill, limit: int = 300_000):
         self._fill, self._limit = fill, limit
         self._reset()
 
