@@ -7,6 +7,7 @@ A temperature, fitted on a part of the sample that was not trained on, calibrate
 score that all but ``reject`` of the rightly predicted of that part reach are not ``accepted``.
 
 Defined results: null texts and texts without a letter are ``und`` with score 0; without training rows every text is;
+texts of any length are read whole; an empty table gives no rows and an untrained model;
 repeated rows are predicted each; other columns are ignored.
 """
 

@@ -7,7 +7,8 @@ documents that the fitted field finds good change theirs, and it is fitted again
 marginals, weighted by line length, are gathered per document and calibrated.
 
 Defined results: null and empty texts have one empty line; without labels of both kinds the score is 0.5;
-repeated rows are scored each; other columns are ignored.
+texts of any length and lines of any number are read whole; an empty table gives no rows;
+repeated rows are scored each; labels that repeat an id count once; other columns are ignored.
 """
 
 from __future__ import annotations

@@ -6,8 +6,12 @@ with Levenshtein automata, made deterministic lazily and kept per worker, so mis
 terms are found without trying term by term.  Each hit is scored in its window: quotation marks and reporting words around it
 speak for quotation, words of address for abuse.  A logistic model over the hits gives the score.
 
+Lexicon, clean neighbours and weights come from the sample alone, so their size is bounded by its rows; nothing else is capped.
+Automaton states and remembered words are dropped and made anew when a worker holds ``keep`` of them, which changes no result.
+
 Defined results: null and empty texts have no hits and get the model's base score; without labels of both kinds the lexicon is empty and the score 0;
-repeated rows are scored each; any other columns of the input are ignored.
+texts of any length are read whole; a word that repeats counts each time; repeated rows are scored each; an empty table gives no rows; labels
+that repeat an id count once, in no defined order; null labels and ids without a document are left out; any other columns of the input are ignored.
 """
 
 from __future__ import annotations
@@ -23,7 +27,6 @@ from .common import cut, fold, lean, text_chunks, texts
 
 #: Labelled rows that the model is fitted on, at most (about; chosen by a hash of doc_id).
 SAMPLE_ROWS = 20_000
-LEXICON_SIZE = 4_000
 FEATURES = 8
 
 TOKEN = re.compile(r"[^\W_]+(?:[@$*'][^\W_]+)*")
@@ -37,8 +40,8 @@ ADDRESS = frozenset("you your youre u ur du dich dein sie tu te toi vous ton ere
 class FuzzyLexicon:
     """Terms as a trie, intersected with Levenshtein automata.  A term that ends in ``*`` is a stem: what follows it is free."""
 
-    def __init__(self, terms: list[str], clean: set[str] = frozenset()):
-        self.terms, self.clean = terms, clean
+    def __init__(self, terms: list[str], clean: set[str] = frozenset(), keep: int = 100_000):
+        self.terms, self.clean, self.keep = terms, clean, keep
         self.child: list[dict[str, int]] = [{}]
         self.budget, self.word, self.stem = [0], [-1], [-1]
         for t, term in enumerate(terms):
@@ -55,6 +58,9 @@ class FuzzyLexicon:
             (self.stem if term.endswith("*") else self.word)[node] = t
             for n in path:
                 self.budget[n] = max(self.budget[n], allowed)
+        self._restart()
+
+    def _restart(self) -> None:
         self._ids: dict[tuple, int] = {}
         self._sets: list[tuple] = []
         self._step: list[dict[str, int]] = []
@@ -94,9 +100,11 @@ class FuzzyLexicon:
                     errors[m] = own
             if e + 1 <= self.budget[n] and e + 1 < errors.get(n, 99):  # an extra character
                 errors[n] = e + 1
+        if len(self._sets) >= self.keep:  # the old states go; the new one starts the next tables
+            self._restart()
+            return self._state(errors)
         to = self._state(errors)
-        if len(self._sets) < 200_000:
-            self._step[state][c] = to
+        self._step[state][c] = to
         return to
 
     def search(self, token: str) -> tuple[int, int] | None:
@@ -128,7 +136,7 @@ class FuzzyLexicon:
 class Scanner:
     """Features of texts; words known to be clean are kept per worker."""
 
-    def __init__(self, lexicon: FuzzyLexicon, window: int = 6, keep: int = 600_000):
+    def __init__(self, lexicon: FuzzyLexicon, window: int = 6, keep: int = 200_000):
         self.lexicon, self.window, self.keep = lexicon, window, keep
         self.none: set[str] = set()
         self.hits: dict[str, tuple[int, int]] = {}
@@ -144,8 +152,9 @@ class Scanner:
                     continue
                 self.hits[w] = hit
             out[w] = hit
-        if len(self.none) > self.keep:
+        if len(self.none) + len(self.hits) > self.keep:
             self.none.clear()
+            self.hits.clear()
         return out
 
     def context(self, low: str, places: list[re.Match], k: int) -> float:
@@ -222,7 +231,7 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS,
 
     terms = cut(sample.mapInArrow(lean(count), "term string, toxic long, other long").groupBy("term").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other")))
     support = max(4, n_toxic // 100)
-    strong = terms.filter((F.col("toxic") >= support) & (F.col("toxic") >= precision * (F.col("toxic") + F.col("other")))).orderBy(F.desc("toxic"), "term").limit(LEXICON_SIZE).collect()
+    strong = terms.filter((F.col("toxic") >= support) & (F.col("toxic") >= precision * (F.col("toxic") + F.col("other")))).orderBy(F.desc("toxic"), "term").collect()
     stems = {r["term"] for r in strong if r["term"].endswith("*")}
     stems = {s for s in stems if not any(s[:k] + "*" in stems for k in range(4, len(s) - 1))}
     covered = tuple(s[:-1] for s in stems)
@@ -243,8 +252,8 @@ def learn(docs: DataFrame, labels: DataFrame, *, sample_rows: int = SAMPLE_ROWS,
             yield pa.RecordBatch.from_arrays([pa.array(own, pa.string())], ["term"])
 
     # neighbours seen in one clean document alone stay hits here, as new ones will when texts are scored
-    seen = terms.filter("other > 1 and other * 3 > toxic and not endswith(term, '*')").orderBy(F.desc("other")).limit(1_000_000)
-    clean = {r["term"] for r in seen.select("term").mapInArrow(lean(neighbours), "term string").limit(100_000).collect()} if lexicon_terms else set()
+    seen = terms.filter("other > 1 and other * 3 > toxic and not endswith(term, '*')")
+    clean = {r["term"] for r in seen.select("term").mapInArrow(lean(neighbours), "term string").collect()} if lexicon_terms else set()
 
     def featured(batches):
         import pyarrow as pa

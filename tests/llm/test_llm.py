@@ -382,7 +382,7 @@ def test_components(spark):
 def test_exact_groups(spark, odd, docs):
     low = lambda t: re.sub("[A-Z]", lambda m: m.group().lower(), t)
     for df in (odd, docs):
-        for bits in (24, 1):  # a crowded filter sends more rows on, with the same result
+        for options in ({}, {"bits_per_row": 1}, {"max_blocks": 2}):  # a crowded filter sends more rows on, with the same result
             rows, groups = local(df), {}
             for d, t in rows:
                 groups.setdefault(low(t), []).append(d)
@@ -391,17 +391,27 @@ def test_exact_groups(spark, odd, docs):
                 own = groups[low(t)]
                 keep = max((x for x in own if x is not None), default=None)
                 want.append((str(d), str(keep), len(own), d == keep, hashlib.sha256(low(t).encode()).hexdigest()))
-            got = [(str(r["doc_id"]), str(r["keep_id"]), r["group_size"], r["kept"], r["text_sha256"]) for r in exact_dedup.exact_groups(df, bits_per_row=bits).collect()]
+            got = [(str(r["doc_id"]), str(r["keep_id"]), r["group_size"], r["kept"], r["text_sha256"]) for r in exact_dedup.exact_groups(df, **options).collect()]
             assert sorted(got) == sorted(want)
     kept = exact_dedup.drop_exact(odd)
     assert kept.columns == odd.columns
+    last = {}
+    for r in odd.collect():
+        own = low(r["text"] or "")
+        last[own] = max(last.get(own, -1), -1 if r["doc_id"] is None else r["doc_id"])
+    want = [r for r in odd.collect() if (-1 if r["doc_id"] is None else r["doc_id"]) == last[low(r["text"] or "")]]
+    assert sorted(map(str, kept.collect())) == sorted(map(str, want))
     assert exact_dedup.exact_groups(empty(odd)).count() == 0
 
 
 def test_filter_passes_single_rows_through(spark):
     rows = exact_dedup.hashed(spark.range(2000).select(F.col("id").alias("doc_id"), F.col("id").cast("string").alias("text")))
-    words = exact_dedup.filter_words(2000)
-    assert exact_dedup.probe(rows, exact_dedup.repeat_filter(rows, words), words).filter("maybe").count() < 0.02 * 2000
+    blocks = exact_dedup.filter_blocks(2000)
+    assert exact_dedup.probe(rows, exact_dedup.repeated_blocks(rows, blocks), blocks).filter("maybe").count() < 0.06 * 2000
+    twice = rows.unionByName(rows.filter("doc_id < 100"))
+    maybe = exact_dedup.probe(twice, exact_dedup.repeated_blocks(twice, blocks), blocks).filter("maybe")
+    assert maybe.filter("doc_id < 100").count() == 200 and maybe.count() < 200 + 0.15 * 2000
+    assert exact_dedup.filter_blocks(10**12) == exact_dedup.MAX_BLOCKS
 
 
 def test_sketches(spark, odd):
@@ -511,6 +521,8 @@ def test_levenshtein_automata():
     for w in tokens:
         want = min(((edit_distance(w, t), i) for i, t in enumerate(terms) if edit_distance(w, t) <= lexicon.allowed(t)), default=None)
         assert lexicon.search(w) == want, w
+    small = toxicity.FuzzyLexicon(terms, keep=5)  # tables that start anew all the time give the same
+    assert [small.search(w) for w in tokens] == [lexicon.search(w) for w in tokens] and len(small._sets) <= 5
     stem = toxicity.FuzzyLexicon(["lowei*"])
     assert stem.search("loweichen") == (0, 0) and stem.search("lowe") is None
     assert lexicon.match("1d10t") is not None
@@ -522,6 +534,60 @@ def test_quotation_is_not_abuse():
     assert abuse[0] > quoted[0] and quoted[3] > abuse[3]
 
 
+def plain_features(text, terms, clean, window=6):
+    """The features of a text term by term, without trie or automaton."""
+    low = text.lower()
+    places = list(toxicity.TOKEN.finditer(low))
+
+    def find(word):
+        best = None
+        for i, term in enumerate(terms):
+            allowed = toxicity.FuzzyLexicon.allowed(term)
+            if term.endswith("*"):
+                d = min(edit_distance(word[:k], term[:-1]) for k in range(len(word) + 1))
+            else:
+                d = edit_distance(word, term)
+            if d <= allowed and (best is None or (d, i) < best):
+                best = (d, i)
+        return best
+
+    exact = fuzzy = stem = quoted = 0.0
+    for k, m in enumerate(places):
+        word = m.group()
+        hit = find(word)
+        if (hit is None or hit[0]) and not word.isalpha():
+            plain = find(word.translate(toxicity.LEET))
+            if plain is not None and (hit is None or plain[0] < hit[0]):
+                hit = (max(1, plain[0]), plain[1])
+        if hit is None or (hit[0] and word in clean):
+            continue
+        start, end = m.span()
+        before = low[max(low.rfind("\n", 0, start) + 1, start - 200) : start]
+        marks = sum(c in "\"“”«»„‘’" for c in before) % 2 == 1 and any(c in "\"“”«»„‘’" for c in low[end : end + 200])
+        near = {p.group() for p in places[max(0, k - window) : k + window + 1]}
+        abuse = min(1.0, max(0.05, 1.0 - 0.6 * marks - 0.25 * bool(near & toxicity.REPORT) + 0.25 * bool(near & toxicity.ADDRESS)))
+        quoted += 1 - abuse
+        if hit[0]:
+            fuzzy += abuse
+        elif terms[hit[1]].endswith("*"):
+            stem += abuse
+        else:
+            exact += abuse
+    total = exact + fuzzy + stem
+    return [np.log1p(exact), np.log1p(fuzzy), np.log1p(stem), np.log1p(quoted), float(exact + stem >= 0.5), 100 * total / (len(places) + 1), float(total >= 1.5), 1.0]
+
+
+def test_toxicity_scores_are_those_of_plain_search(spark, odd):
+    docs, labels = labelled(spark)
+    more = spark.createDataFrame([(900 + i, t, "xx") for i, t in enumerate(['they said "grumpix" and left', "you gr4mpix", "snarvels snarvle blortn grumpixes", "she wrote: blorten"])], docs.schema)
+    docs = docs.unionByName(more).unionByName(odd.filter("length(text) < 500 or text is null").select("doc_id", "text", "lang"))
+    terms, clean, weights = model = toxicity.learn(docs, labels)
+    assert terms
+    got = sorted((str(r["doc_id"]), r["__score"]) for r in toxicity.score(docs, model).collect())
+    want = sorted((str(r["doc_id"]), 1 / (1 + np.exp(-np.clip(np.dot(plain_features(r["text"] or "", terms, clean), weights), -30, 30)))) for r in docs.collect())
+    assert [d for d, _ in got] == [d for d, _ in want] and np.allclose([p for _, p in got], [p for _, p in want], atol=1e-9)
+
+
 def labelled(spark, n=400):
     rng = random.Random(8)
     words = [a + b for a in ("ka", "lo", "mi", "ter", "sun") for b in ("ra", "den", "pol", "ti", "mon")]
