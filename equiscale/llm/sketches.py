@@ -6,11 +6,15 @@ unequal, can be merged (union), compared and checked for containment.
 
 Defined results: null text is empty; words are split at blanks; a text of one to four words
 is one shingle; a text without words has an empty sketch.  Two sketches of which one is empty
-have likeness 1 if both are empty and the texts equal, else 0.  Ties of doc_id are ordered by text.
+have likeness 1 if both are empty and the texts equal, else 0.  Ties of doc_id are ordered by text, so
+rows that repeat an id follow each other; null ids come first; the next of a single row is itself; texts of any length are read whole;
+an empty table gives no rows; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
 
+from decimal import Decimal
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -59,17 +63,33 @@ CELLS = 65536
 
 
 def _ranges(rows: DataFrame, rows_per_range: int) -> DataFrame:
-    """Adds ``__b``, a range number that ascends with doc_id: a histogram of at most CELLS cells, cut at equal counts."""
+    """Adds ``__b``, a range number that ascends with doc_id; ranges are cut at about equal counts, whatever the ids are like.
+
+    A cell is an interval of ids.  Cells of more than twice the wanted rows are cut into equal parts of the ids that they
+    really hold, until none is left or each holds one id.  At most about CELLS ranges and some times as many cells are known to the driver.
+    """
     spark = rows.sparkSession
-    end = rows.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()
-    if end["lo"] is None:
-        return rows.withColumn("__b", F.lit(0).cast("long"))
-    width = (end["hi"] - end["lo"]) // CELLS + 1
-    cell = F.coalesce(F.floor((F.col("doc_id").cast("decimal(20,0)") - F.lit(end["lo"]).cast("decimal(20,0)")) / F.lit(width)).cast("int"), F.lit(-1))
-    counts = rows.select(cell.alias("c")).groupBy("c").count()
-    before = F.sum("count").over(Window.orderBy("c").rowsBetween(Window.unboundedPreceding, -1))
-    cells = counts.select(F.col("c").alias("__c"), F.floor(F.coalesce(before, F.lit(0)) / rows_per_range).alias("__b"))
-    return rows.join(F.broadcast(cells), cell == F.col("__c")).drop("__c")
+    end = rows.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.count("*").alias("n")).first()
+    wanted = max(rows_per_range, -(-end["n"] // CELLS))
+    out, used, heavy = rows.withColumn("__c", F.lit(0).cast("long")), 1, [(0, end["lo"] or 0, end["hi"] or 0, end["n"])]
+    seen = []
+    while heavy:
+        cuts = []
+        for cell, lo, hi, n in heavy:
+            parts = min(CELLS, 4 * -(-n // wanted) + 1)
+            cuts.append((cell, Decimal(lo), Decimal((hi - lo) // parts + 1), used))
+            used += parts + 1  # the first part takes null ids
+        table = F.broadcast(spark.createDataFrame(cuts, "__k long, __lo decimal(20,0), __w decimal(20,0), __base long"))
+        part = F.coalesce(F.floor((F.col("doc_id").cast("decimal(20,0)") - F.col("__lo")) / F.col("__w")).cast("long") + 1, F.lit(0))
+        out = out.join(table, F.col("__c") == F.col("__k"), "left").withColumn("__c", F.coalesce(F.col("__base") + part, F.col("__c"))).drop("__k", "__lo", "__w", "__base")
+        seen = out.groupBy("__c").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.count("*").alias("n")).collect()
+        heavy = [(r["__c"], r["lo"], r["hi"], r["n"]) for r in seen if r["lo"] is not None and r["n"] > 2 * wanted and r["hi"] > r["lo"]]
+    before, numbered = 0, []
+    for r in sorted(seen, key=lambda r: (r["lo"] is not None, r["lo"])):
+        numbered.append((r["__c"], before // wanted))
+        before += r["n"]
+    table = F.broadcast(spark.createDataFrame(numbered, "__k long, __b long"))
+    return out.join(table, F.col("__c") == F.col("__k")).drop("__c", "__k")
 
 
 def with_next(docs: DataFrame, rows_per_range: int = 1000) -> DataFrame:

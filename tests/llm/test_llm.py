@@ -438,6 +438,45 @@ def test_sketches(spark, odd):
     assert sketches.fingerprints(empty(odd)).count() == 0
 
 
+def brute_sketch(text):
+    """Hashes of the words' hashes by Spark's own function are taken as given; sets are made here."""
+    words = text.split()
+    return {tuple(words[k : k + 5]) for k in range(len(words) - 4)} or ({tuple(words)} if words else set())
+
+
+def test_likeness_is_that_of_the_retained_shingles(spark, odd, docs):
+    """Both likenesses against sets made in Python, null and repeated ids included."""
+    for df in (odd.filter("length(text) < 5000 or text is null"), docs):
+        rows = sorted(((d is not None, d, t) for d, t in local(df)), key=lambda r: (r[0], r[1] if r[0] else 0, r[2]))
+        rows = [(d, t) for _, d, t in rows]
+        texts = []
+        for i, (_, t) in enumerate(rows):
+            nxt = rows[(i + 1) % len(rows)][1]
+            n = len(t) // 2
+            texts.append((t, t[: len(t) - n] + nxt[:n], nxt))
+        shingles = sorted({s for own in texts for t in own for s in brute_sketch(t)})
+        flat = spark.createDataFrame([(k, list(s)) for k, s in enumerate(shingles)], "k long, w array<string>").repartition(8)
+        hashed = flat.select("k", F.when(F.size("w") < 5, F.xxhash64(F.transform("w", lambda w: F.xxhash64(w)))).otherwise(F.xxhash64(*[F.xxhash64(F.get("w", F.lit(j))) for j in range(5)])).alias("h"))
+        h = {shingles[r["k"]]: r["h"] for r in hashed.collect()}
+        low = {k for k, v in h.items() if v < -(2**62)}
+
+        def like(a, b):
+            x, y = ({h[s] for s in brute_sketch(t) if s in low} for t in (a, b))
+            return len(x & y) / len(x | y) if x and y else float(a == b)
+
+        want = sorted((str(d), len(t), hashlib.sha256(e.encode()).hexdigest(), round(like(t, e), 9), round(like(t, nxt), 9)) for (d, _), (t, e, nxt) in zip(rows, texts))
+        got = sorted((str(r["doc_id"]), r["n_chars"], r["edited_sha256"], round(r["near_edited"], 9), round(r["near_next"], 9)) for r in sketches.fingerprints(df).collect())
+        assert got == want
+
+
+def test_ranges_are_even_whatever_the_ids(spark):
+    ids = [*range(3000), 10**16, -(2**63), 2**63 - 1, *(10**12 + 7 * k for k in range(500))]
+    df = spark.createDataFrame([(d, "t") for d in ids] + [(None, "t")] * 3, "doc_id long, text string")
+    got = sketches._ranges(df, 100).groupBy("__b").agg(F.min(F.coalesce("doc_id", F.lit(-(2**63)))).alias("lo"), F.max(F.coalesce("doc_id", F.lit(-(2**63)))).alias("hi"), F.count("*").alias("n")).orderBy("__b").collect()
+    assert sum(r["n"] for r in got) == len(ids) + 3 and max(r["n"] for r in got) <= 400
+    assert all(a["hi"] <= b["lo"] for a, b in zip(got, got[1:]))
+
+
 def test_sketch_merge_and_containment(spark):
     df = spark.createDataFrame([("g", LOREM), ("g", "other words make another short text here")], "g string, text string").withColumn("s", sketches.sketch(F.col("text"), 5, 1))
     merged = sketches.merge(df, ["g"], "s").select(F.col("g").alias("k"), F.col("s").alias("m"))
@@ -477,13 +516,35 @@ def test_packing_is_whole_and_tight(spark, docs, odd):
     assert packing.pack_documents(empty(odd), tokenizer_file("word_bpe_49k.json")).count() == 0
 
 
+def hard_sizes(n=1200, seed=3):
+    """Pieces of a fifth to a half of a sequence: best fit leaves much room."""
+    rng = random.Random(seed)
+    return [rng.randint(820, 2048) for _ in range(n)]
+
+
+def test_evolution_gains_where_best_fit_misses_the_bound(spark):
+    sizes = hard_sizes()
+    best, generations = packing.evolve(sizes, 4096, [], 5)
+    assert sorted(i for b in best for i in b) == list(range(len(sizes))) and max(sum(sizes[i] for i in b) for b in best) <= 4096
+    plain = len(packing.best_fit(sizes, 4096))
+    assert generations > 0 and len(best) <= plain - 10
+    easy = [1024] * 400
+    assert packing.evolve(easy, 4096, [], 5)[1] == 0  # best fit meets the bound: nothing to gain
+    pieces = spark.createDataFrame([(i, 0, 0, s, 0) for i, s in enumerate(sizes * 2)], packing.PIECE_SCHEMA)
+    rows = packing.evolution(pieces, block=1200, islands=2).collect()
+    assert sum(r["pieces"] for r in rows) == 2 * len(sizes)
+    assert all(r["bound"] <= r["evolved"] < r["best_fit"] and r["generations"] > 0 for r in rows)
+    packed = packing.pack(pieces, block=1200, islands=2).select("sequence_id").distinct().count()
+    assert packed < len(packing.best_fit(sizes * 2, 4096))
+
+
 def test_crossover_keeps_every_piece():
     rng = random.Random(0)
     sizes = [rng.randint(100, 2500) for _ in range(300)]
     a, b = packing.best_fit(sizes, 4096), packing.best_fit(sizes, 4096, noise=rng)
     child = packing.mutate(packing.crossover(a, b, sizes, 4096, rng), sizes, 4096, rng)
     assert sorted(i for x in child for i in x) == list(range(300)) and all(sum(sizes[i] for i in x) <= 4096 for x in child)
-    best = packing.evolve(sizes, 4096, [], 3)
+    best, _ = packing.evolve(sizes, 4096, [], 3)
     assert len(best) <= len(a)
 
 
