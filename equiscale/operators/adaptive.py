@@ -1,22 +1,28 @@
 """The adaptive join: both sides are split by whether a key is hot here and hot there, and each of the four pieces is joined its own way.
 
 hot-hot: staged; hot-cold: the cold rows are few and are broadcast; cold-hot: the same with sides exchanged; cold-cold: a shuffle
-join.  The union needs no deduplication, for every flavour.
+join.  The union needs no deduplication, for every flavour.  Each side is split once: rows of keys that are hot on
+either side are written by class, which also measures the pieces; the others are read again as they come.
 """
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from equiscale.plans.config import JoinConfig
 from equiscale.plans.cost import prefer_broadcast
-from equiscale.sources.io import cut
+from equiscale.plans.metrics import row_width
+from equiscale.sources.io import cut, shared_dir
 
-from .hotkeys import shared_hot
-from .keys import Sides, check_how
+from . import index
+from .keys import Sides, check_how, names
 from .small_large import index_broadcast_pairs
-from .staged import _cell_join, _keyed, both_hot, build_padded_index, _levels
+from .staged import _cell_join, _levels, both_hot, build_padded_index, keyed, shared_plan, staged_join
+
+CLASSES = ("hh", "hc", "ch", "cc")
 
 
 def route_map(kl: DataFrame, kr: DataFrame, keys: list[str]) -> DataFrame:
@@ -29,14 +35,36 @@ def route():
     return F.when(F.col("fl").isNotNull() & F.col("fr").isNotNull(), "hh").when(F.col("fl").isNotNull(), "hc").when(F.col("fr").isNotNull(), "ch").otherwise("cc")
 
 
-def split_relation(df: DataFrame, routes: DataFrame, keys: list[str]) -> DataFrame:
+def split_relation(df: DataFrame, routes: DataFrame, keys: list[str], how: str = "left") -> DataFrame:
     """Adds ``route``: both rounds of splitting in one broadcast join."""
-    return df.join(F.broadcast(routes), keys, "left").withColumn("route", route()).drop("fl", "fr")
+    return df.join(F.broadcast(routes), keys, how).withColumn("route", route()).drop("fl", "fr")
+
+
+class Pieces:
+    """One side by class.  ``size`` has the measured rows and bytes of the written ones."""
+
+    def __init__(self, df: DataFrame, routes: DataFrame, keys: list[str], every: bool):
+        spark = df.sparkSession
+        self.columns = df.columns
+        marked = split_relation(df, routes, keys, "left" if every else "inner").withColumn("__p", F.monotonically_increasing_id())
+        path = f"{shared_dir(spark)}/pieces-{uuid.uuid4().hex}"
+        marked.write.partitionBy("route").parquet(path)
+        self.written = spark.read.schema(marked.schema).parquet(path)
+        rows = self.written.groupBy("route").agg(F.count("*").alias("n"), F.sum(row_width(self.written.select(*self.columns))).alias("b")).collect()
+        self.size = {r["route"]: (r["n"], r["b"]) for r in rows}
+        self.rest = None if every else df.join(F.broadcast(routes.select(*keys)), keys, "left_anti")
+
+    def placed(self, name: str) -> DataFrame:
+        return self.written.filter(F.col("route") == name).drop("route")
+
+    def __getitem__(self, name: str) -> DataFrame:
+        return self.rest if name == "cc" and self.rest is not None else self.placed(name).select(*self.columns)
 
 
 def swap_sides(sides: Sides, left: DataFrame, right: DataFrame) -> Sides:
     """Sides exchanged for the piece whose right rows are many; ``order`` puts the columns back."""
-    return Sides(right.toDF(*[c.replace("__r_", "__l_", 1) if c.startswith("__r_") else c for c in right.columns]), left.toDF(*[c.replace("__l_", "__r_", 1) if c.startswith("__l_") else c for c in left.columns]), sides.keys, sides.names, sides.null_safe)
+    turned = [right.toDF(*[c.replace("__r_", "__l_", 1) if c.startswith("__r_") else c for c in right.columns]), left.toDF(*[c.replace("__l_", "__r_", 1) if c.startswith("__l_") else c for c in left.columns])]
+    return Sides(*turned, sides.keys, sides.names, sides.null_safe, sides.right_names, sides.left_names)
 
 
 def _unswap(sides: Sides, pairs: DataFrame) -> DataFrame:
@@ -48,64 +76,74 @@ def _semi(sides: Sides, how: str, kappa_l: DataFrame) -> DataFrame:
     """Left semi and anti: hot left keys are looked up among the right keys once, and the verdict is broadcast."""
     left, right = sides.known(sides.left), sides.known(sides.right).select(*sides.keys)
     hot = F.broadcast(kappa_l.select(*sides.keys))
-    there = F.broadcast(cut(right.join(hot, sides.keys, "left_semi").distinct()))
+    there = F.broadcast(cut(right.join(hot, sides.keys, "left_semi").distinct()))  # some of the hot keys
     out = left.join(hot, sides.keys, "left_semi").join(there, sides.keys, how)
     out = out.unionByName(left.join(hot, sides.keys, "left_anti").join(right.distinct(), sides.keys, how))
     return out if how == "left_semi" else out.unionByName(sides.unknown(sides.left))
 
 
 def adaptive_join(left: DataFrame, right: DataFrame, on, how: str = "inner", cfg: JoinConfig = JoinConfig(), *, right_on=None, kappa: tuple[DataFrame, DataFrame] | None = None, hh: str = "balanced", residual=None) -> DataFrame:
-    """``hh='basic'`` joins the hot-hot piece without its grid.  ``residual`` (columns -> condition, inner only) filters pairs."""
+    """``hh='basic'`` joins the hot-hot piece without its grid.  ``residual`` (columns -> condition, inner only) filters pairs.
+
+    A relation joined with itself on the same key has no key that is hot on one side alone: the staged join does all of it.
+    """
     check_how(how)
+    if how in ("right_semi", "right_anti"):
+        turned = kappa and (kappa[1], kappa[0])
+        return adaptive_join(right, left, on if right_on is None else right_on, how.replace("right", "left"), cfg, right_on=on, kappa=turned, hh=hh)
+    if residual is not None and how != "inner":
+        raise ValueError("a residual condition is for inner joins: elsewhere it belongs to the match")
+    same = how not in ("left_semi", "left_anti") and hh == "balanced" and (right_on is None or names(on) == names(right_on)) and left.sameSemantics(right)
+    if same:
+        out = staged_join(left, right, on, how, cfg, right_on=right_on, kappa=kappa)
+        return out if residual is None else out.filter(residual(out))
     sides = Sides.of(left, right, on, right_on, cfg.null_safe)
-    own = Sides(sides.known(sides.left), sides.known(sides.right), sides.keys, sides.names, sides.null_safe)
-    kl, kr = _keyed(kappa, sides) or both_hot(own, cfg)
+    own = sides.all_known()
+    kl, kr = keyed(kappa, sides) or both_hot(own, cfg)
     if how in ("left_semi", "left_anti"):
         return sides.present(_semi(sides, how, kl), only_left=True)
-    if residual is not None and how != "inner":
-        raise ValueError("a residual condition is for inner joins: elsewhere it belongs to the match")
     routes = cut(route_map(kl, kr, own.keys))
-    shared = cut(shared_hot(kl, kr, own.keys))
-    size = shared.agg(F.max(F.sqrt(F.col("fl").cast("double") * F.col("fr").cast("double"))), F.count("*")).first()
-    l_max, n_shared = size[0] or 1.0, size[1]
-    sl, sr = split_relation(own.left, routes, own.keys), split_relation(own.right, routes, own.keys)
-    if cfg.split == "materialize":
-        sl, sr = cut(sl), cut(sr)
-    piece = lambda df, r: df.filter(F.col("route") == r).drop("route")
+    plan, l_max = shared_plan(kl, kr, own.keys, cfg)
+    sl, sr = (Pieces(df, routes, own.keys, cfg.split == "all") for df in (own.left, own.right))
     preserve_l, preserve_r = how in ("left", "full"), how in ("right", "full")
+    trusted = cfg.kappa_trusted
+    parts = [own.order(sl["cc"].join(sr["cc"].hint("shuffle_hash"), own.keys, how))]
 
     # hot-hot: both sides have the key, so nothing is padded
-    hl, hr = piece(sl, "hh"), piece(sr, "hh")
-    if hh == "basic" or cfg.index == "lists":
-        from . import index
-
-        pair = Sides(hl, hr, own.keys, own.names, own.null_safe)
+    if "hh" in sl.size and "hh" in sr.size:
         if hh == "basic":
+            pair = own.over(sl["hh"], sr["hh"])
             hot = _levels(index.build_joined_index(pair), pair, cfg, l_max)
+        elif cfg.index == "lists":
+            hl, hr = sl.placed("hh"), sr.placed("hh")
+            idx = build_padded_index(own, hl, sl["hh"].limit(0), hr, sr["hh"].limit(0), "inner", cfg, plan)
+            hot = _levels(idx, own, cfg, max(l_max ** (2 / 3), cfg.theta))
         else:
-            wide = [df.join(F.broadcast(shared), own.keys) for df in (hl, hr)]
-            hot = _levels(build_padded_index(pair, wide[0], hl.limit(0), wide[1], hr.limit(0), "inner", cfg), pair, cfg, l_max ** (2 / 3))
-    else:
-        hot = _cell_join(hl, hr, own, shared, cfg, l_max)
-    if not cfg.kappa_trusted:
+            hot = _cell_join(sl.placed("hh"), sr.placed("hh"), own, plan, cfg)
+        parts.append(own.order(hot))
+    if not trusted:
         # a key called hot may be absent on its side: pad its rows by key
-        hot = hot.unionByName(_missing(own, hl, hr, preserve_l, preserve_r))
+        parts.append(own.order(_missing(own, sl["hh"], sr["hh"], preserve_l, preserve_r)))
 
     # hot-cold and cold-hot: at most k_max * theta cold rows
-    trusted = cfg.kappa_trusted
-    hc = _hot_cold(Sides(piece(sl, "hc"), piece(sr, "hc"), own.keys, own.names, own.null_safe), cfg, kl, "full" if preserve_l and preserve_r and not trusted else "left" if preserve_l else "right" if preserve_r and not trusted else "inner")
-    turned = swap_sides(own, piece(sl, "ch"), piece(sr, "ch"))
-    ch = _unswap(own, _hot_cold(turned, cfg, kr, "full" if preserve_l and preserve_r and not trusted else "left" if preserve_r else "right" if preserve_l and not trusted else "inner"))
-
-    cc = own.order(piece(sl, "cc").join(piece(sr, "cc").hint("shuffle_hash"), own.keys, how))
-    pairs = cc.unionByName(own.order(hc)).unionByName(ch)
-    if n_shared or not trusted:
-        pairs = pairs.unionByName(own.order(hot))
+    def flavour(keeps_hot: bool, keeps_cold: bool) -> str:
+        keeps_cold = keeps_cold and not trusted  # a key that really is hot there has a partner for every cold row
+        return "full" if keeps_hot and keeps_cold else "left" if keeps_hot else "right" if keeps_cold else "inner"
+
+    if "hc" in sl.size or "hc" in sr.size:
+        parts.append(own.order(_hot_cold(own.over(sl["hc"], sr["hc"]), cfg, sl.size.get("hc"), sr.size.get("hc"), flavour(preserve_l, preserve_r))))
+    if "ch" in sl.size or "ch" in sr.size:
+        turned = swap_sides(own, sl["ch"], sr["ch"])
+        parts.append(_unswap(own, _hot_cold(turned, cfg, sr.size.get("ch"), sl.size.get("ch"), flavour(preserve_r, preserve_l))))
+    pairs = parts[0]
+    for p in parts[1:]:
+        pairs = pairs.unionByName(p)
     out = sides.present(sides.with_nulls(pairs, how))
     return out if residual is None else out.filter(residual(out))
 
 
 def _missing(sides: Sides, hl: DataFrame, hr: DataFrame, preserve_l: bool, preserve_r: bool) -> DataFrame:
+    """Rows of keys that only one side really has.  The distinct keys are some of the hot ones, so they are few enough to broadcast."""
     out = sides.pad_right(hl).limit(0)
     if preserve_l:
         out = out.unionByName(sides.pad_right(hl.join(F.broadcast(hr.select(*sides.keys).distinct()), sides.keys, "left_anti")))
@@ -114,24 +152,20 @@ def _missing(sides: Sides, hl: DataFrame, hr: DataFrame, preserve_l: bool, prese
     return out
 
 
-def _hot_cold(sides: Sides, cfg: JoinConfig, kappa: DataFrame, how: str) -> DataFrame:
-    """The left rows are of hot keys; the right slice is broadcast if the model says so and it fits, else shuffled."""
+def _hot_cold(sides: Sides, cfg: JoinConfig, big: tuple[int, int] | None, few: tuple[int, int] | None, how: str) -> DataFrame:
+    """The left rows are of hot keys; the right slice is broadcast if the model says so and it fits by its measured size, else shuffled."""
+    (n_big, b_big), (n_few, b_few) = big or (0, 0), few or (0, 0)
     use = cfg.broadcast == "always"
     if cfg.broadcast == "model":
-        n_small = sides.right.count()
-        n_big = kappa.agg(F.sum("f")).first()[0] or 0
-        m_small, m_big = cfg.right_bytes or 100.0, cfg.left_bytes or 100.0
-        n = cfg.n_executors or sides.left.sparkSession.sparkContext.defaultParallelism
-        use = n_small * m_small <= cfg.broadcast_limit and prefer_broadcast(n_big, m_big, n_small, m_small, cfg.lam, n)
+        use = b_few <= cfg.broadcast_limit and prefer_broadcast(n_big, cfg.left_bytes or b_big / max(1, n_big), n_few, cfg.right_bytes or b_few / max(1, n_few), cfg.lam, cfg.executors(sides.left.sparkSession))
     if use:
-        return index_broadcast_pairs(sides, how)
+        return index_broadcast_pairs(sides, how, checked=True)
     return sides.order(sides.left.join(sides.right.hint("merge"), sides.keys, how))
 
 
 def piece_sizes(left: DataFrame, right: DataFrame, on, cfg: JoinConfig = JoinConfig(), *, right_on=None) -> DataFrame:
     """(side, route, n): rows of each piece."""
-    sides = Sides.of(left, right, on, right_on)
-    own = Sides(sides.known(sides.left), sides.known(sides.right), sides.keys, sides.names, False)
+    own = Sides.of(left, right, on, right_on).all_known()
     routes = cut(route_map(*both_hot(own, cfg), own.keys))
     parts = [split_relation(df.select(*own.keys), routes, own.keys).groupBy("route").agg(F.count("*").alias("n")).select(F.lit(side).alias("side"), "route", "n") for side, df in (("left", own.left), ("right", own.right))]
     return parts[0].unionByName(parts[1])

@@ -11,9 +11,8 @@ from equiscale.functions.chunking import grid_lane
 from equiscale.plans.config import JoinConfig
 from equiscale.sources.io import cut
 
-from .hotkeys import shared_hot
 from .keys import Sides
-from .small_large import index_broadcast_join
+from .small_large import BROADCAST_BYTES, must_be_small
 from .staged import both_hot
 
 
@@ -42,6 +41,20 @@ def native_join(left, right, on, how="inner", *, right_on=None) -> DataFrame:
     return _plain(left, right, on, how, right_on, None)
 
 
+#: Settings under which Spark splits skewed partitions of a shuffle join of even small tables.
+SPLITTING = {"spark.sql.adaptive.enabled": "true", "spark.sql.adaptive.skewJoin.enabled": "true", "spark.sql.adaptive.skewJoin.skewedPartitionFactor": "2", "spark.sql.adaptive.skewJoin.skewedPartitionThresholdInBytes": "64k", "spark.sql.adaptive.advisoryPartitionSizeInBytes": "64k", "spark.sql.autoBroadcastJoinThreshold": "-1", "spark.sql.adaptive.autoBroadcastJoinThreshold": "-1", "spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.join.preferSortMergeJoin": "true"}
+
+
+def splitting_session(spark):
+    """A session of the same application in which ``native_join`` splits skewed partitions; relations must be read through it."""
+    own = spark.newSession()
+    for k, v in SPLITTING.items():
+        own.conf.set(k, v)
+    for k in ("spark.sql.shuffle.partitions", "spark.sql.session.timeZone"):
+        own.conf.set(k, spark.conf.get(k))
+    return own
+
+
 def _gridded(left: DataFrame, right: DataFrame, sides: Sides, grids: DataFrame, seed: int) -> DataFrame:
     """Join on (key, i, j); ``grids`` has keys, rows ``gr`` and columns ``gc``; other keys have one cell."""
     own = [df.join(F.broadcast(grids), sides.keys, "left").withColumns({"gr": F.coalesce("gr", F.lit(1)), "gc": F.coalesce("gc", F.lit(1))}) for df in (left, right)]
@@ -51,8 +64,7 @@ def _gridded(left: DataFrame, right: DataFrame, sides: Sides, grids: DataFrame,
 
 
 def _known(left, right, on, right_on) -> Sides:
-    sides = Sides.of(left, right, on, right_on)
-    return Sides(sides.known(sides.left), sides.known(sides.right), sides.keys, sides.names, False)
+    return Sides.of(left, right, on, right_on).all_known()
 
 
 def grid_join(left, right, on, n: int | None = None, cfg: JoinConfig = JoinConfig(), *, right_on=None) -> DataFrame:
@@ -92,19 +104,23 @@ def planned_grid_join(left, right, on, n: int | None = None, cfg: JoinConfig = J
 
 
 def heavier_side_join(left, right, on, how="inner", cfg: JoinConfig = JoinConfig(), *, right_on=None) -> DataFrame:
-    """Rows of a hot key stay on the side that has more of them; the other side's are broadcast; cold keys shuffle.  Outer flavours pad by key."""
+    """Rows of a hot key stay on the side that has more of them; the other side's are broadcast; cold keys shuffle.  Outer flavours pad by key.
+
+    The published weakness of this method is that those rows must fit in memory: over ``cfg.broadcast_limit`` measured bytes it fails.
+    """
     full = Sides.of(left, right, on, right_on)
     sides = _known(left, right, on, right_on)
     kl, kr = both_hot(sides, cfg)
     owner = cut(kl.withColumnRenamed("f", "fl").join(kr.withColumnRenamed("f", "fr"), sides.keys, "full").select(*sides.keys, (F.coalesce("fl", F.lit(0)) >= F.coalesce("fr", F.lit(0))).alias("__left")))
     own = [df.join(F.broadcast(owner), sides.keys, "left") for df in (sides.left, sides.right)]
+    sent = lambda k, cond: must_be_small(part(k, cond), "heavier side", cfg.broadcast_limit)
     part = lambda k, cond: own[k].filter(cond).drop("__left")
     keeps_l, keeps_r = how in ("left", "full"), how in ("right", "full")
     cold = sides.order(part(0, "__left is null").join(part(1, "__left is null").hint("shuffle_hash"), sides.keys, how))
-    a = sides.order(part(0, "__left").join(F.broadcast(part(1, "__left")), sides.keys, "left" if keeps_l else "inner"))
-    b = sides.order(F.broadcast(part(0, "not __left")).join(part(1, "not __left"), sides.keys, "right" if keeps_r else "inner"))
+    a = sides.order(part(0, "__left").join(sent(1, "__left"), sides.keys, "left" if keeps_l else "inner"))
+    b = sides.order(sent(0, "not __left").join(part(1, "not __left"), sides.keys, "right" if keeps_r else "inner"))
     out = cold.unionByName(a).unionByName(b)
-    if keeps_r:  # few keys: those owned by the other side that it lacks
+    if keeps_r:  # keys owned by the other side that it lacks: some of the hot keys, few enough to broadcast
         out = out.unionByName(sides.pad_left(part(1, "__left").join(F.broadcast(part(0, "__left").select(*sides.keys).distinct()), sides.keys, "left_anti")))
     if keeps_l:
         out = out.unionByName(sides.pad_right(part(0, "not __left").join(F.broadcast(part(1, "not __left").select(*sides.keys).distinct()), sides.keys, "left_anti")))
@@ -156,58 +172,57 @@ def key_range_join(left, right, on, parts: int | None = None, sample_factor: int
     # position of the last cut at or below the key
     nth = F.greatest(F.lit(0), F.size(F.filter(table, lambda c: c <= F.col(k))) - 1)
     own = [df.withColumn("__bin", F.get(place, nth)) for df in (sides.left, sides.right)]
-    dealt = [df.repartition(parts, "__bin") for df in own]
+    dealt = [df.repartitionById(parts, "__bin") for df in own]  # each bin is a task of its own
     return sides.present(sides.order(dealt[0].join(dealt[1].hint("shuffle_hash"), ["__bin", k])))
 
 
-def _reported(big: DataFrame, small: DataFrame, on, right_on, n: int) -> tuple[Sides, DataFrame, DataFrame]:
-    """(sides with small ids, matched (pid, id), all (pid, id)); a large partition stands for an executor."""
+def _reported(big: DataFrame, small: DataFrame, on, right_on) -> tuple[Sides, DataFrame, DataFrame, int]:
+    """(sides with small ids, matched (pid, id), all (pid, id), n); each of the n partitions of the large side stands for an executor.  The large side stays where it is."""
     sides = Sides.of(big, small, on, right_on)
     ided = cut(sides.right.withColumn("__id", F.monotonically_increasing_id()))
-    # the partition number must not change between uses
-    spread = cut(sides.left.repartition(n).withColumn("__pid", F.spark_partition_id()))
-    sides = Sides(spread, ided, sides.keys, sides.names, False)
-    matched = sides.known(spread).select("__pid", *sides.keys).join(F.broadcast(sides.known(ided).select(*sides.keys, "__id")), sides.keys).select("__pid", "__id").distinct()
-    every = ided.select("__id").crossJoin(F.broadcast(big.sparkSession.range(n).select(F.col("id").cast("int").alias("__pid"))))
-    return sides, matched, every
+    n = max(1, sides.left.rdd.getNumPartitions())
+    sides = sides.over(sides.left, ided)
+    few = must_be_small(sides.known(ided).select(*sides.keys, "__id"), "small side", BROADCAST_BYTES)
+    matched = sides.known(sides.left).select(F.spark_partition_id().alias("__pid"), *sides.keys).join(few, sides.keys).select("__pid", "__id").distinct()
+    # every executor has all small rows: what it reports is made where they are, not sent there
+    every = ided.select("__id", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("__pid"))
+    return sides, cut(matched), every, n
 
 
-def _outer(big, small, on, how, right_on, n, by_rows) -> DataFrame:
-    n = n or big.sparkSession.sparkContext.defaultParallelism
-    sides, matched, every = _reported(big, small, on, right_on, n)
+def _outer(big, small, on, how, right_on, by_rows) -> DataFrame:
+    sides, matched, every, n = _reported(big, small, on, right_on)
     missing = every.join(matched, ["__pid", "__id"], "left_anti")
+    plain = sides.over(sides.left, sides.right.drop("__id"))
     if by_rows:
         # whole rows are sent and grouped
-        rows = missing.join(sides.right, "__id")
+        rows = missing.join(must_be_small(sides.right, "small side", BROADCAST_BYTES), "__id")
         cols = [c for c in sides.right.columns if c != "__id"]
         lone = rows.groupBy("__id", *cols).agg(F.count("*").alias("__n")).filter(F.col("__n") == n).select(*cols)
     else:
         lone = sides.right.join(missing.groupBy("__id").agg(F.count("*").alias("__n")).filter(F.col("__n") == n).select("__id"), "__id", "left_semi")
-    plain = Sides(sides.left.drop("__pid"), sides.right.drop("__id"), sides.keys, sides.names, False)
-    inner = plain.left.join(F.broadcast(plain.right), plain.keys, "left" if how in ("left", "full") else "inner")
+    inner = plain.left.join(must_be_small(plain.right, "small side", BROADCAST_BYTES), plain.keys, "left" if how in ("left", "full") else "inner")
     out = plain.order(inner)
     if how in ("right", "full"):
         out = out.unionByName(plain.pad_left(lone.select(*plain.keys, *plain.rcols)))
     return plain.present(out)
 
 
-def small_large_ids_outer(big, small, on, how="right", *, right_on=None, n: int | None = None) -> DataFrame:
+def small_large_ids_outer(big, small, on, how="right", *, right_on=None) -> DataFrame:
     """Every executor reports ids of small rows it has no match for; an id that all report joins back."""
-    return _outer(big, small, on, how, right_on, n, False)
+    return _outer(big, small, on, how, right_on, False)
 
 
-def small_large_rows_outer(big, small, on, how="right", *, right_on=None, n: int | None = None) -> DataFrame:
+def small_large_rows_outer(big, small, on, how="right", *, right_on=None) -> DataFrame:
     """The same with whole rows in place of ids."""
-    return _outer(big, small, on, how, right_on, n, True)
+    return _outer(big, small, on, how, right_on, True)
 
 
-def reported_rows(big, small, on, *, right_on=None, n: int | None = None) -> int:
+def reported_rows(big, small, on, *, right_on=None) -> int:
     """Rows that all executors report together: what ids or rows cost."""
-    n = n or big.sparkSession.sparkContext.defaultParallelism
-    _, matched, every = _reported(big, small, on, right_on, n)
+    _, matched, every, _ = _reported(big, small, on, right_on)
     return every.join(matched, ["__pid", "__id"], "left_anti").count()
 
 
 BASELINES = {"shuffle_hash_join": shuffle_hash_join, "sort_merge_join": sort_merge_join, "broadcast_join": broadcast_join, "native_join": native_join, "grid_join": grid_join, "planned_grid_join": planned_grid_join, "heavier_side_join": heavier_side_join, "key_range_join": key_range_join}
 
-__all__ = [*BASELINES, "small_large_ids_outer", "small_large_rows_outer", "reported_rows", "index_broadcast_join", "shared_hot"]
+__all__ = [*BASELINES, "reported_rows", "small_large_ids_outer", "small_large_rows_outer", "splitting_session"]

@@ -7,6 +7,8 @@ import heapq
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .keys import field, free, names, no_nulls
+
 METHODS = ("exact", "prepartitioned", "space_saving", "sketch", "freq_items", "sample")
 
 
@@ -60,16 +62,16 @@ class SpaceSaving:
 
 
 def _exact(df: DataFrame, keys: list[str]) -> DataFrame:
-    return df.groupBy(*keys).agg(F.count("*").alias("f"))
+    return df.groupBy(*keys).agg(F.count("*").alias("__f"))
 
 
 def _bounded(counts: DataFrame, keys: list[str], theta: float, k_max: int) -> DataFrame:
-    return counts.filter(F.col("f") >= theta).orderBy(F.desc("f"), *keys).limit(k_max)
+    return counts.filter(F.col("__f") >= theta).orderBy(F.desc("__f"), *keys).limit(k_max)
 
 
 def _space_saving(df: DataFrame, keys: list[str], capacity: int, fanout: int) -> DataFrame:
     """Summaries of partitions of key hashes, merged in rounds of ``fanout``; (h, count, error)."""
-    hashed = df.select(F.xxhash64(*keys).alias("h"))
+    hashed = df.select(F.xxhash64(*keys).alias("__h"))
 
     def local(batches):
         import os
@@ -104,50 +106,56 @@ def _space_saving(df: DataFrame, keys: list[str], capacity: int, fanout: int) ->
             return parts.select("h", F.col("c"), F.col("e"))
 
 
-def _candidates(df: DataFrame, keys: list[str], method: str, k_max: int, capacity: int, fanout: int, share: float) -> DataFrame:
-    """One column ``h`` of candidate key hashes, at most ``capacity`` of them."""
+def _candidates(df: DataFrame, keys: list[str], method: str, k_max: int, capacity: int, fanout: int) -> DataFrame:
+    """(__h, __c): at most ``capacity`` candidate key hashes with the count that the summary gives, null if it gives none."""
     if method == "space_saving":
-        return _space_saving(df, keys, capacity, fanout).select("h")
-    hashed = df.select(F.xxhash64(*keys).alias("h"))
+        return _space_saving(df, keys, capacity, fanout).select(F.col("h").alias("__h"), F.col("c").alias("__c"))
+    hashed = df.select(F.xxhash64(*keys).alias("__h"))
     if method == "sketch":
-        top = hashed.agg(F.expr(f"approx_top_k(h, {min(k_max, capacity)}, {capacity})").alias("t"))
-        return top.select(F.explode("t").alias("x")).select("x.item").toDF("h")
+        top = hashed.agg(F.expr(f"approx_top_k(__h, {min(k_max, capacity)}, {capacity})").alias("t"))
+        return top.select(F.explode("t").alias("x")).select("x.item", F.col("x.count").cast("long")).toDF("__h", "__c")
     if method == "freq_items":
-        return hashed.freqItems(["h"], 1.0 / capacity).select(F.explode("h_freqItems").alias("h"))
+        return hashed.freqItems(["__h"], 1.0 / capacity).select(F.explode("__h_freqItems").alias("__h"), F.lit(None).cast("long").alias("__c"))
     raise ValueError(f"method must be one of {METHODS}")
 
 
 def hot_keys(df: DataFrame, on, k_max: int = 1000, theta: float = 24.4, method: str = "exact", *, capacity: int = 4096, fanout: int = 16, share: float = 0.1, refine: bool = True) -> DataFrame:
-    """The keys and ``f``.  Null keys are never hot.
+    """The keys and ``f`` (``f_`` if a key is called so).  Null keys are never hot.
 
     ``prepartitioned`` input has all rows of a key in one partition (the count then needs no exchange).  Sketches
-    summarise key hashes; ``refine`` counts their candidates exactly, so that every key returned is in the data with its true count.
+    summarise key hashes; ``refine`` counts their candidates exactly, so that every key returned has its true count.  Without it
+    the keys of the candidates get the summary's counts: too high by its error, or scaled up from a sample.
     """
-    keys = [on] if isinstance(on, str) else list(on)
-    known = df.select(*keys).filter(" and ".join(f"`{k}` is not null" for k in keys))
+    shown = names(on)
+    keys = [f"__h{i}" for i in range(len(shown))]
+    known = df.select(*[field(df, n).alias(k) for n, k in zip(shown, keys)]).filter(no_nulls(keys))
     if method in ("exact", "prepartitioned"):
-        return _bounded(_exact(known, keys), keys, theta, k_max)
-    if method == "sample":
-        part = _exact(known.sample(share, seed=5), keys).withColumn("f", F.round(F.col("f") / share).cast("long"))
+        found = _bounded(_exact(known, keys), keys, theta, k_max)
+    elif method == "sample":
+        part = _exact(known.sample(share, seed=5), keys).withColumn("__f", F.round(F.col("__f") / share).cast("long"))
         found = _bounded(part, keys, theta, k_max)
-        if not refine:
-            return found
-        return _bounded(_exact(known.join(F.broadcast(found.drop("f")), keys, "left_semi"), keys), keys, theta, k_max)
-    cand = F.broadcast(_candidates(known, keys, method, k_max, capacity, fanout, share).distinct())
-    return _bounded(_exact(known.withColumn("h", F.xxhash64(*keys)).join(cand, "h", "left_semi"), keys), keys, theta, k_max)
+        if refine:
+            found = _bounded(_exact(known.join(F.broadcast(found.drop("__f")), keys, "left_semi"), keys), keys, theta, k_max)
+    else:
+        if method == "freq_items" and not refine:
+            raise ValueError("freq_items gives no counts: it needs refine")
+        cand = F.broadcast(_candidates(known, keys, method, k_max, capacity, fanout).groupBy("__h").agg(F.max("__c").alias("__c")))
+        met = known.withColumn("__h", F.xxhash64(*keys)).join(cand, "__h")
+        found = _bounded(met.groupBy(*keys).agg((F.count("*") if refine else F.max("__c")).alias("__f")), keys, theta, k_max)
+    return found.toDF(*shown, free("f", shown))
 
 
 def hot_summary(df: DataFrame, on, *, capacity: int = 4096, fanout: int = 16) -> DataFrame:
     """(h, c, e): key hashes with counts and error bounds of the merged bounded summaries."""
-    keys = [on] if isinstance(on, str) else list(on)
-    return _space_saving(df.select(*keys), keys, capacity, fanout)
+    keys = [f"__h{i}" for i in range(len(names(on)))]
+    return _space_saving(df.select(*[field(df, n).alias(k) for n, k in zip(names(on), keys)]), keys, capacity, fanout)
 
 
-def histogram_keys(df: DataFrame, on: str, eps: float = 0.01) -> DataFrame:
+def histogram_keys(df: DataFrame, on: str, eps: float = 0.01, accuracy: int | None = None) -> DataFrame:
     """Keys that fill at least one whole step of an eps-quantile histogram: coarser than a heavy-hitter summary of like space."""
-    steps = int(1 / eps)
-    marks = df.agg(F.percentile_approx(on, [i / steps for i in range(1, steps)], int(4 / eps)).alias("q")).select(F.explode("q").alias(on))
-    return marks.groupBy(on).agg(F.count("*").alias("steps")).filter("steps > 1")
+    steps = round(1 / eps)
+    marks = df.agg(F.percentile_approx(field(df, on), [i / steps for i in range(1, steps)], accuracy or int(4 / eps)).alias("q")).select(F.explode("q").alias("__h"))
+    return marks.groupBy("__h").agg(F.count("*").alias("__n")).filter("__n > 1").toDF(on, free("steps", [on]))
 
 
 def shared_hot(left_hot: DataFrame, right_hot: DataFrame, keys: list[str]) -> DataFrame:
@@ -156,9 +164,11 @@ def shared_hot(left_hot: DataFrame, right_hot: DataFrame, keys: list[str]) -> Da
 
 
 def partition_variance(df: DataFrame, on) -> DataFrame:
-    """Variance over partitions of each key's rows: high where a key's rows sit together."""
-    keys = [on] if isinstance(on, str) else list(on)
+    """Variance over partitions of each key's rows, and the rows ``f``: high where a key's rows sit together."""
+    shown = names(on)
+    keys = [f"__h{i}" for i in range(len(shown))]
     n = max(1, df.rdd.getNumPartitions())
-    per = df.groupBy(F.spark_partition_id().alias("pid"), *keys).agg(F.count("*").alias("c"))
-    mean = F.sum("c") / n
-    return per.groupBy(*keys).agg((F.sum(F.col("c") * F.col("c")) / n - mean * mean).alias("variance"), F.sum("c").alias("f"))
+    per = df.select(*[field(df, x).alias(k) for x, k in zip(shown, keys)]).groupBy(F.spark_partition_id().alias("__p"), *keys).agg(F.count("*").alias("__c"))
+    mean = F.sum("__c") / n
+    got = per.groupBy(*keys).agg((F.sum(F.col("__c") * F.col("__c")) / n - mean * mean).alias("__v"), F.sum("__c").alias("__f"))
+    return got.toDF(*shown, free("variance", shown), free("f", shown))

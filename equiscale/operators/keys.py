@@ -1,33 +1,53 @@
-"""Two relations in a common form: keys ``__k0..``, left columns ``__l_*``, right columns ``__r_*``.
+"""Two relations in a common form: keys ``__k0..``, left columns ``__l_0..``, right columns ``__r_0..``.
 
-Flat columns (no structs) keep column pruning down to the scans.
+Flat columns (no structs) keep column pruning down to the scans; numbered names cannot clash with the caller's.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-HOWS = {"inner", "left", "right", "full", "left_semi", "left_anti"}
-_WHOLE = (T.ByteType, T.ShortType, T.IntegerType, T.LongType)
+HOWS = {"inner", "left", "right", "full", "left_semi", "left_anti", "right_semi", "right_anti"}
 
 
-def _common(a: T.DataType, b: T.DataType) -> str | None:
-    for t in (a, b):
+def field(df: DataFrame, name: str) -> Column:
+    """The column of that very name, dots and quotes included."""
+    return df["`" + name.replace("`", "``") + "`"]
+
+
+def free(name: str, taken) -> str:
+    """``name``, with underscores added until it is not taken."""
+    while name in taken:
+        name += "_"
+    return name
+
+
+def names(on) -> list[str]:
+    return [on] if isinstance(on, str) else list(on)
+
+
+def no_nulls(columns: list[str]) -> Column:
+    out = F.lit(True)
+    for c in columns:
+        out = out & F.col(c).isNotNull()
+    return out
+
+
+def common_type(left: DataFrame, right: DataFrame, a: str, b: str) -> str | None:
+    """The type to which Spark casts both keys to compare them; None if they have one type."""
+    types = left.schema[a].dataType, right.schema[b].dataType
+    for t in types:
         if isinstance(t, T.MapType) or "interval" in t.simpleString():
             raise TypeError(f"a key of type {t.simpleString()} has no equality that can be hashed")
-    if a == b:
+    if types[0] == types[1]:
         return None
-    if isinstance(a, _WHOLE) and isinstance(b, _WHOLE):
-        return "bigint"
-    if isinstance(a, T.NumericType) and isinstance(b, T.NumericType):
-        if isinstance(a, (T.FloatType, T.DoubleType)) or isinstance(b, (T.FloatType, T.DoubleType)):
-            return "double"
-        return "decimal(38,10)"
-    return "string"
+    both = left.select(field(left, a).alias("a")).crossJoin(right.select(field(right, b).alias("b")))
+    equality = both.select((F.col("a") == F.col("b")).alias("e"))._jdf.queryExecution().analyzed().expressions().head().child()
+    return equality.left().dataType().sql()
 
 
 @dataclass
@@ -37,23 +57,31 @@ class Sides:
     keys: list[str]
     names: list[str]
     null_safe: bool
+    left_names: list[str]
+    right_names: list[str]
 
     @classmethod
     def of(cls, left: DataFrame, right: DataFrame, on, right_on=None, null_safe: bool = False) -> Sides:
-        lon = [on] if isinstance(on, str) else list(on)
-        ron = lon if right_on is None else [right_on] if isinstance(right_on, str) else list(right_on)
+        lon, ron = names(on), names(on if right_on is None else right_on)
+        if len(lon) != len(ron):
+            raise ValueError("both sides need the same number of key columns")
         keys = [f"__k{i}" for i in range(len(lon))]
-        sides = []
+        types = [common_type(left, right, a, b) for a, b in zip(lon, ron)]
+        sides, rest = [], []
         for df, own, mark in ((left, lon, "__l_"), (right, ron, "__r_")):
             cols = []
-            for i, c in enumerate(own):
-                to = _common(left.schema[lon[i]].dataType, right.schema[ron[i]].dataType)
-                k = df[c].cast(to) if to else df[c]
-                if dict(df.dtypes)[c] in ("float", "double"):
+            for key, to, c in zip(keys, types, own):
+                k = field(df, c).cast(to) if to else field(df, c)
+                if isinstance(df.schema[c].dataType, (T.FloatType, T.DoubleType)):
                     k = k + F.lit(0.0)  # one zero
-                cols.append((F.struct(k.alias("v")) if null_safe else k).alias(keys[i]))
-            sides.append(df.select(*cols, *[df[c].alias(mark + c) for c in df.columns if c not in own]))
-        return cls(*sides, keys, lon, null_safe)
+                cols.append((F.struct(k.alias("v")) if null_safe else k).alias(key))
+            rest.append([c for c in df.columns if c not in own])
+            sides.append(df.select(*cols, *[field(df, c).alias(f"{mark}{i}") for i, c in enumerate(rest[-1])]))
+        return cls(*sides, keys, lon, null_safe, *rest)
+
+    def over(self, left: DataFrame, right: DataFrame) -> Sides:
+        """The same form over other rows."""
+        return replace(self, left=left, right=right)
 
     @property
     def lcols(self) -> list[str]:
@@ -65,10 +93,13 @@ class Sides:
 
     def known(self, df: DataFrame) -> DataFrame:
         """Rows without a null key: null matches nothing and never enters a shuffle."""
-        return df if self.null_safe else df.filter(" and ".join(f"{k} is not null" for k in self.keys))
+        return df if self.null_safe else df.filter(no_nulls(self.keys))
 
     def unknown(self, df: DataFrame) -> DataFrame:
-        return df.limit(0) if self.null_safe else df.filter(" or ".join(f"{k} is null" for k in self.keys))
+        return df.limit(0) if self.null_safe else df.filter(~no_nulls(self.keys))
+
+    def all_known(self) -> Sides:
+        return self.over(self.known(self.left), self.known(self.right))
 
     def pad_right(self, df: DataFrame) -> DataFrame:
         """Left rows with nulls for the right columns."""
@@ -90,27 +121,23 @@ class Sides:
                 out = out.unionByName(self.pad_left(self.unknown(self.right)))
         return out
 
-    def present(self, pairs: DataFrame, only_left: bool = False) -> DataFrame:
-        """Keys once, left columns, right columns; a right column whose name is taken gets ``_r``."""
-        keys = [(F.col(k)["v"] if self.null_safe else F.col(k)).alias(n) for k, n in zip(self.keys, self.names)]
-        taken = set(self.names) | {c[4:] for c in self.lcols}
-        right = [] if only_left else [F.col(c).alias(c[4:] + "_r" * (c[4:] in taken)) for c in self.rcols]
-        return pairs.select(*keys, *[F.col(c).alias(c[4:]) for c in self.lcols], *right)
-
-    def swapped(self) -> Sides:
-        """The sides exchanged; columns keep their marks."""
-        return Sides(self.right, self.left, self.keys, self.names, self.null_safe)
+    def _key_columns(self) -> list[Column]:
+        return [(F.col(k)["v"] if self.null_safe else F.col(k)).alias(n) for k, n in zip(self.keys, self.names)]
 
-
-def with_key(df: DataFrame, on, side: int) -> DataFrame:
-    """(key struct, side, other columns as a struct)."""
-    own = [on] if isinstance(on, str) else list(on)
-    return df.select(F.struct(*own).alias("k"), F.lit(side).cast("tinyint").alias("side"), F.struct(*[c for c in df.columns if c not in own]).alias("v"))
-
-
-def split_nulls(df: DataFrame, on) -> tuple[DataFrame, DataFrame]:
-    own = [on] if isinstance(on, str) else list(on)
-    return df.filter(" and ".join(f"`{c}` is not null" for c in own)), df.filter(" or ".join(f"`{c}` is null" for c in own))
+    def present(self, pairs: DataFrame, only_left: bool = False) -> DataFrame:
+        """Keys once, left columns, right columns; a right column whose name is taken gets ``_r`` until it is free."""
+        taken = [*self.names, *self.left_names]
+        out = [*self._key_columns(), *[F.col(f"__l_{i}").alias(n) for i, n in enumerate(self.left_names)]]
+        for i, n in enumerate(() if only_left else self.right_names):
+            while n in taken:
+                n += "_r"
+            taken.append(n)
+            out.append(F.col(f"__r_{i}").alias(n))
+        return pairs.select(*out)
+
+    def present_right(self, rows: DataFrame) -> DataFrame:
+        """Keys and right columns."""
+        return rows.select(*self._key_columns(), *[F.col(f"__r_{i}").alias(free(n, self.names)) for i, n in enumerate(self.right_names)])
 
 
 def check_how(how: str) -> None:

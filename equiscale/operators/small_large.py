@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from equiscale.plans.config import JoinConfig
+from equiscale.plans.metrics import measured
 from equiscale.sources.io import cut
 
 from .keys import Sides, check_how
@@ -22,9 +22,21 @@ def estimated_bytes(df: DataFrame) -> int:
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
-def small(df: DataFrame, limit: int = BROADCAST_BYTES) -> DataFrame:
-    """Broadcast hint for a side of checked size, none beyond."""
-    return F.broadcast(df) if estimated_bytes(df) <= limit else df
+def small(df: DataFrame, limit: int = BROADCAST_BYTES, checked: bool = False) -> DataFrame:
+    """Broadcast hint for a side that is small enough, by the planner's estimate or, if ``checked``, as its caller has measured; none beyond."""
+    return F.broadcast(df) if checked or estimated_bytes(df) <= limit else df
+
+
+class TooLargeToBroadcast(ValueError):
+    """A method that can only broadcast a side was given one that does not fit."""
+
+
+def must_be_small(df: DataFrame, what: str, limit: float) -> DataFrame:
+    """Broadcast hint for a side measured row by row; the method that needs it fails beyond ``limit`` bytes."""
+    n, size = measured(df)
+    if size > limit:
+        raise TooLargeToBroadcast(f"{what}: {n} rows of {size} bytes are over the limit of {int(limit)} bytes for a broadcast")
+    return F.broadcast(df)
 
 
 def build_index(sides: Sides) -> DataFrame:
@@ -32,18 +44,18 @@ def build_index(sides: Sides) -> DataFrame:
     return sides.known(sides.right).groupBy(*sides.keys).agg(F.collect_list(F.struct(*sides.rcols, F.lit(0).alias("__"))).alias("rs"))
 
 
-def _probe(sides: Sides, how: str, mode: str) -> DataFrame:
+def _probe(sides: Sides, how: str, mode: str, checked: bool = False) -> DataFrame:
     left = sides.known(sides.left)
     if mode == "native":
-        return sides.order(left.join(small(sides.known(sides.right)), sides.keys, how))
-    met = left.join(small(build_index(sides)), sides.keys, how)
+        return sides.order(left.join(small(sides.known(sides.right), checked=checked), sides.keys, how))
+    met = left.join(small(build_index(sides), checked=checked), sides.keys, how)
     met = met.withColumn("__b", F.explode_outer("rs") if how == "left" else F.explode("rs"))
     return met.select(*sides.keys, *sides.lcols, *[F.col("__b")[c].alias(c) for c in sides.rcols])
 
 
-def joined_keys(sides: Sides, partition_set: bool = False) -> DataFrame:
+def joined_keys(sides: Sides, partition_set: bool = False, checked: bool = False) -> DataFrame:
     """Distinct small keys that a large row has.  Each task combines its own set before sets meet."""
-    keys = small(sides.known(sides.right).select(*sides.keys).distinct())
+    keys = small(sides.known(sides.right).select(*sides.keys).distinct(), checked=checked)
     met = sides.known(sides.left).select(*sides.keys).join(keys, sides.keys, "left_semi")
     if not partition_set:
         return met.distinct()
@@ -70,10 +82,10 @@ def unjoinable_keys(sides: Sides, joined: DataFrame) -> DataFrame:
     return sides.known(sides.right).select(*sides.keys).distinct().join(small(joined), sides.keys, "left_anti")
 
 
-def right_anti_rows(sides: Sides, *, smaller_keyset: bool = False, partition_set: bool = False, joined: DataFrame | None = None) -> DataFrame:
+def right_anti_rows(sides: Sides, *, smaller_keyset: bool = False, partition_set: bool = False, joined: DataFrame | None = None, checked: bool = False) -> DataFrame:
     """Small rows of keys that no large row has.  ``smaller_keyset`` sends the smaller of the joined and the unjoinable keys."""
     right = sides.known(sides.right)
-    joined = cut(joined if joined is not None else joined_keys(sides, partition_set))
+    joined = cut(joined if joined is not None else joined_keys(sides, partition_set, checked))
     if smaller_keyset:
         n = right.select(*sides.keys).distinct().count()
         if 2 * joined.count() > n:
@@ -83,35 +95,38 @@ def right_anti_rows(sides: Sides, *, smaller_keyset: bool = False, partition_set
 
 def index_broadcast_join(big: DataFrame, small_df: DataFrame, on, how: str = "inner", *, right_on=None, mode: str = "native", opt_smaller_keyset: bool = False, opt_single_scan: bool = False, opt_partition_set: bool = False, variant: str = "whole", null_safe: bool = False) -> DataFrame:
     """``big`` is the left side.  ``mode='index'`` groups the small side by key first.  ``variant='semi_reduced'`` broadcasts keys, then only rows that join."""
-    if how != "right_anti":
-        check_how(how)
+    check_how(how)
     sides = Sides.of(big, small_df, on, right_on, null_safe)
     opts = {"smaller_keyset": opt_smaller_keyset, "partition_set": opt_partition_set}
     if how in ("left_semi", "left_anti"):
         keys = small(sides.known(sides.right).select(*sides.keys).distinct())
         out = sides.left.join(keys, sides.keys, how)
         return sides.present(out, only_left=True)
+    if how == "right_semi":
+        met = small(cut(joined_keys(sides, opt_partition_set)))
+        return sides.present_right(sides.known(sides.right).join(met, sides.keys, "left_semi"))
     if how == "right_anti":
         return sides.present(sides.pad_left(right_anti_rows(sides, **opts)).unionByName(sides.pad_left(sides.unknown(sides.right))))
     return sides.present(sides.with_nulls(index_broadcast_pairs(sides, how, mode, opt_single_scan, variant, **opts), how))
 
 
-def index_broadcast_pairs(sides: Sides, how: str, mode: str = "native", single_scan: bool = False, variant: str = "whole", **opts) -> DataFrame:
+def index_broadcast_pairs(sides: Sides, how: str, mode: str = "native", single_scan: bool = False, variant: str = "whole", checked: bool = False, **opts) -> DataFrame:
+    """``checked``: the right side has been measured and fits."""
     joined = None
     if variant == "semi_reduced":
         joined = cut(joined_keys(sides))
         kept = sides.right.join(small(joined), sides.keys, "left_semi")
-        reduced = Sides(sides.left, kept, sides.keys, sides.names, sides.null_safe)
+        reduced = sides.over(sides.left, kept)
         out = _probe(reduced, "left" if how in ("left", "full") else "inner", mode)
     elif single_scan and how in ("right", "full"):
-        marked = Sides(sides.left, sides.right.withColumn("__r___hit", F.lit(True)), sides.keys, sides.names, sides.null_safe)
+        marked = sides.over(sides.left, sides.right.withColumn("__r_hit", F.lit(True)))
         both = cut(_probe(marked, "left" if how == "full" else "inner", mode))
-        joined = both.filter("__r___hit").select(*sides.keys).distinct()
-        out = both.drop("__r___hit")
+        joined = both.filter("__r_hit").select(*sides.keys).distinct()
+        out = both.drop("__r_hit")
     else:
-        out = _probe(sides, "left" if how in ("left", "full") else "inner", mode)
+        out = _probe(sides, "left" if how in ("left", "full") else "inner", mode, checked)
     if how in ("right", "full"):
-        out = out.unionByName(sides.pad_left(right_anti_rows(sides, joined=joined, **opts)))
+        out = out.unionByName(sides.pad_left(right_anti_rows(sides, joined=joined, checked=checked, **opts)))
     return out
 
 
@@ -121,11 +136,7 @@ def chunked_broadcast_join(big: DataFrame, small_df: DataFrame, on, pieces: int,
     out = None
     for p in range(pieces):
         mine = F.pmod(F.xxhash64(*sides.keys), F.lit(pieces)) == p
-        piece = Sides(sides.known(sides.left).filter(mine), sides.known(sides.right).filter(mine), sides.keys, sides.names, False)
+        piece = sides.over(sides.known(sides.left).filter(mine), sides.known(sides.right).filter(mine))
         pairs = index_broadcast_pairs(piece, how)
         out = pairs if out is None else out.unionByName(pairs)
     return sides.present(sides.with_nulls(out, how))
-
-
-def broadcast_fits(cfg: JoinConfig, n_rows: float, row_bytes: float) -> bool:
-    return n_rows * row_bytes <= cfg.broadcast_limit

@@ -2,7 +2,9 @@
 
 Basic: levels start from whole lists.  Balanced: keys hot on both sides are found first and their rows
 are dealt over a grid of padded keys at once, so that no task holds a whole hot list.  ``index='lists'`` works on arrays;
-``index='cells'`` keeps flat rows that get one grid coordinate a level and ends in one equi-join, which spills and streams.
+``index='cells'`` keeps flat rows and ends in one equi-join, which spills and streams.  Rows are dealt evenly over lanes, so
+the size of a cell after any number of levels follows from the hot keys' frequencies: all levels are planned on
+the small table of hot keys and run in one exchange (``levels='planned'``).  ``levels='counted'`` writes and counts each level instead.
 """
 
 from __future__ import annotations
@@ -14,18 +16,18 @@ from pyspark.sql import functions as F
 
 from equiscale.functions.chunking import grid_lane, sublist_count
 from equiscale.plans.config import JoinConfig
-from equiscale.plans.cost import level_bound
+from equiscale.plans.cost import cube_root_ceil, level_bound
+from equiscale.plans.metrics import avg_row_bytes
 from equiscale.sources.io import cut
 
 from . import index
 from .hotkeys import hot_keys, partition_variance, shared_hot
-from .keys import Sides, check_how
+from .keys import Sides, check_how, field, names
 
 
-def respread(idx: DataFrame, n: int | None = None) -> DataFrame:
+def respread(idx: DataFrame, n: int) -> DataFrame:
     """Rows dealt by a hash of all they hold, so one key's sub-lists go to many tasks and a task run again deals alike."""
-    parts = n or int(idx.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return idx.repartition(parts, F.xxhash64(*idx.columns))
+    return idx.repartition(n, F.xxhash64(*[field(idx, c) for c in idx.columns]))
 
 
 def _predicate(cfg: JoinConfig) -> Column:
@@ -37,7 +39,15 @@ def _predicate(cfg: JoinConfig) -> Column:
 def level(idx: DataFrame, sides: Sides, cfg: JoinConfig) -> tuple[DataFrame, DataFrame]:
     """(pairs of cold keys, index of the next level)."""
     cold, hot = index.split_local(idx, _predicate(cfg))
-    return index.emit_pairs(cold, sides), respread(index.cross_chunks(hot, sides, cfg.chunk_rule))
+    return index.emit_pairs(cold, sides), respread(index.cross_chunks(hot, sides, cfg.chunk_rule), cfg.partitions(idx.sparkSession))
+
+
+def levels_of(l_max: float, cfg: JoinConfig) -> int:
+    """Levels that lists of ``l_max`` rows on both sides need: as many as the bound says, or as cutting them takes if that is more."""
+    n, taken = math.ceil(l_max), 0
+    while n > cfg.theta and n > 1:
+        n, taken = -(-n // cube_root_ceil(n)), taken + 1
+    return max(1, taken, math.ceil(level_bound(l_max, cfg.lam)) + 1)
 
 
 def _levels(idx: DataFrame, sides: Sides, cfg: JoinConfig, l_max: float) -> DataFrame:
@@ -51,7 +61,7 @@ def _levels(idx: DataFrame, sides: Sides, cfg: JoinConfig, l_max: float) -> Data
             idx = cut(idx)
             if idx.isEmpty():
                 return out
-    for _ in range(max(1, math.ceil(level_bound(l_max, cfg.lam)) + 1)):
+    for _ in range(levels_of(l_max, cfg)):
         pairs, idx = level(idx, sides, cfg)
         out = pairs if out is None else out.unionByName(pairs)
     return out.unionByName(index.emit_pairs(idx, sides))
@@ -91,108 +101,157 @@ def _longest(sides: Sides) -> float:
 def staged_join_basic(left: DataFrame, right: DataFrame, on, how: str = "inner", cfg: JoinConfig = JoinConfig(), *, right_on=None) -> DataFrame:
     check_how(how)
     sides = Sides.of(left, right, on, right_on, cfg.null_safe)
-    own = Sides(sides.known(sides.left), sides.known(sides.right), sides.keys, sides.names, sides.null_safe)
+    own = sides.all_known()
     pairs = _levels(index.build_joined_index(own, how), own, cfg, _longest(own) if cfg.loop == "static" else 1)
     return sides.present(sides.with_nulls(pairs, how))
 
 
 def split_shared(df: DataFrame, kappa: DataFrame, keys: list[str]) -> tuple[DataFrame, DataFrame]:
-    """(rows of shared hot keys with fl and fr, other rows), without a shuffle."""
+    """(rows of shared hot keys with the columns of ``kappa``, other rows), without a shuffle."""
     small = F.broadcast(kappa)
     return df.join(small, keys), df.join(small.select(*keys), keys, "left_anti")
 
 
-def _counts(cfg: JoinConfig) -> tuple[Column, Column]:
-    """Lanes of the left and of the right list; the copies of a row are bounded by ``max_copies``."""
-    dl = F.least(sublist_count(F.col("fl"), F.col("fr"), cfg.chunk_exponent), F.lit(cfg.max_copies))
-    dr = F.least(sublist_count(F.col("fr"), F.col("fl"), cfg.chunk_exponent), F.lit(cfg.max_copies))
-    return dl, dr
+def planned_cells(kappa: DataFrame, cfg: JoinConfig, pairs: float, tasks: int, longest: float = float("inf")) -> DataFrame:
+    """``kappa`` (keys, fl, fr) with ``__dl`` and ``__dr``, the lanes of both lists after all levels, and ``__lv``, their number.
+
+    Each level cuts both lists of a cell as the chunking rule says, while its lists are hot by their geometric mean and its pairs are over
+    ``cell_share`` of a task's fair share of all pairs, or a list is over ``longest``.  The copies of a row are bounded by ``max_copies``.
+    """
+    floor = max(cfg.theta**2, cfg.cell_share * pairs / max(1, tasks))
+    start = F.struct(F.col("fl").cast("double").alias("a"), F.col("fr").cast("double").alias("b"), F.lit(1).cast("long").alias("dl"), F.lit(1).cast("long").alias("dr"), F.lit(0).alias("n"))
+
+    def step(x: Column, _: Column) -> Column:
+        most = F.lit(cfg.max_copies).cast("double")
+        cl = F.least(sublist_count(x["a"], x["b"], cfg.chunk_exponent).cast("double"), F.floor(most / x["dl"]))
+        cr = F.least(sublist_count(x["b"], x["a"], cfg.chunk_exponent).cast("double"), F.floor(most / x["dr"]))
+        more = (x["a"] * x["b"] > floor) | (F.greatest(x["a"], x["b"]) > longest)
+        go = more & (F.greatest(cl, cr) > 1)
+        nxt = F.struct(F.ceil(x["a"] / cl).cast("double").alias("a"), F.ceil(x["b"] / cr).cast("double").alias("b"), (x["dl"] * cl).cast("long").alias("dl"), (x["dr"] * cr).cast("long").alias("dr"), (x["n"] + 1).alias("n"))
+        return F.when(go, nxt).otherwise(x)
+
+    plan = F.aggregate(F.sequence(F.lit(1), F.lit(cfg.max_levels)), start, step)
+    return kappa.withColumn("__plan", plan).select(*kappa.columns, F.col("__plan")["dl"].alias("__dl"), F.col("__plan")["dr"].alias("__dr"), F.col("__plan")["n"].alias("__lv"))
+
+
+def placed(df: DataFrame) -> DataFrame:
+    """The rows, written, each with its place ``__p``."""
+    return cut(df.withColumn("__p", F.monotonically_increasing_id()))
 
 
 def unravel(df: DataFrame, side: str, cfg: JoinConfig, level_no: int = 0, i: str = "__i", j: str = "__j") -> DataFrame:
-    """Rows of hot keys (with fl, fr) over their key's grid: a left row takes one grid row and all columns, a right row the other way."""
-    dl, dr = _counts(cfg)
-    content = [c for c in df.columns if c not in ("fl", "fr", i, j)]
-    if cfg.salt == "position":
-        df = df.withColumn("__p", F.monotonically_increasing_id())
-        content = [*content, "__p"]
+    """Rows of hot keys (with ``__dl`` and ``__dr``) over their key's grid: a left row takes one grid row and all columns, a right row the other way.
+
+    ``df`` has the place of each row, written once: lanes by place are even, also among equal rows, and a task run again deals alike.
+    """
     seed = cfg.seed + 101 * level_no + (side == "right")
-    if side == "left":
-        out = df.withColumn(i, grid_lane(content, dl, seed)).withColumn(j, F.explode(F.sequence(F.lit(0), dr - 1)))
-    else:
-        out = df.withColumn(j, grid_lane(content, dr, seed)).withColumn(i, F.explode(F.sequence(F.lit(0), dl - 1)))
-    return out.drop("__p", "fl", "fr")
+    own, other, a, b = ("__dl", "__dr", i, j) if side == "left" else ("__dr", "__dl", j, i)
+    return df.withColumn(a, grid_lane(["__p"], F.col(own), seed)).withColumn(b, F.explode(F.sequence(F.lit(0).cast("long"), F.col(other) - 1))).drop("__dl", "__dr")
 
 
-def _cell_join(left: DataFrame, right: DataFrame, sides: Sides, kappa: DataFrame, cfg: JoinConfig, l_max: float) -> DataFrame:
-    """Inner join of rows of shared hot keys by grid cells; later levels cut cells that are still hot."""
+def _cell_join(left: DataFrame, right: DataFrame, sides: Sides, plan: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """Inner join of placed rows of shared hot keys by grid cells."""
     by = list(sides.keys)
-    sizes, bound = kappa, 1
-    if cfg.levels == "collapsed":
-        bound, cfg = 1, cfg
-    else:
-        bound = max(1, min(cfg.max_levels, math.ceil(level_bound(l_max, cfg.lam)) + 1))
-    for t in range(bound):
+    if cfg.levels == "planned":
+        small = F.broadcast(plan.select(*by, "__dl", "__dr"))
+        left, right = unravel(left.join(small, by), "left", cfg), unravel(right.join(small, by), "right", cfg)
+        return sides.order(left.join(right, [*by, "__i", "__j"]))
+    sizes = F.broadcast(plan.select(*by, "fl", "fr"))
+    for t in range(cfg.max_levels):
         i, j = f"__i{t}", f"__j{t}"
-        if t:
-            a, b = (df.groupBy(*by).agg(F.count("*").alias(n)) for df, n in ((left, "fl"), (right, "fr")))
-            sizes = a.join(b, by).filter(F.sqrt(F.col("fl").cast("double") * F.col("fr").cast("double")) > cfg.theta)
-            left, right = cut(left), cut(right)
-            sizes = cut(sizes)
-        marked = [df.join(sizes if t else F.broadcast(sizes), by, "left").withColumns({"fl": F.coalesce("fl", F.lit(1)), "fr": F.coalesce("fr", F.lit(1))}) for df in (left, right)]
-        left, right = unravel(marked[0], "left", cfg, t, i, j), unravel(marked[1], "right", cfg, t, i, j)
+        lanes = {"__dl": F.least(sublist_count(F.col("fl"), F.col("fr"), cfg.chunk_exponent), F.lit(cfg.max_copies)).cast("long"), "__dr": F.least(sublist_count(F.col("fr"), F.col("fl"), cfg.chunk_exponent), F.lit(cfg.max_copies)).cast("long")}
+        sizes = sizes.withColumns(lanes).drop("fl", "fr")
+        marked = [df.join(sizes, by, "left").withColumns({"__dl": F.coalesce("__dl", F.lit(1)), "__dr": F.coalesce("__dr", F.lit(1))}) for df in (left, right)]
+        left, right = cut(unravel(marked[0], "left", cfg, t, i, j)), cut(unravel(marked[1], "right", cfg, t, i, j))
         by += [i, j]
+        a, b = (df.groupBy(*by).agg(F.count("*").alias(n)) for df, n in ((left, "fl"), (right, "fr")))
+        sizes = cut(a.join(b, by).filter(F.sqrt(F.col("fl").cast("double") * F.col("fr").cast("double")) > cfg.theta))
+        if sizes.isEmpty():
+            break
     return sides.order(left.join(right, by))
 
 
+def shared_plan(kl: DataFrame, kr: DataFrame, keys: list[str], cfg: JoinConfig) -> tuple[DataFrame, float]:
+    """(keys hot on both sides with frequencies and planned cells, the longest geometric mean)."""
+    shared = cut(shared_hot(kl, kr, keys))
+    a, b = F.col("fl").cast("double"), F.col("fr").cast("double")
+    pairs, longest = shared.agg(F.sum(a * b), F.max(F.sqrt(a * b))).first()
+    return planned_cells(shared, cfg, pairs or 0.0, cfg.executors(kl.sparkSession)), longest or 1.0
+
+
+def grid_levels(left: DataFrame, right: DataFrame, on, cfg: JoinConfig = JoinConfig(), *, right_on=None) -> DataFrame:
+    """keys, fl, fr, rows and columns of its grid, levels and the largest cell's pairs by plan, of each key that is hot on both sides."""
+    sides = Sides.of(left, right, on, right_on, cfg.null_safe).all_known()
+    plan, _ = shared_plan(*both_hot(sides, cfg), sides.keys, cfg)
+    shown = [(F.col(k)["v"] if sides.null_safe else F.col(k)).alias(n) for k, n in zip(sides.keys, sides.names)]
+    cell = F.ceil(F.col("fl") / F.col("__dl")) * F.ceil(F.col("fr") / F.col("__dr"))
+    return plan.select(*shown, "fl", "fr", F.col("__dl").alias("grid_rows"), F.col("__dr").alias("grid_columns"), F.col("__lv").alias("levels"), cell.cast("long").alias("cell_pairs"))
+
+
 def staged_join(left: DataFrame, right: DataFrame, on, how: str = "inner", cfg: JoinConfig = JoinConfig(), *, right_on=None, kappa: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
-    """Balanced form.  ``kappa``: hot keys of both sides (columns named as the left keys, and ``f``) if they are known already."""
+    """Balanced form.  ``kappa``: hot keys of both sides (columns as ``hot_keys`` gives them for the left keys) if they are known already."""
     check_how(how)
     sides = Sides.of(left, right, on, right_on, cfg.null_safe)
-    return sides.present(sides.with_nulls(staged_pairs(sides, how, cfg, _keyed(kappa, sides)), how))
+    return sides.present(sides.with_nulls(staged_pairs(sides, how, cfg, keyed(kappa, sides)), how))
 
 
-def _keyed(kappa, sides: Sides):
-    return kappa and tuple(k.select(*[(F.struct(F.col(n).alias("v")) if sides.null_safe else F.col(n)).alias(c) for n, c in zip(sides.names, sides.keys)], "f") for k in kappa)
+def keyed(kappa, sides: Sides):
+    """The caller's hot keys in the inner form; the last column is the frequency."""
+    if kappa is None:
+        return None
+    out = []
+    for k in kappa:
+        inner = k.toDF(*sides.keys, "f")
+        out.append(inner.select(*[(F.struct(F.col(c).alias("v")) if sides.null_safe else F.col(c)).alias(c) for c in sides.keys], "f"))
+    return tuple(out)
 
 
 def both_hot(sides: Sides, cfg: JoinConfig) -> tuple[DataFrame, DataFrame]:
+    """Written hot keys of both sides, at most as many as fit in memory."""
     opts = {"theta": cfg.theta, "method": cfg.hot_method, "capacity": cfg.capacity, "fanout": cfg.fanout, "refine": cfg.refine}
-    return cut(hot_keys(sides.known(sides.left), sides.keys, cfg.k_max_left, **opts)), cut(hot_keys(sides.known(sides.right), sides.keys, cfg.k_max_right, **opts))
+    spark, out = sides.left.sparkSession, []
+    for own, other, k_max, width in ((sides.left, sides.right, cfg.k_max_left, cfg.right_bytes), (sides.right, sides.left, cfg.k_max_right, cfg.left_bytes)):
+        k_max = k_max or cfg.hot_budget(spark, width or avg_row_bytes(other))
+        out.append(cut(hot_keys(sides.known(own), sides.keys, k_max, **opts)))
+    return tuple(out)
 
 
 def staged_pairs(sides: Sides, how: str, cfg: JoinConfig, kappa=None) -> DataFrame:
-    own = Sides(sides.known(sides.left), sides.known(sides.right), sides.keys, sides.names, sides.null_safe)
+    own = sides.all_known()
     kl, kr = kappa or both_hot(own, cfg)
-    shared = cut(shared_hot(kl, kr, own.keys))
-    l_max = shared.agg(F.max(F.sqrt(F.col("fl").cast("double") * F.col("fr").cast("double")))).first()[0] or 1.0
-    (hl, cl), (hr, cr) = split_shared(own.left, shared, own.keys), split_shared(own.right, shared, own.keys)
+    plan, l_max = shared_plan(kl, kr, own.keys, cfg)
+    (hl, cl), (hr, cr) = split_shared(own.left, plan, own.keys), split_shared(own.right, plan, own.keys)
+    hl, hr = (placed(df.drop("fl", "fr", "__lv", "__dl", "__dr")) for df in (hl, hr))
     if cfg.index == "cells":
-        hot = _cell_join(hl.drop("fl", "fr"), hr.drop("fl", "fr"), own, shared, cfg, l_max)
-        cold = own.order(cl.join(cr, own.keys, how))
-        return cold.unionByName(hot)
-    idx = build_padded_index(own, hl, cl, hr, cr, how, cfg)
+        return own.order(cl.join(cr, own.keys, how)).unionByName(_cell_join(hl, hr, own, plan, cfg))
+    idx = build_padded_index(own, hl, cl, hr, cr, how, cfg, plan)
     return _levels(idx, own, cfg, max(l_max ** (2 / 3), cfg.theta))
 
 
-def build_padded_index(sides: Sides, hl, cl, hr, cr, how: str, cfg: JoinConfig) -> DataFrame:
-    """Hot rows over their grids and cold rows at (0, 0) meet in one exchange; then the padding goes.
+def build_padded_index(sides: Sides, hl, cl, hr, cr, how: str, cfg: JoinConfig, plan: DataFrame) -> DataFrame:
+    """Hot rows over their grids and cold rows at (-1, -1) meet in one exchange; then the padding goes.
 
     Only cold keys can be one-sided: a shared hot key matches, and an empty cell of its grid means nothing.
     """
-    zero = {"__i": F.lit(-1), "__j": F.lit(-1)}
-    left = unravel(hl, "left", cfg).unionByName(cl.withColumns(zero))
-    right = unravel(hr, "right", cfg).unionByName(cr.withColumns(zero))
-    idx = index.build_joined_index(Sides(left, right, sides.keys, sides.names, sides.null_safe), "full", ["__i", "__j"])
+    zero = {"__i": F.lit(-1).cast("long"), "__j": F.lit(-1).cast("long")}
+    # one level is dealt here, the others follow on lists
+    lanes = F.broadcast(plan.select(*sides.keys, *[F.least(sublist_count(F.col(x), F.col(y), cfg.chunk_exponent), F.lit(cfg.max_copies)).cast("long").alias(d) for x, y, d in (("fl", "fr", "__dl"), ("fr", "fl", "__dr"))]))
+    left = unravel(hl.join(lanes, sides.keys), "left", cfg).drop("__p").unionByName(cl.withColumns(zero))
+    right = unravel(hr.join(lanes, sides.keys), "right", cfg).drop("__p").unionByName(cr.withColumns(zero))
+    idx = index.build_joined_index(sides.over(left, right), "full", ["__i", "__j"])
     two = (F.size("ls") > 0) & (F.size("rs") > 0)
     one = {"inner": F.lit(False), "left": F.size("ls") > 0, "right": F.size("rs") > 0, "full": F.lit(True)}[how]
     return idx.filter(two | ((F.col("__i") < 0) & one)).drop("__i", "__j")
 
 
 def spread_input(df: DataFrame, on, hot: DataFrame, *, factor: float = 1.0) -> DataFrame:
-    """Deals anew the rows of those hot keys that sit together in few partitions; other rows stay."""
-    keys = [on] if isinstance(on, str) else list(on)
+    """Deals anew the rows of those hot keys (columns as ``hot_keys`` gives them) that sit together in few partitions; other rows stay."""
+    shown = names(on)
+    keys = [f"__s{i}" for i in range(len(shown))]
+    marked = df.select(*[field(df, c) for c in df.columns], *[field(df, c).alias(k) for c, k in zip(shown, keys)])
     n = max(1, df.rdd.getNumPartitions())
+    spread = partition_variance(marked, keys).toDF(*keys, "__v", "__f")
     # rows spread evenly have a variance near their mean
-    lumped = cut(partition_variance(df, keys).join(F.broadcast(hot.select(*keys)), keys).filter(F.col("variance") > factor * F.col("f") / n).select(*keys))
-    return df.join(F.broadcast(lumped), keys, "left_anti").unionByName(respread(df.join(F.broadcast(lumped), keys, "left_semi"), n).select(*df.columns))
+    lumped = cut(spread.join(F.broadcast(hot.toDF(*keys, "__hot").select(*keys)), keys).filter(F.col("__v") > factor * F.col("__f") / n).select(*keys))
+    stay, move = (marked.join(F.broadcast(lumped), keys, kind).select(*[field(marked, c) for c in df.columns]) for kind in ("left_anti", "left_semi"))
+    return stay.unionByName(respread(move, n))

@@ -117,7 +117,8 @@ def comm_keys(n: int, n_keys: float, m_key: float) -> float:
 
 
 def max_hot_keys(n_rows: float, memory: float, m_other: float, m_key: float, lam: float) -> int:
-    return int(min(min(n_rows, memory / m_other) / hot_threshold(lam), memory / m_key))
+    """Hot keys that an executor can hold together with the fewer than threshold cold rows that each has on the other side."""
+    return int(min(min(n_rows, memory / max(m_other, 1)) / hot_threshold(lam), memory / max(m_key, 1)))
 
 
 def delta_hot_keys(n_rows: float, m_row: float, n: int, k_max: int, m_key: float, lam: float) -> float:

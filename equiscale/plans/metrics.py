@@ -9,6 +9,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from equiscale.operators.keys import field
 
 
 def time_join(make: Callable[[], DataFrame], repeat: int = 3, timeout_s: float | None = None) -> dict:
@@ -60,11 +63,6 @@ def result_size(left: DataFrame, right: DataFrame, on: str, right_on: str | None
     return a.join(b, "k").agg(F.coalesce(F.sum(F.col("f") * F.col("g")), F.lit(0)).cast("long").alias("pairs"))
 
 
-def join_count_by_key(left: DataFrame, right: DataFrame, on: str, right_on: str | None = None) -> DataFrame:
-    a, b = key_counts(left, on), key_counts(right, right_on or on).withColumnRenamed("f", "g")
-    return a.join(b, "k").select("k", (F.col("f") * F.col("g")).alias("pairs"))
-
-
 def selectivity(left: DataFrame, right: DataFrame, on: str, right_on: str | None = None) -> DataFrame:
     """Share of left rows that find a match."""
     keys = right.select(F.col(right_on or on).alias("k")).distinct()
@@ -77,9 +75,28 @@ def hot_recall(found: DataFrame, exact: DataFrame, on: list[str]) -> DataFrame:
     return both.agg(F.count("*").alias("hot"), F.count("g").alias("found"), F.coalesce(F.max(F.abs(F.col("g") - F.col("f"))), F.lit(0)).cast("long").alias("worst_error"))
 
 
-def avg_row_bytes(df: DataFrame, sample: float = 0.01) -> float:
-    size = df.sample(sample, seed=1).agg(F.avg(F.length(F.to_json(F.struct(*df.columns))))).first()[0]
-    return float(size or 0)
+def row_width(df: DataFrame):
+    """Bytes of a row as a column: its strings and bytes as they are long, other plain columns 8, nested ones as JSON."""
+    out = F.lit(8 * len(df.columns)).cast("long")
+    for f in df.schema.fields:
+        c = field(df, f.name)
+        if isinstance(f.dataType, (T.StringType, T.BinaryType)):
+            out = out + F.coalesce(F.octet_length(c), F.lit(0))
+        elif isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
+            out = out + F.coalesce(F.octet_length(F.to_json(F.struct(c))), F.lit(0))
+    return out
+
+
+def avg_row_bytes(df: DataFrame, rows: int = 1000) -> float:
+    """Mean width of a few rows, for planning."""
+    few = df.limit(rows)
+    return float(few.agg(F.avg(row_width(few))).first()[0] or 8 * len(df.columns) or 8)
+
+
+def measured(df: DataFrame) -> tuple[int, int]:
+    """(rows, bytes) of a relation that is written or cheap to scan."""
+    n, size = df.agg(F.count("*"), F.coalesce(F.sum(row_width(df)), F.lit(0))).first()
+    return n, size
 
 
 def stage_metrics(spark, before: set[int] | None = None) -> dict[str, int]:

@@ -50,14 +50,17 @@ def test_methods(bags, how):
     assert bag(staged_join_basic(l, r, "key", how, few.but(loop="dynamic"))) == want
     assert bag(staged_join(l, r, "key", how, few)) == want
     assert bag(staged_join(l, r, "key", how, few.but(index="lists"))) == want
-    assert bag(staged_join(l, r, "key", how, few.but(lam=0.5, max_levels=3, salt="position"))) == want
+    assert bag(staged_join(l, r, "key", how, few.but(hot_threshold=1.2, cell_share=0))) == want
+    assert bag(staged_join(l, r, "key", how, few.but(hot_threshold=1.2, levels="counted", max_levels=3))) == want
+    assert bag(adaptive_join(l, r, "key", how, few.but(split="all"))) == want
+    assert bag(adaptive_join(l, r, "key", how, few.but(broadcast="always", k_max_left=2, k_max_right=1))) == want
     assert bag(adaptive_join(l, r, "key", how, few)) == want
     assert bag(adaptive_join(l, r, "key", how, few.but(index="lists", broadcast="never"))) == want
     assert bag(index_broadcast_join(l, r, "key", how)) == want
     assert bag(index_broadcast_join(l, r, "key", how, mode="index")) == want
     assert bag(baselines.heavier_side_join(l, r, "key", how, few)) == want
-    assert bag(baselines.small_large_ids_outer(l, r, "key", how, n=3)) == want
-    assert bag(baselines.small_large_rows_outer(l, r, "key", how, n=3)) == want
+    assert bag(baselines.small_large_ids_outer(l, r, "key", how)) == want
+    assert bag(baselines.small_large_rows_outer(l, r, "key", how)) == want
 
 
 @pytest.mark.parametrize("how", HOWS)
@@ -84,6 +87,12 @@ def test_semi_and_anti(bags):
         assert got == Counter(x for x in left if x[0] is not None and x[0] in there)
         got = Counter((x["key"], x["a"]) for x in f(l, r, "key", "left_anti").collect())
         assert got == Counter(x for x in left if x[0] is None or x[0] not in there)
+    here = {k for k, _ in left}
+    for f in (adaptive_join, index_broadcast_join):
+        got = Counter((x["key"], x["b"]) for x in f(l, r, "key", "right_semi").select("key", "b").collect())
+        assert got == Counter(x for x in right if x[0] is not None and x[0] in here)
+        got = Counter((x["key"], x["b"]) for x in f(l, r, "key", "right_anti").select("key", "b").collect())
+        assert got == Counter(x for x in right if x[0] is None or x[0] not in here)
 
 
 def test_empty_sides_and_clashing_names(bags):
