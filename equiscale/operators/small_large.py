@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from equiscale.plans.metrics import measured
 from equiscale.sources.io import cut
 
-from .keys import Sides, check_how
+from .keys import Sides, TooLargeToBroadcast, check_how
 
 #: Spark's own limit of a broadcast relation is 8 GB; beyond this many bytes, by the planner's estimate, the joins below go by shuffle.
 BROADCAST_BYTES = 1 << 30
@@ -27,10 +27,6 @@ def small(df: DataFrame, limit: int = BROADCAST_BYTES, checked: bool = False) ->
     return F.broadcast(df) if checked or estimated_bytes(df) <= limit else df
 
 
-class TooLargeToBroadcast(ValueError):
-    """A method that can only broadcast a side was given one that does not fit."""
-
-
 def must_be_small(df: DataFrame, what: str, limit: float) -> DataFrame:
     """Broadcast hint for a side measured row by row; the method that needs it fails beyond ``limit`` bytes."""
     n, size = measured(df)

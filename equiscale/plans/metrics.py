@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from equiscale.operators.keys import field
+from equiscale.operators.keys import TooLargeToBroadcast, field
 
 
 def time_join(make: Callable[[], DataFrame], repeat: int = 3, timeout_s: float | None = None) -> dict:
@@ -30,6 +30,8 @@ def time_join(make: Callable[[], DataFrame], repeat: int = 3, timeout_s: float |
             timer.start()
         try:
             make().write.format("noop").mode("overwrite").save()
+        except TooLargeToBroadcast:
+            return {"seconds": None, "dnf": True}
         except Exception:
             if timer and time.perf_counter() - start >= timeout_s:
                 return {"seconds": None, "dnf": True}
@@ -37,6 +39,7 @@ def time_join(make: Callable[[], DataFrame], repeat: int = 3, timeout_s: float |
         finally:
             if timer:
                 timer.cancel()
+            sc.setLocalProperty("spark.jobGroup.id", None)
         times.append(time.perf_counter() - start)
     return {"seconds": statistics.median(times), "dnf": False}
 
@@ -100,10 +103,11 @@ def measured(df: DataFrame) -> tuple[int, int]:
 
 
 def stage_metrics(spark, before: set[int] | None = None) -> dict[str, int]:
-    """Shuffle, spill and task figures of the stages that the status store holds, or of those after ``before``."""
-    store = spark.sparkContext._jsc.sc().statusStore()
-    stages = store.stageList(None)
-    total = {"shuffle_write": 0, "shuffle_read": 0, "spill": 0, "tasks": 0}
+    """Shuffle, spill, peak execution memory and task figures of the stages that the status store holds, or of those not in ``before``."""
+    context = spark.sparkContext
+    store, jvm = context._jsc.sc().statusStore(), context._jvm
+    stages = store.stageList(None, False, False, context._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+    total = {"shuffle_write": 0, "shuffle_read": 0, "spill": 0, "tasks": 0, "peak_memory": 0}
     ids = set()
     for i in range(stages.size()):
         s = stages.apply(i)
@@ -113,4 +117,5 @@ def stage_metrics(spark, before: set[int] | None = None) -> dict[str, int]:
             total["shuffle_read"] += s.shuffleReadBytes()
             total["spill"] += s.diskBytesSpilled()
             total["tasks"] += s.numCompleteTasks()
+            total["peak_memory"] = max(total["peak_memory"], s.peakExecutionMemory())
     return total | {"stages": len(ids)}

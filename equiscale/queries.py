@@ -11,10 +11,10 @@ from equiscale.operators import baselines, hotkeys
 from equiscale.operators.adaptive import adaptive_join, piece_sizes
 from equiscale.operators.selfjoin import natural_self_join, self_join
 from equiscale.operators.small_large import chunked_broadcast_join, index_broadcast_join
-from equiscale.operators.staged import level_loads, level_sizes, spread_input, staged_join, staged_join_basic
-from equiscale.plans import cost, metrics
+from equiscale.operators.staged import grid_levels, level_loads, level_sizes, spread_input, staged_join, staged_join_basic
+from equiscale.plans import cost, lambda_probe, metrics
 from equiscale.plans.config import JoinConfig
-from equiscale.sources.io import read
+from equiscale.sources.io import cut, read
 from equiscale.sources.workloads import postings, zipf, zipf_sql
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -50,7 +50,8 @@ for _name, _f in {
     "staged_basic_inner_qty_size": lambda a, b: staged_join_basic(a, b, "key"),
     "staged_balanced_inner_qty_size": lambda a, b: staged_join(a, b, "key", cfg=LISTS),
     "staged_cells_inner_qty_size": lambda a, b: staged_join(a, b, "key"),
-    "staged_cells_two_levels_qty_size": lambda a, b: staged_join(a, b, "key", cfg=JoinConfig(max_levels=2)),
+    "staged_cells_two_levels_qty_size": lambda a, b: staged_join(a, b, "key", cfg=JoinConfig(max_levels=2, cell_share=0)),
+    "staged_cells_counted_levels_qty_size": lambda a, b: staged_join(a, b, "key", cfg=JoinConfig(levels="counted", max_levels=2)),
     "staged_power_chunks_qty_size": lambda a, b: staged_join_basic(a, b, "key", cfg=JoinConfig(chunk_rule="power")),
     "staged_unequal_exponent_qty_size": lambda a, b: staged_join(a, b, "key", cfg=JoinConfig(chunk_exponent="general")),
 }.items():
@@ -59,24 +60,31 @@ for _name, _f in {
 
 # W13: hot on the left only
 def events_orders(spark, d):
-    """A seventh of the keys is taken from the right side, so that both sides have rows without a match."""
     e = read(spark, d, "events", ["user_id", "event_id"]).select(F.col("user_id").alias("key"), "event_id")
-    return e, read(spark, d, "orders", ["o_custkey", "o_orderkey"]).filter("o_custkey % 7 <> 0").select(F.col("o_custkey").alias("key"), "o_orderkey")
+    return e, read(spark, d, "orders", ["o_custkey", "o_orderkey"]).select(F.col("o_custkey").alias("key"), "o_orderkey")
 
 
-EO_LEFT, EO_RIGHT = "(SELECT user_id AS key, event_id FROM events)", "(SELECT o_custkey AS key, o_orderkey FROM orders WHERE o_custkey % 7 <> 0)"
+EO_LEFT, EO_RIGHT = "(SELECT user_id AS key, event_id FROM events)", "(SELECT o_custkey AS key, o_orderkey FROM orders)"
 
 
 def eo_sql(kind: str) -> str:
     return f"SELECT coalesce(l.key, r.key) AS key, event_id, o_orderkey FROM {EO_LEFT} l {KIND[kind]} {EO_RIGHT} r ON l.key = r.key"
 
 
+def oe_sql(kind: str) -> str:
+    return f"SELECT coalesce(l.key, r.key) AS key, o_orderkey, event_id FROM {EO_RIGHT} l {KIND[kind]} {EO_LEFT} r ON l.key = r.key"
+
+
 MIXED = JoinConfig(hot_threshold=12)
 for _how in KIND:
     for _v, _f in {"basic": staged_join_basic, "balanced": staged_join}.items():
         add(f"staged_{_v}_{_how}_events_orders", lambda s, d, f=_f, h=_how: f(*events_orders(s, d), "key", h, JoinConfig(hot_threshold=12, index="lists")), eo_sql(_how))
     add(f"adaptive_{_how}_events_orders", lambda s, d, h=_how: adaptive_join(*events_orders(s, d), "key", h, MIXED), eo_sql(_how))
     add(f"heavier_side_{_how}_events_orders", lambda s, d, h=_how: baselines.heavier_side_join(*events_orders(s, d), "key", h, MIXED), eo_sql(_how))
+    # the sides exchanged: most left keys have no match
+    add(f"staged_{_how}_orders_events", lambda s, d, h=_how: staged_join(*events_orders(s, d)[::-1], "key", h, MIXED), oe_sql(_how))
+    add(f"adaptive_{_how}_orders_events", lambda s, d, h=_how: adaptive_join(*events_orders(s, d)[::-1], "key", h, MIXED), oe_sql(_how))
+    add(f"heavier_side_{_how}_orders_events", lambda s, d, h=_how: baselines.heavier_side_join(*events_orders(s, d)[::-1], "key", h, MIXED), oe_sql(_how))
     add(f"adaptive_untrusted_{_how}_events_orders", lambda s, d, h=_how: adaptive_join(*events_orders(s, d), "key", h, MIXED.but(kappa_trusted=False)), eo_sql(_how))
 for _name in ("shuffle_hash_join", "sort_merge_join", "native_join", "grid_join", "planned_grid_join", "key_range_join"):
     add(_name, lambda s, d, f=baselines.BASELINES[_name]: f(*events_orders(s, d), "key"), eo_sql("inner"))
@@ -86,27 +94,78 @@ add("shuffle_hash_full", lambda s, d: baselines.shuffle_hash_join(*events_orders
 add("sort_merge_full", lambda s, d: baselines.sort_merge_join(*events_orders(s, d), "key", "full"), eo_sql("full"))
 for _how, _not in (("left_semi", ""), ("left_anti", "NOT ")):
     add(f"adaptive_{_how}_events_orders", lambda s, d, h=_how: adaptive_join(*events_orders(s, d), "key", h, MIXED), f"SELECT key, event_id FROM {EO_LEFT} l WHERE {_not}EXISTS (SELECT 1 FROM {EO_RIGHT} r WHERE r.key = l.key)")
+for _how, _not in (("right_semi", ""), ("right_anti", "NOT ")):
+    add(f"adaptive_{_how}_events_orders", lambda s, d, h=_how: adaptive_join(*events_orders(s, d), "key", h, MIXED), f"SELECT key, o_orderkey FROM {EO_RIGHT} r WHERE {_not}EXISTS (SELECT 1 FROM {EO_LEFT} l WHERE r.key = l.key)")
 add("adaptive_residual_events_orders", lambda s, d: adaptive_join(*events_orders(s, d), "key", "inner", MIXED, residual=lambda p: p["event_id"] < p["o_orderkey"]), eo_sql("inner") + " WHERE event_id < o_orderkey")
 
 
-# W1: power laws of several exponents
-def zipf_sides(spark, d, alpha, pay=100):
-    return zipf(spark, d, "left", alpha, pay_bytes=pay), zipf(spark, d, "right", alpha, pay_bytes=pay).withColumnsRenamed({"id": "rid", "pay": "rpay"})
+# W1: power laws of all exponents of the published sweep, with the part of nearly unique keys
+def zipf_sides(spark, d, alpha, pay=100, **kw):
+    return zipf(spark, d, "left", alpha, pay_bytes=pay, **kw), zipf(spark, d, "right", alpha, pay_bytes=pay, **kw).withColumnsRenamed({"id": "rid", "pay": "rpay"})
+
+
+SWEEP = {
+    "staged": staged_join,
+    "adaptive": adaptive_join,
+    "staged_basic": staged_join_basic,
+    "adaptive_basic": lambda a, b, on: adaptive_join(a, b, on, hh="basic"),
+    **{k: baselines.BASELINES[k] for k in ("shuffle_hash_join", "sort_merge_join", "broadcast_join", "native_join", "grid_join", "planned_grid_join", "heavier_side_join", "key_range_join")},
+}
+ALPHAS = [round(0.05 * k, 2) for k in range(21)]
+OFTEN = (0.0, 0.25, 0.5, 0.65, 0.75, 1.0)  # at these every method runs, at the others the staged and the adaptive join
+
+
+def sweep(method: str, alpha: float, pay: int = 100):
+    """Pairs and checksums of each key: one method at one exponent."""
+    return lambda s, d: counted(SWEEP[method](*zipf_sides(s, d, alpha, pay, uniform_part=True), "key"), "key", "id", "rid")
+
+
+def sweep_sql(alpha: float) -> str:
+    return counted_sql(zipf_sql("left", alpha, uniform_part=True), zipf_sql("right", alpha, uniform_part=True))
+
+
+for _a in ALPHAS:
+    _tag = f"{round(100 * _a):03d}"
+    for _name in SWEEP if _a in OFTEN else ("staged", "adaptive"):
+        add(f"{_name}_zipf_{_tag}", sweep(_name, _a), sweep_sql(_a))
+    if _a in OFTEN:
+        add(f"join_size_zipf_{_tag}", lambda s, d, a=_a: metrics.result_size(*zipf_sides(s, d, a, uniform_part=True), "key"), f"SELECT count(*)::BIGINT AS pairs FROM {zipf_sql('left', _a, uniform_part=True)} l JOIN {zipf_sql('right', _a, uniform_part=True)} r ON l.key = r.key")
+for _name in ("staged", "adaptive"):
+    add(f"{_name}_wide_zipf_065", sweep(_name, 0.65, 1000), sweep_sql(0.65))
+    add(f"{_name}_widest_zipf_065", sweep(_name, 0.65, 10_000), sweep_sql(0.65))
+
+
+def _native_splitting(s, d):
+    own = baselines.splitting_session(s)
+    return counted(baselines.native_join(*zipf_sides(own, d, 1.0, uniform_part=True), "key"), "key", "id", "rid")
 
 
-for _a in (0.0, 0.25, 0.5, 0.75, 1.0):
-    _tag = f"{int(100 * _a):03d}"
-    _sql = counted_sql(zipf_sql("left", _a), zipf_sql("right", _a))
-    add(f"staged_zipf_{_tag}", lambda s, d, a=_a: counted(staged_join(*zipf_sides(s, d, a), "key"), "key", "id", "rid"), _sql)
-    add(f"adaptive_zipf_{_tag}", lambda s, d, a=_a: counted(adaptive_join(*zipf_sides(s, d, a), "key"), "key", "id", "rid"), _sql)
-    add(f"join_size_zipf_{_tag}", lambda s, d, a=_a: metrics.result_size(*zipf_sides(s, d, a), "key"), f"SELECT count(*)::BIGINT AS pairs FROM {zipf_sql('left', _a)} l JOIN {zipf_sql('right', _a)} r ON l.key = r.key")
+add("native_join_splitting_zipf_100", _native_splitting, sweep_sql(1.0))
+# a smaller memory budget keeps fewer hot keys and broadcasts less
+add("adaptive_half_memory_zipf_065", lambda s, d: counted(adaptive_join(*zipf_sides(s, d, 0.65, uniform_part=True), "key", cfg=JoinConfig(executor_memory=64e3, broadcast_limit=32e3)), "key", "id", "rid"), sweep_sql(0.65))
+# W4, W5
+for _n in (2, 4, 8):
+    add(f"strong_scaling_{_n}", lambda s, d, n=_n: counted(staged_join(*zipf_sides(s, d, 0.65, uniform_part=True), "key", cfg=JoinConfig(n_executors=n, partitions_per_executor=4)), "key", "id", "rid"), sweep_sql(0.65))
+for _p in (25, 50, 75):
+    add(f"weak_scaling_{_p}", lambda s, d, p=_p: counted(adaptive_join(*zipf_sides(s, d, 0.65, uniform_part=True, share=p / 100), "key"), "key", "id", "rid"), counted_sql(*(zipf_sql(x, 0.65, uniform_part=True, share=_p / 100) for x in ("left", "right"))))
+
+
+# levels of the cell form: three and more run where cells are cut to the threshold
+ALL_LEVELS = JoinConfig(cell_share=0)
+add("staged_all_levels_zipf_100", lambda s, d: counted(staged_join(*zipf_sides(s, d, 1.0), "key", cfg=ALL_LEVELS.but(hot_threshold=6)), "key", "id", "rid"), counted_sql(zipf_sql("left", 1.0), zipf_sql("right", 1.0)))
+add("self_join_all_levels_zipf_100", lambda s, d: counted(_tri(zipf(s, d, "left", 1.0).select("key", "id"), cfg=ALL_LEVELS.but(hot_threshold=6)), "key", "id_1", "id_2"), f"SELECT key AS k, count(*)::BIGINT AS pairs, sum(id_1)::BIGINT AS sum_left, sum(id_2)::BIGINT AS sum_right FROM (SELECT l.key AS key, l.id AS id_1, r.id AS id_2 FROM {zipf_sql('left', 1.0)} l JOIN {zipf_sql('left', 1.0)} r ON l.key = r.key AND l.id <= r.id) t GROUP BY key")
+add("grid_levels_zipf_100", lambda s, d: grid_levels(*zipf_sides(s, d, 1.0), "key", ALL_LEVELS.but(hot_threshold=6)), f"""
+WITH RECURSIVE a AS (SELECT key, count(*) f FROM {zipf_sql("left", 1.0)} z GROUP BY key HAVING count(*) >= 6), b AS (SELECT key, count(*) f FROM {zipf_sql("right", 1.0)} z GROUP BY key HAVING count(*) >= 6),
+t AS (SELECT a.key, a.f AS fl, b.f AS fr, a.f::DOUBLE AS x, b.f::DOUBLE AS y, 1::BIGINT AS dl, 1::BIGINT AS dr, 0 AS n FROM a JOIN b ON a.key = b.key
+UNION ALL SELECT key, fl, fr, ceil(x / ceil(round(cbrt(x), 9))), ceil(y / ceil(round(cbrt(y), 9))), (dl * ceil(round(cbrt(x), 9)))::BIGINT, (dr * ceil(round(cbrt(y), 9)))::BIGINT, n + 1 FROM t WHERE x * y > 36)
+SELECT key, fl::BIGINT AS fl, fr::BIGINT AS fr, dl AS grid_rows, dr AS grid_columns, n AS levels, (ceil(fl / dl) * ceil(fr / dr))::BIGINT AS cell_pairs FROM t QUALIFY row_number() OVER (PARTITION BY key ORDER BY n DESC) = 1""")
 _ONE = (zipf_sql("left", 1.0), zipf_sql("right", 1.0))
 for _how in ("left", "right", "full"):
     add(f"adaptive_{_how}_zipf_100", lambda s, d, h=_how: counted(adaptive_join(*zipf_sides(s, d, 1.0), "key", h), "key", "id", "rid"), counted_sql(*_ONE, KIND[_how]))
 add("adaptive_semi_zipf_100", lambda s, d: adaptive_join(*zipf_sides(s, d, 1.0), "key", "left_semi").select("key", "id"), f"SELECT key, id FROM {_ONE[0]} l WHERE EXISTS (SELECT 1 FROM {_ONE[1]} r WHERE r.key = l.key)")
 add("adaptive_anti_zipf_100", lambda s, d: adaptive_join(*zipf_sides(s, d, 1.0), "key", "left_anti").select("key", "id"), f"SELECT key, id FROM {_ONE[0]} l WHERE NOT EXISTS (SELECT 1 FROM {_ONE[1]} r WHERE r.key = l.key)")
 add("adaptive_basic_inner_zipf_100", lambda s, d: counted(adaptive_join(*zipf_sides(s, d, 1.0), "key", hh="basic"), "key", "id", "rid"), counted_sql(*_ONE))
-add("adaptive_materialized_zipf_100", lambda s, d: counted(adaptive_join(*zipf_sides(s, d, 1.0), "key", cfg=JoinConfig(split="materialize")), "key", "id", "rid"), counted_sql(*_ONE))
+add("adaptive_materialized_zipf_100", lambda s, d: counted(adaptive_join(*zipf_sides(s, d, 1.0), "key", cfg=JoinConfig(split="all")), "key", "id", "rid"), counted_sql(*_ONE))
 add("adaptive_practice_zipf_100", lambda s, d: counted(adaptive_join(*zipf_sides(s, d, 1.0), "key", cfg=JoinConfig.published_practice()), "key", "id", "rid"), counted_sql(*_ONE))
 add("adaptive_sketch_zipf_100", lambda s, d: counted(adaptive_join(*zipf_sides(s, d, 1.0), "key", cfg=JoinConfig(hot_method="sketch")), "key", "id", "rid"), counted_sql(*_ONE))
 add("staged_dynamic_zipf_050", lambda s, d: counted(staged_join_basic(*zipf_sides(s, d, 0.5), "key", cfg=JoinConfig(loop="dynamic")), "key", "id", "rid"), counted_sql(zipf_sql("left", 0.5), zipf_sql("right", 0.5)))
@@ -133,6 +192,7 @@ _CUST = "(SELECT c_nationkey AS key, c_custkey AS id FROM customer)"
 _cust = lambda s, d: read(s, d, "customer", ["c_nationkey", "c_custkey"]).toDF("key", "id")
 add("self_join_nation", lambda s, d: _tri(_cust(s, d)), tri_sql(_CUST))
 add("self_join_nation_basic", lambda s, d: _tri(_cust(s, d), variant="basic"), tri_sql(_CUST))
+add("self_join_nation_levels", lambda s, d: _tri(_cust(s, d), variant="basic", cfg=JoinConfig(hot_threshold=3)), tri_sql(_CUST))
 add("self_join_nation_strict", lambda s, d: _tri(_cust(s, d), cfg=JoinConfig(include_identity=False)), tri_sql(_CUST).replace("<=", "<"))
 add("self_join_zipf_050", lambda s, d: counted(_tri(zipf(s, d, "left", 0.5).select("key", "id")), "key", "id_1", "id_2"), f"SELECT key AS k, count(*)::BIGINT AS pairs, sum(id_1)::BIGINT AS sum_left, sum(id_2)::BIGINT AS sum_right FROM ({tri_sql(zipf_sql('left', 0.5))}) t GROUP BY key")
 _LINES = "(SELECT {k} AS key, l_orderkey * 8 + l_linenumber AS id, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice) AS n FROM lineitem)"
@@ -151,7 +211,7 @@ def _size_query(key):
 add("self_join_partkey_agg", _size_query("l_partkey"), "SELECT l_partkey AS k, (count(*) * (count(*) + 1) // 2)::BIGINT AS pairs FROM lineitem GROUP BY 1")
 add("self_join_suppkey_agg", _size_query("l_suppkey"), "SELECT l_suppkey AS k, (count(*) * (count(*) + 1) // 2)::BIGINT AS pairs FROM lineitem GROUP BY 1")
 _POST = "(SELECT DISTINCT doc_id, source, unnest(string_split(text, ' ')) AS token FROM documents)"
-add("self_join_tokens_agg", lambda s, d: _tri(postings(s, d).toDF("id", "key")).groupBy(F.col("key").alias("token")).agg(F.count("*").alias("pairs"), F.sum("id_1").alias("s1"), F.sum("id_2").alias("s2")).filter("pairs > 100"), f"WITH p AS {_POST} SELECT l.token AS token, count(*)::BIGINT AS pairs, sum(l.doc_id)::BIGINT AS s1, sum(r.doc_id)::BIGINT AS s2 FROM p l JOIN p r ON l.token = r.token AND l.doc_id <= r.doc_id GROUP BY 1 HAVING count(*) > 100")
+add("self_join_tokens_agg", lambda s, d: _tri(postings(s, d).toDF("id", "key")).groupBy(F.col("key").alias("token")).agg(F.count("*").alias("pairs"), F.sum("id_1").alias("s1"), F.sum("id_2").alias("s2")), f"WITH p AS {_POST} SELECT l.token AS token, count(*)::BIGINT AS pairs, sum(l.doc_id)::BIGINT AS s1, sum(r.doc_id)::BIGINT AS s2 FROM p l JOIN p r ON l.token = r.token AND l.doc_id <= r.doc_id GROUP BY 1")
 add("postings_join_source", lambda s, d: adaptive_join(postings(s, d), postings(s, d, "src0").withColumnRenamed("doc_id", "other"), "token").groupBy("other").agg(F.count("*").alias("pairs"), F.sum("doc_id").cast("long").alias("s")), f"WITH p AS {_POST} SELECT r.doc_id AS other, count(*)::BIGINT AS pairs, sum(l.doc_id)::BIGINT AS s FROM p l JOIN p r ON l.token = r.token WHERE r.source = 'src0' GROUP BY 1")
 add("self_join_two_columns", lambda s, d: self_join(read(s, d, "part", ["p_partkey", "p_size"]), "p_partkey", "p_size").groupBy("p_partkey").agg(F.count("*").alias("n")), "SELECT l.p_partkey, count(*)::BIGINT AS n FROM part l JOIN part r ON l.p_partkey = r.p_size GROUP BY 1")
 add("self_join_as_equi_join", lambda s, d: counted(staged_join(_cust(s, d), _cust(s, d), "key"), "key", "id", "id_r"), counted_sql(_CUST, _CUST))
@@ -168,6 +228,7 @@ for _how, _kind in KIND.items():
 add("index_broadcast_grouped_full", lambda s, d: index_broadcast_join(*events_customer(s, d), "key", "full", mode="index"), ORACLE_SQL["index_broadcast_full_events_customer"])
 for _how, _not in (("left_semi", ""), ("left_anti", "NOT ")):
     add(f"index_broadcast_{_how}_events_customer", lambda s, d, h=_how: index_broadcast_join(*events_customer(s, d), "key", h), f"SELECT key, event_id FROM {EC[0]} l WHERE {_not}EXISTS (SELECT 1 FROM {EC[1]} r WHERE r.key = l.key)")
+add("index_broadcast_right_semi_events_customer", lambda s, d: index_broadcast_join(*events_customer(s, d), "key", "right_semi"), f"SELECT key, c_nationkey FROM {EC[1]} r WHERE EXISTS (SELECT 1 FROM {EC[0]} l WHERE r.key = l.key)")
 add("index_broadcast_right_anti_events_customer", lambda s, d: index_broadcast_join(*events_customer(s, d), "key", "right_anti"), f"SELECT key, NULL::BIGINT AS event_id, c_nationkey FROM {EC[1]} r WHERE NOT EXISTS (SELECT 1 FROM {EC[0]} l WHERE r.key = l.key)")
 for _opt in ("smaller_keyset", "single_scan", "partition_set"):
     add(f"small_large_opt_{_opt}_full", lambda s, d, o=_opt: index_broadcast_join(*events_customer(s, d), "key", "full", **{f"opt_{o}": True}), ORACLE_SQL["index_broadcast_full_events_customer"])
@@ -219,7 +280,21 @@ for _how in ("inner", "full"):
 add("adaptive_mixed_types", lambda s, d: counted(adaptive_join(read(s, d, "customer", ["c_nationkey", "c_custkey"]).toDF("key", "id"), read(s, d, "supplier", ["s_nationkey", "s_suppkey"]).select(F.col("s_nationkey").cast("decimal(12,2)").alias("key"), F.col("s_suppkey").alias("rid")), "key").withColumn("key", F.col("key").cast("int")), "key", "id", "rid"), counted_sql(_CUST, "(SELECT s_nationkey AS key, s_suppkey AS id FROM supplier)"))
 
 
+# keys of different types are compared in Spark's own common type
+def _typed(left: str, right: str):
+    return lambda s, d: adaptive_join(read(s, d, "orders", ["o_orderkey", "o_orderdate"]).selectExpr(f"{left} AS key", "o_orderkey AS id"), read(s, d, "orders", ["o_orderkey", "o_orderdate"]).selectExpr(f"{right} AS key", "o_orderkey AS rid"), "key").select("id", "rid")
+
+
+_SAME_DAY = "SELECT l.o_orderkey AS id, r.o_orderkey AS rid FROM orders l JOIN orders r ON l.o_orderdate::DATE = r.o_orderdate::DATE"
+add("adaptive_decimal_scales", _typed("cast(o_orderkey as decimal(30,14)) + cast(if(o_orderkey % 2 = 0, 0.00000000000001, 0) as decimal(30,14))", "cast(o_orderkey as decimal(30,12))"), "SELECT o_orderkey AS id, o_orderkey AS rid FROM orders WHERE o_orderkey % 2 <> 0")
+add("adaptive_date_timestamp", lambda s, d: _typed("to_date(o_orderdate)", "cast(to_date(o_orderdate) as timestamp)")(s, d).groupBy("id").agg(F.count("*").alias("n")), f"SELECT id, count(*)::BIGINT AS n FROM ({_SAME_DAY}) GROUP BY 1")
+add("adaptive_string_int", _typed("lpad(cast(o_orderkey as string), 12, '0')", "o_orderkey"), "SELECT o_orderkey AS id, o_orderkey AS rid FROM orders")
+add("adaptive_odd_names", lambda s, d: adaptive_join(read(s, d, "events", ["user_id", "event_id"]).toDF("f", "a.b"), read(s, d, "customer", ["c_custkey", "c_nationkey", "c_name"]).toDF("f", "a.b", "h"), "f", "inner", MIXED).toDF("f", "x", "y", "h"), "SELECT user_id AS f, event_id AS x, c_nationkey AS y, c_name AS h FROM events JOIN customer ON user_id = c_custkey")
+
+
 # hot keys
+for _m in ("sketch", "space_saving"):
+    add(f"hot_keys_unrefined_{_m}_suppkey", lambda s, d, m=_m: hotkeys.hot_keys(read(s, d, "lineitem", ["l_suppkey"]).toDF("h"), "h", 20, method=m, refine=False, capacity=8192).toDF("l_suppkey", "f"), "SELECT l_suppkey, count(*)::BIGINT AS f FROM lineitem GROUP BY 1 HAVING count(*) >= 24.4 ORDER BY f DESC, l_suppkey LIMIT 20")
 add("hot_keys_exact_suppkey", lambda s, d: hotkeys.hot_keys(read(s, d, "lineitem", ["l_suppkey"]), "l_suppkey", 20), "SELECT l_suppkey, count(*)::BIGINT AS f FROM lineitem GROUP BY 1 HAVING count(*) >= 24.4 ORDER BY f DESC, l_suppkey LIMIT 20")
 add("hot_keys_exact_zipf", lambda s, d: hotkeys.hot_keys(zipf(s, d, "left", 1.0), "key", 1000), f"SELECT key, count(*)::BIGINT AS f FROM {_ONE[0]} z GROUP BY 1 HAVING count(*) >= 24.4 ORDER BY f DESC, key LIMIT 1000")
 add("hot_keys_prepartitioned", lambda s, d: hotkeys.hot_keys(read(s, d, "lineitem", ["l_suppkey"]).repartition(8, "l_suppkey"), "l_suppkey", 20, method="prepartitioned"), ORACLE_SQL["hot_keys_exact_suppkey"])
@@ -240,7 +315,8 @@ def _recall(method):
 for _m in ("sketch", "space_saving"):
     add(f"hot_keys_{_m}_recall", _recall(_m), f"SELECT least(50, count(*))::BIGINT AS hot, least(50, count(*))::BIGINT AS found, 0::BIGINT AS worst_error FROM (SELECT token FROM {_POST} p GROUP BY 1 HAVING count(*) >= 24.4) t")
 add("frequency_top10_tokens", lambda s, d: hotkeys.hot_keys(postings(s, d).select("token"), "token", 10, 1), f"SELECT token, count(*)::BIGINT AS f FROM {_POST} p GROUP BY 1 ORDER BY f DESC, token LIMIT 10")
-add("hot_keys_histogram", lambda s, d: hotkeys.histogram_keys(zipf(s, d, "left", 1.0), "key", 0.02))
+add("hot_keys_histogram", lambda s, d: hotkeys.histogram_keys(zipf(s, d, "left", 1.0), "key", 0.02, 1_000_000), f"WITH o AS (SELECT key, row_number() OVER (ORDER BY key) AS r, count(*) OVER () AS n FROM {_ONE[0]} z) SELECT key, count(*)::BIGINT AS steps FROM range(1, 50) t(i) JOIN o ON r = greatest(1, ceil(i / 50.0::DOUBLE * n)) GROUP BY 1 HAVING count(*) > 1")
+add("hot_rows_spread", lambda s, d: _spread_even(s, d), "SELECT user_id, true AS even FROM events GROUP BY 1 HAVING count(*) >= 24.4 ORDER BY count(*) DESC, user_id LIMIT 50")
 
 
 def _migrated(s, d):
@@ -249,6 +325,14 @@ def _migrated(s, d):
     return spread_input(df, "user_id", hot)
 
 
+def _spread_even(s, d):
+    """Whether the rows of each of the hottest keys, clustered before, lie spread after migration: their variance over partitions near its mean."""
+    df = read(s, d, "events", ["user_id", "event_id"]).repartitionByRange(8, "user_id")
+    hot = hotkeys.hot_keys(df, "user_id", 50)
+    after = hotkeys.partition_variance(cut(spread_input(df, "user_id", hotkeys.hot_keys(df, "user_id")).withColumn("pid", F.spark_partition_id())).repartitionById(8, F.col("pid")), "user_id")
+    return after.join(hot.select("user_id"), "user_id").select("user_id", (F.col("variance") < 5 * F.col("f") / 8).alias("even"))
+
+
 add("hot_rows_migrated", _migrated, "SELECT user_id, event_id FROM events")
 add("pairs_per_class", lambda s, d: _classes(s, d), f"""
 WITH a AS (SELECT key, count(*) f FROM {_ONE[0]} z GROUP BY key), b AS (SELECT key, count(*) f FROM {_ONE[1]} z GROUP BY key)
@@ -285,6 +369,10 @@ add("example_balance", lambda s, d: level_loads(_bag(s, LEVELS[0], "a"), _bag(s,
 
 
 # cost models
+# fixed values: published measurements of lambda by (bytes of a row, executors)
+PUBLISHED_LAMBDA = {(100, 100): 7.34, (1000, 100): 7.28, (100, 1000): 6.98, (1000, 1000): 8.05}
+
+
 def _table(rows, schema):
     return lambda s, d: s.createDataFrame(rows, schema)
 
@@ -292,6 +380,9 @@ def _table(rows, schema):
 add("cost_chunk_example", lambda s, d: s.createDataFrame([(l, x["sublists"], x["sublist_length"], x["followers"]) for l in (1000, 10000, 100000) for x in [cost.chunk_example(l)]], "l int, sublists int, sublist_length int, followers int"), "SELECT * FROM (VALUES (1000, 10, 100, 100), (10000, 22, 455, 484), (100000, 47, 2128, 2209)) v(l, sublists, sublist_length, followers)")
 add("cost_memory_examples", lambda s, d: s.createDataFrame([(l, n, cost.mem_grid_reducer(l, l, 500, 500, n), cost.mem_basic_splitter(l, l, 500, 500), cost.mem_follower(l, l, 500, 500), cost.mem_balanced_splitter(l, l, 500, 500)) for l, n in ((10000, 100), (100000, 1000))], "l int, n int, grid_reducer double, basic_splitter double, follower double, balanced_splitter double"), "SELECT l, n, 2 * l * 500 / sqrt(n) + l::DOUBLE * l * 1000 / n AS grid_reducer, 1000.0::DOUBLE * l + pow(l::DOUBLE * l, 1 / 3.0::DOUBLE) * 1000 * pow(l, 2 / 3.0::DOUBLE) AS basic_splitter, 1000 * pow(l, 2 / 3.0::DOUBLE) + pow(l::DOUBLE * l, 2 / 9.0::DOUBLE) * 1000 * pow(l, 4 / 9.0::DOUBLE) AS follower, 500 * (1 + pow(l, 1 / 3.0::DOUBLE)) AS balanced_splitter FROM (VALUES (10000, 100), (100000, 1000)) v(l, n)")
 add("cost_kappa_max", lambda s, d: s.createDataFrame([(m, cost.max_hot_keys(1.01e9, 8e9, m, 8, 7.4125)) for m in (100, 1000)], "m int, k_max long"), "SELECT m, floor(least(1.01e9, 8e9 / m) / pow(8.4125::DOUBLE, 1.5))::BIGINT AS k_max FROM (VALUES (100), (1000)) v(m)")
+add("cost_threshold_lambda", lambda s, d: s.createDataFrame([(b, n, x, cost.hot_threshold(x), cost.hot_threshold_exact(x, n)) for (b, n), x in PUBLISHED_LAMBDA.items()], "row_bytes int, executors int, lambda double, threshold double, exact double"), "SELECT row_bytes, executors, x::DOUBLE AS lambda, pow(1 + x::DOUBLE, 1.5::DOUBLE) AS threshold, pow((1 + x::DOUBLE) * executors / (executors - 1), 1.5::DOUBLE) AS exact FROM (VALUES (100, 100, 7.34), (1000, 100, 7.28), (100, 1000, 6.98), (1000, 1000, 8.05)) v(row_bytes, executors, x)")
+add("lambda_measured", lambda s, d: s.createDataFrame([(g["row_bytes"], g["shuffle_s"], g["write_s"], g["lambda"]) for g in lambda_probe.grid(s, 20_000, repeats=1)], "row_bytes int, shuffle_s double, write_s double, lambda double"))
+add("cost_hot_keys", lambda s, d: s.createDataFrame([(n, cost.delta_hot_keys(1e9, 100, n, 1000, 8, 7.4125), cost.space_heavy_hitters(0.001), cost.space_quantiles(0.001, 1e9, n), cost.mem_grid_mapper(100, 200, n)) for n in (100, 1000)], "n int, find double, hitters double, quantiles double, mapper double"), "SELECT n, 1e9::DOUBLE * 100 / n + 1000 * 8 * 7.4125::DOUBLE * ln(n) AS find, 1 / 0.001::DOUBLE AS hitters, ln(0.001::DOUBLE * 1e9 / n) / 0.001::DOUBLE AS quantiles, 200 * (1 + sqrt(n)) AS mapper FROM (VALUES (100), (1000)) v(n)")
 add("cost_level_bound", lambda s, d: s.createDataFrame([(l, cost.level_bound(l, 7.4125)) for l in (1000, 10000, 21235, 100000)], "l int, bound double"), "SELECT l, ln(ln(l) / ln(8.4125::DOUBLE)) / ln(1.5::DOUBLE) - 1 AS bound FROM (VALUES (1000), (10000), (21235), (100000)) v(l)")
 add("cost_communication", lambda s, d: s.createDataFrame([(n, cost.comm_ids(n, 1e5, 8, 1e8, 100), cost.comm_rows(n, 1e5, 100), cost.comm_keys(n, 1e5, 8)) for n in (100, 1000)], "n int, ids double, whole double, keys double"), "SELECT n, (n + 1) * 1e5 * 8 + 1e8 * 100 AS ids, n * 1e5 * 100 AS whole, 2.0 * n * 1e5 * 8 AS keys FROM (VALUES (100), (1000)) v(n)")
 add("cost_broadcast_choice", lambda s, d: s.createDataFrame([(n, cost.prefer_broadcast(1e8, 100, k, 100, 7.4125, n)) for n, k in ((100, 10**6), (1000, 10**8))], "n int, use_broadcast boolean"), "SELECT n, 1e8 * 100 * 8.4125 >= k * 100 * (1 + 7.4125 * ln(n) / ln(8.4125)) AS use_broadcast FROM (VALUES (100, 1e6), (1000, 1e8)) v(n, k)")

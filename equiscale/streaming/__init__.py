@@ -34,7 +34,9 @@ def per_batch(static: DataFrame, on, sink: Callable[[DataFrame, int], None], how
     """A foreachBatch function that joins each micro-batch with ``static``, adaptively or by broadcast of ``static``."""
 
     def run(batch: DataFrame, batch_id: int) -> None:
-        join = adaptive_join if not large else index_broadcast_join
-        sink(join(batch, static, on, how, right_on=right_on) if large else adaptive_join(batch, static, on, how, cfg, right_on=right_on), batch_id)
+        if large:
+            sink(index_broadcast_join(batch, static, on, how, right_on=right_on), batch_id)
+        else:
+            sink(adaptive_join(batch, static, on, how, cfg, right_on=right_on), batch_id)
 
     return run

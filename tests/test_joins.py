@@ -10,8 +10,10 @@ from equiscale import JoinConfig, adaptive_join, hot_keys, index_broadcast_join,
 from equiscale.functions.chunking import chunk, sublist_count
 from equiscale.operators import baselines
 from equiscale.operators.hotkeys import SpaceSaving, hot_summary
-from equiscale.operators.staged import unravel
+from equiscale.operators.keys import TooLargeToBroadcast
+from equiscale.operators.staged import planned_cells, unravel
 from equiscale.plans import cost
+from equiscale.plans.config import size_of
 
 HOWS = ("inner", "left", "right", "full")
 
@@ -115,11 +117,152 @@ def test_self_join(spark, identity):
 
 
 def test_each_hot_pair_meets_once(spark):
-    cfg = JoinConfig()
-    l = spark.range(60).select(F.lit(1).alias("__k0"), F.col("id").alias("__l_a"), F.lit(60).alias("fl"), F.lit(30).alias("fr"))
-    r = spark.range(30).select(F.lit(1).alias("__k0"), F.col("id").alias("__r_b"), F.lit(60).alias("fl"), F.lit(30).alias("fr"))
+    cfg = JoinConfig(cell_share=0, hot_threshold=2)
+    kappa = spark.createDataFrame([(1, 60, 30)], "__k0 int, fl long, fr long")
+    plan = planned_cells(kappa, cfg, 1800.0, 4)
+    lanes = plan.first()
+    assert lanes["__lv"] >= 3 and -(-60 // lanes["__dl"]) * -(-30 // lanes["__dr"]) <= 4
+    l = spark.range(60).select(F.lit(1).alias("__k0"), F.col("id").alias("__l_0"), F.col("id").alias("__p")).join(plan, "__k0")
+    r = spark.range(30).select(F.lit(1).alias("__k0"), F.col("id").alias("__r_0"), F.col("id").alias("__p")).join(plan, "__k0")
     met = unravel(l, "left", cfg).join(unravel(r, "right", cfg), ["__k0", "__i", "__j"])
-    assert met.count() == 1800 and met.select("__l_a", "__r_b").distinct().count() == 1800
+    assert met.count() == 1800 and met.select("__l_0", "__r_0").distinct().count() == 1800
+
+
+def test_cells_stop_at_a_part_of_a_tasks_share(spark):
+    kappa = spark.createDataFrame([(1, 10**6, 10**6), (2, 100, 100)], "__k0 int, fl long, fr long")
+    rows = {r["__k0"]: r for r in planned_cells(kappa, JoinConfig(), 1e12 + 1e4, 100).collect()}
+    assert rows[1]["__lv"] == 1 and rows[2]["__lv"] == 0
+    rows = {r["__k0"]: r for r in planned_cells(kappa, JoinConfig(cell_share=0, max_copies=10**6), 1e12, 100).collect()}
+    assert rows[1]["__lv"] > 3 and (10**6 / rows[1]["__dl"]) ** 2 <= JoinConfig().theta ** 2
+    rows = planned_cells(kappa, JoinConfig(cell_share=0, max_copies=50), 1e12, 100).collect()
+    assert max(r["__dl"] for r in rows) <= 50
+
+
+def test_key_types_are_spark_s(spark):
+    import datetime
+
+    def joined(a, ta, b, tb):
+        l, r = (spark.createDataFrame([(v, i) for i, v in enumerate(x)], f"key {t}, {n} int") for x, t, n in ((a, ta, "a"), (b, tb, "b")))
+        plain = l.join(r, l["key"] == r["key"]).select("a", "b")
+        for got in (adaptive_join(l, r, "key", cfg=JoinConfig(hot_threshold=1)), staged_join(l, r, "key", cfg=JoinConfig(hot_threshold=1)), staged_join_basic(l, r, "key")):
+            assert sorted(map(tuple, got.select("a", "b").collect())) == sorted(map(tuple, plain.collect()))
+        return plain.count()
+
+    from decimal import Decimal as D
+
+    assert joined([D("1.00000000000001"), D("2")], "decimal(30,14)", [D("1"), D("2")], "decimal(30,12)") == 1
+    assert joined([datetime.date(2020, 1, 1)], "date", [datetime.datetime(2020, 1, 1), datetime.datetime(2020, 1, 1, 5)], "timestamp") == 1
+    assert joined(["01", "2"], "string", [1, 2], "int") == 2
+    assert joined([-0.0, 1.5], "double", [0, 1], "int") == 1
+    assert joined([0.0, float("nan")], "double", [-0.0, float("nan")], "double") == 2
+
+
+def test_any_column_name(spark):
+    rows = [(1, i, i % 3, "x") for i in range(8)] + [(2, 9, 1, "y")]
+    for key in ("f", "h", "a.b", "__k0", "__p", "row", "variance", "`q"):
+        other = "f" if key != "f" else "h"
+        df = spark.createDataFrame(rows, "key int, id int, v int, s string").toDF(key, "id", "route", other)
+        assert {(r[0], r[1]) for r in hot_keys(df, key, theta=2).collect()} == {(1, 8)}
+        for method in ("sketch", "space_saving", "freq_items"):
+            assert {(r[0], r[1]) for r in hot_keys(df, key, theta=2, method=method, capacity=64).collect()} == {(1, 8)}, (key, method)
+        few = JoinConfig(hot_threshold=2)
+        again = spark.createDataFrame(rows, "key int, id int, v int, s string").toDF(key, "id", "route_r", "route")
+        for got in (adaptive_join(df, again, key, "full", few), staged_join(df, again, key, "full", few), staged_join_basic(df, again, key, "full", few)):
+            assert got.count() == 65 and len(set(got.columns)) == 7
+        for variant in ("basic", "balanced"):
+            assert natural_self_join(df, key, "id", few, variant).count() == 37
+
+
+def test_unrefined_summaries_keep_their_own_counts(spark):
+    df = spark.createDataFrame([(i % 5,) for i in range(100)] + [(7,)] * 50, "key int").repartition(3)
+    got = {r["key"]: r["f"] for r in hot_keys(df, "key", 3, 10, "space_saving", capacity=3, refine=False).collect()}
+    assert got[7] >= 50 and sum(got.values()) > 90  # counts carry their error
+    with pytest.raises(ValueError):
+        hot_keys(df, "key", 3, 10, "freq_items", refine=False)
+
+
+@pytest.mark.parametrize("adaptive", ["true", "false"])
+def test_hot_side_of_hot_cold_pieces_never_shuffles(spark, adaptive):
+    """At sf0.1 both mixed pieces are broadcast joins, with adaptive execution off too."""
+    from equiscale.queries import zipf_sides
+
+    held = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+    try:
+        df = adaptive_join(*zipf_sides(spark, "/root/testdata/sf0.1", 1.0), "key")
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        branches = [x for x in plan.split("\n") if "Join" in x]
+        assert sum("BroadcastHashJoin" in x and "__k0" in x for x in branches) >= 4 and not any("SortMergeJoin" in x and "__i" not in x for x in branches), branches
+        for name in ("hc", "ch"):
+            assert f"(route#" in plan and f"= {name})" in plan
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", held)
+
+
+def test_self_join_reduces_to_the_staged_join(spark):
+    df = spark.range(400).select((F.col("id") % 7).alias("key"), "id")
+    assert adaptive_join(df, df, "key", cfg=JoinConfig(hot_threshold=5)).count() == df.join(df.withColumnRenamed("id", "other"), "key").count()
+
+
+def test_memory_bounds_hot_keys(spark):
+    cfg = JoinConfig(executor_memory=1e6)
+    assert cfg.hot_budget(spark, 100) == int(1e6 / 100 / cfg.theta) and JoinConfig().memory(spark) > 1e8
+    assert [size_of(x) for x in ("2g", "512m", "3", "1kb")] == [2 * 2**30, 512 * 2**20, 3 * 2**20, 1024]
+    assert JoinConfig(n_executors=10, partitions_per_executor=4).partitions(spark) == 40
+
+
+def test_broadcast_only_methods_fail_beyond_their_limit(bags):
+    _, _, l, r = bags
+    with pytest.raises(TooLargeToBroadcast):
+        baselines.heavier_side_join(l, r, "key", "inner", JoinConfig(hot_threshold=3, broadcast_limit=10))
+
+
+def test_key_range_bins_are_tasks(spark):
+    l, r = (spark.range(4000).select((F.col("id") % 200).alias("key"), F.col("id").alias(n)) for n in ("a", "b"))
+    plan = baselines.key_range_join(l, r, "key", 16)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("shufflepartitionidpassthrough") >= 2 and "Exchange hashpartitioning" not in plan
+
+
+def test_shared_folder_is_required_on_a_cluster(spark, monkeypatch):
+    from equiscale.sources import io
+
+    class Context:
+        master, applicationId = "yarn", "app"
+
+    class Session:
+        sparkContext = Context()
+
+        class conf:
+            get = staticmethod(lambda key, default=None: default)
+
+    with pytest.raises(RuntimeError):
+        io.shared_dir(Session())
+    Context.master = "local-cluster[2,1,1024]"
+    with pytest.raises(RuntimeError):
+        io.shared_dir(Session())
+    df = io.cut(spark.range(3))
+    assert df.count() == 3
+    io.release(df)
+    import os
+
+    assert not os.path.exists(df._cut.removeprefix("file://"))
+
+
+def test_measures(spark, bags):
+    from equiscale.plans import experiments, metrics
+
+    left, _, l, r = bags
+    assert metrics.time_join(lambda: l.join(r, "key"), 2)["dnf"] is False and metrics.speedup(4, 2) == 2
+    spread = metrics.pairs_per_partition(spark.range(0, 100, 1, 4)).first()
+    assert (spread["most"], spread["least"]) == (25, 25) and spread["cv"] == 0
+    n, size = metrics.measured(l)
+    assert n == len(left) and size == sum(16 + len(b) for _, b in left)
+    assert metrics.avg_row_bytes(l) == pytest.approx(size / n, rel=0.2)
+    assert metrics.stage_metrics(spark)["tasks"] > 0
+    rows = list(experiments.weak_scaling(spark, "/root/testdata/sf0.001", (0.5,), ("staged",), repeat=1))
+    rows += list(experiments.small_large(spark, "/root/testdata/sf0.001", (5,), repeat=1))
+    assert {x["experiment"] for x in rows} == {"weak", "small_large"} and all(x["seconds"] > 0 for x in rows)
+    assert [round(x["threshold"] ** (2 / 3) - 1, 6) for x in experiments.calibration(spark, (100,), 1000, 1)][0] > 0
 
 
 def test_chunks(spark):
@@ -201,6 +344,11 @@ def test_streaming(spark, tmp_path):
     q.processAllAvailable()
     q.stop()
     assert sum(out) == 30
+    for make in (lambda x: streaming.session_hot_keys(x, "key", "5 minutes"), lambda x: streaming.hot_keys(x, "key", slide="5 minutes")):
+        q = make(stream).writeStream.format("memory").outputMode("complete").queryName("windows").start()
+        q.processAllAvailable()
+        q.stop()
+        assert spark.table("windows").count() > 0
     with pytest.raises(ValueError):
         streaming.enrich(stream, static, "key", "full")
 
