@@ -6,11 +6,13 @@ assistant and all others as named users.  The mask lists the spans (code
 points, start:end) of the participant's own words with their end mark: only these are trained on.
 
 Conversations of any length are bounded by ``segment``: turns are cut into
-segments by turn number, one row for each segment and perspective, in order of ``part``.
+segments by turn number, one row for each segment and perspective.  No turn is left out: the parts of a
+perspective, joined in order of ``part``, are the rendering of the whole dialogue, and each mask counts from the start of its part.
 
 Defined results: null text is empty, null role is the role ``unknown``, null turns come
 first in a part of their own (-1), null conv_id is one conversation of its own; exactly repeated rows
-count once; turns with equal numbers are ordered by role and text; conversations of narrators alone give no row; other columns are ignored.
+count once; turns with equal numbers are ordered by role and text; conversations of narrators alone give no row; texts of any length are
+rendered whole; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations

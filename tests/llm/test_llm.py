@@ -558,6 +558,87 @@ def test_chat(spark):
     assert r["rendered"][a:b] == "yo<|im_end|>\n" and r["n_turns"] == 4 and r["n_own"] == 1
 
 
+def test_chat_parts_make_the_whole(spark):
+    rng = random.Random(4)
+    rows = [(c, t, rng.choice(["system", "user", "bob", None]), rng.choice([None, "", LOREM, "ok"])) for c in (1, 2, None) for t in [*range(40), None]]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+
+    def whole(segment):
+        out = {}
+        for r in sorted(chat.rotate_perspectives(df, segment=segment).collect(), key=lambda r: r["part"]):
+            text, spans, n = out.get((r["conv_id"], r["perspective"]), ("", [], 0))
+            own = [tuple(map(int, x.split(":"))) for x in r["mask"].split(",") if x]
+            out[r["conv_id"], r["perspective"]] = (text + r["rendered"], spans + [(len(text) + a, len(text) + b) for a, b in own], n + r["n_turns"])
+        return out
+
+    assert whole(7) == whole(10**9) and len(whole(7)) == 9
+    assert chat.rotate_perspectives(empty(df)).count() == 0
+
+
+def test_near_groups_on_odd_rows(spark, odd):
+    got = {r["doc_id"]: r["keep_id"] for r in simhash.near_groups(odd).collect()}
+    rows = [(-(2**63) if d is None else d, t) for d, t in local(odd)]
+    want = {d: (None if k == -(2**63) else k) for d, k in brute_groups(list(dict(rows).items())).items()}
+    assert got == want
+    kept = simhash.drop_near(odd)
+    assert kept.columns == odd.columns
+    assert sorted(map(str, kept.collect())) == sorted(str(r) for r in odd.collect() if (-(2**63) if r["doc_id"] is None else r["doc_id"]) not in want)
+    assert simhash.near_groups(empty(odd)).count() == 0 and simhash.drop_near(empty(odd)).count() == 0
+
+
+def test_language_scores_are_those_of_a_plain_mean(spark, docs, odd):
+    model = language.learn(docs)
+
+    def plain(text):
+        code = [b if b >= 128 or chr(b).isalpha() else 32 for b in b" " + text.lower().encode() + b" "]
+        rows = []
+        for size in (3, 4):
+            for i in range(len(code) - size + 1):
+                own = code[i : i + size]
+                if 32 not in own[1:-1]:
+                    value = int.from_bytes(bytes(own), "little")
+                    rows.append(model.table[(value * (2654435761 + 2 * size) % 2**32) >> 17].astype(float))
+        if not any(map(str.isalpha, text)):
+            return "und", 0.0
+        z = (np.mean(rows, axis=0) if rows else np.zeros(len(model.languages))) / model.temperature
+        e = np.exp(z - z.max())
+        return model.languages[int(z.argmax())], float((e / e.sum()).max())
+
+    for df in (docs.limit(60), odd.filter("length(text) < 3000 or text is null")):
+        want = {str(d): plain(t) for d, t in local(df)}
+        for r in language.identify(df, model).collect():
+            lang, score = want[str(r["doc_id"])]
+            assert r["lang_pred"] == lang and r["score"] == pytest.approx(score, abs=1e-5)
+
+
+def test_quality_scores_are_those_of_plain_sums(spark, docs):
+    train, labels = labelled(spark)
+    model = quality.learn(train, labels)
+    texts = [t for _, t in local(docs)][:40] + ["", "\n\n", LOREM]
+
+    def plain(text):
+        x, size, _ = quality.line_features([text])
+        e = x @ model.field.w
+        t = model.field.t
+        n = len(e)
+        # sums over all paths, state by state
+        f, b = [[1.0, float(np.exp(e[0]))]], [[1.0, 1.0]]
+        for k in range(1, n):
+            row = [sum(f[-1][a] * np.exp(t[a, s]) for a in range(2)) * (np.exp(e[k]) if s else 1.0) for s in range(2)]
+            f.append([v / sum(row) for v in row])
+        for k in range(n - 2, -1, -1):
+            row = [sum(np.exp(t[a, s]) * (np.exp(e[k + 1]) if s else 1.0) * b[0][s] for s in range(2)) for a in range(2)]
+            b.insert(0, [v / sum(row) for v in row])
+        p = [f[k][1] * b[k][1] / sum(f[k][s] * b[k][s] for s in range(2)) for k in range(n)]
+        w = [z + 1.0 for z in size]
+        mean = sum(a * c for a, c in zip(p, w)) / sum(w)
+        low = min([v for v, z in zip(p, size) if z >= 20] + [1.0])
+        c = min(max(mean, 1e-4), 1 - 1e-4)
+        return 1 / (1 + np.exp(-np.clip(np.dot([np.log(c / (1 - c)), mean, low, 1.0], model.weights), -30, 30)))
+
+    assert np.allclose(model.score(texts), [plain(t) for t in texts], atol=1e-6)
+
+
 def edit_distance(a, b):
     row = list(range(len(b) + 1))
     for i, x in enumerate(a):
