@@ -8,9 +8,9 @@ Every byte goes that is covered by a ``length``-byte string which also starts in
 3. Shards exchange thin digests of their anchors.  An anchor of one document alone repeats nowhere and is done with.  Digests
    only choose candidates; from here on bytes decide.
 4. Each shard deals the bytes of its other contexts into suffix shards by anchor, equal contexts (compared by their bytes)
-   once.  An anchor with more than ``hot_contexts`` contexts is split: its windows are dealt by most of their own bytes, so
+   once.  There equal contexts of all shards become one; if it is the only one of its anchor, nothing else can share a window with it.  An anchor with more than ``hot_contexts`` contexts is split: its windows are dealt by most of their own bytes, so
    that a frequent header's surroundings go to many tasks.
-5. Each suffix shard of at most about ``suffix_bytes`` sorts its suffixes (Larsson-Sadakane), takes common prefixes (Kasai)
+5. Where an anchor has several contexts, each suffix shard of at most about ``suffix_bytes`` sorts its suffixes (Larsson-Sadakane), takes common prefixes (Kasai)
    and finds the smallest id of each window; sorted windows of several suffix shards of a task are merged by binary search.
 6. Shards get the removed spans of their documents back and cut them out.
 
@@ -294,7 +294,7 @@ def _select(n_routes: int, length: int, gram: int):
                 body = [bodies[g] for g in mine]
                 at = np.repeat(first[i] - (np.cumsum(count[i]) - count[i]), count[i]) + np.arange(count[i].sum())
                 head = np.array([len(body), len(at)], "<i8")
-                rows.append((route, shard, _pack(head, least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count[i].astype("<u4"), place[at]) + b"".join(body)))
+                rows.append((route, shard, _pack(head, least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count[i].astype("<u4"), (h[open_at[first[i]]] >> np.uint64(32)).astype("<u4"), place[at]) + b"".join(body)))
         return _rows(rows, "route", "shard", "blob")
 
     return run
@@ -325,8 +325,8 @@ def _spans(row: np.ndarray, a: np.ndarray, b: np.ndarray) -> bytes:
     return out.tobytes()
 
 
-def smallest_ids(bodies: list[bytes], doc: np.ndarray, length: int, suffix_bytes: int) -> tuple[np.ndarray, np.ndarray]:
-    """The smallest id that has the window at each start of each body, flat, and where each body's begin; by suffix arrays of at most about ``suffix_bytes`` each."""
+def smallest_ids(bodies: list[bytes], doc: np.ndarray, length: int, suffix_bytes: int) -> np.ndarray:
+    """The smallest id that has the window at each start of each body, one body after another; by suffix arrays of at most about ``suffix_bytes`` each."""
     sizes = np.array([len(x) for x in bodies], np.int64)
     windows = np.maximum(sizes - length + 1, 0)
     begins = np.concatenate([[0], np.cumsum(windows)])
@@ -354,7 +354,7 @@ def smallest_ids(bodies: list[bytes], doc: np.ndarray, length: int, suffix_bytes
         merged = [merge_windows(*merged[k], *merged[k + 1]) if k + 1 < len(merged) else merged[k] for k in range(0, len(merged), 2)]
     for place, group, words in shards:
         out[place] = merged[0][1][group if len(shards) == 1 else locate(merged[0][0], words)[group]]
-    return out, begins
+    return out
 
 
 def _resolve(length: int, suffix_bytes: int):
@@ -364,20 +364,30 @@ def _resolve(length: int, suffix_bytes: int):
         if key[0].as_py() < 0:
             return table.select(["shard", "blob"])
         number: dict[bytes, int] = {}
-        docs, shards, counts, places, which = [], [], [], [], []
+        docs, shards, counts, keys, places, which = [], [], [], [], [], []
         for s, blob in zip(table.column("shard").to_pylist(), table.column("blob").to_pylist()):
             n, m = np.frombuffer(blob, "<i8", 2).tolist()
             docs.append(np.frombuffer(blob, "<i8", n, 16))
             size = np.frombuffer(blob, "<u2", n, 16 + 8 * n).astype(np.int64)
             counts.append(np.frombuffer(blob, "<u4", n, 16 + 10 * n).astype(np.int64))
-            places.append(np.frombuffer(blob, _SPAN, m, 16 + 14 * n))
-            ends = np.cumsum(size) + 16 + 14 * n + _SPAN.itemsize * m
+            keys.append(np.frombuffer(blob, "<u4", n, 16 + 14 * n))
+            places.append(np.frombuffer(blob, _SPAN, m, 16 + 18 * n))
+            ends = np.cumsum(size) + 16 + 18 * n + _SPAN.itemsize * m
             which += [number.setdefault(blob[e - z : e], len(number)) for e, z in zip(ends.tolist(), size.tolist())]
             shards.append(np.full(n, s, np.int64))
         doc, shard, count, place, which = np.concatenate(docs), np.concatenate(shards), np.concatenate(counts), np.concatenate(places), np.array(which)
         least = np.full(len(number), np.iinfo(np.int64).max)
         np.minimum.at(least, which, doc)
-        lowest, begins = smallest_ids(list(number), least, length, suffix_bytes)
+        # a string that is the only one of its key shares no window with another; the others are sorted
+        bodies = list(number)
+        windows = np.array([len(x) for x in bodies]) - length + 1
+        begins = np.concatenate([[0], np.cumsum(windows)])
+        key_of = np.zeros(len(bodies), np.uint32)
+        key_of[which] = np.concatenate(keys)
+        _, same, held = np.unique(key_of, return_inverse=True, return_counts=True)
+        several = held[same] > 1
+        lowest = np.repeat(least, windows)
+        lowest[np.repeat(several, windows)] = smallest_ids([bodies[k] for k in np.flatnonzero(several).tolist()], least[several], length, suffix_bytes)
         # windows of every shard's contexts, one after another; runs of removed ones
         n_windows = np.diff(begins)[which]
         ask = np.repeat(np.arange(len(which)), n_windows)
@@ -433,7 +443,7 @@ def _removal(docs: DataFrame, finish, schema: str, length: int, gram: int, shard
 
 
 #: Bytes of documents in a shard, bytes of a suffix array, and contexts from which an anchor is split over tasks.
-SHARD_BYTES, SUFFIX_BYTES, HOT_CONTEXTS = 8_000_000, 1_500_000, 4_000
+SHARD_BYTES, SUFFIX_BYTES, HOT_CONTEXTS = 6_000_000, 1_500_000, 4_000
 
 
 def repeated_passages(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = SHARD_BYTES, suffix_bytes: int = SUFFIX_BYTES, hot_contexts: int = HOT_CONTEXTS) -> DataFrame:
