@@ -121,7 +121,7 @@ def header_rows(n=60):
     return rows + [(7, some(30)), (7, rows[3][1]), (None, rows[9][1]), (None, "short")]
 
 
-@pytest.mark.parametrize("hot", [4000, 20, 1])
+@pytest.mark.parametrize("hot", [4000, 1])
 def test_frequent_headers_are_split_and_stay_exact(spark, hot):
     rows = header_rows()
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
@@ -528,14 +528,15 @@ def test_evolution_gains_where_best_fit_misses_the_bound(spark):
     assert sorted(i for b in best for i in b) == list(range(len(sizes))) and max(sum(sizes[i] for i in b) for b in best) <= 4096
     plain = len(packing.best_fit(sizes, 4096))
     assert generations > 0 and len(best) <= plain - 10
+    sizes = hard_sizes(300)
     easy = [1024] * 400
     assert packing.evolve(easy, 4096, [], 5)[1] == 0  # best fit meets the bound: nothing to gain
-    pieces = spark.createDataFrame([(i, 0, 0, s, 0) for i, s in enumerate(sizes * 2)], packing.PIECE_SCHEMA)
-    rows = packing.evolution(pieces, block=1200, islands=2).collect()
-    assert sum(r["pieces"] for r in rows) == 2 * len(sizes)
+    pieces = spark.createDataFrame([(i, 0, 0, s, 0) for i, s in enumerate(sizes)], packing.PIECE_SCHEMA)
+    rows = packing.evolution(pieces, block=150, islands=2).collect()
+    assert sum(r["pieces"] for r in rows) == len(sizes)
     assert all(r["bound"] <= r["evolved"] < r["best_fit"] and r["generations"] > 0 for r in rows)
-    packed = packing.pack(pieces, block=1200, islands=2).select("sequence_id").distinct().count()
-    assert packed < len(packing.best_fit(sizes * 2, 4096))
+    packed = packing.pack(pieces, block=300, islands=2).select("sequence_id").distinct().count()
+    assert packed < len(packing.best_fit(sizes, 4096))
 
 
 def test_crossover_keeps_every_piece():
@@ -808,6 +809,25 @@ def test_pipeline(spark):
     assert corpus_pipeline.ORACLE_SQL is None and len(corpus_pipeline.STAGES) == 5
 
 
+def test_pipeline_runs_on_odd_tables(spark, odd, tmp_path):
+    """Nulls, repeated rows and extra columns from end to end; and an empty table."""
+    import corpus_pipeline
+
+    labels = spark.createDataFrame([(1, None, 0), (None, 1, 1)], "doc_id long, quality int, toxic int")
+    labels.write.parquet(str(tmp_path / "labels.parquet"))
+    odd.write.parquet(str(tmp_path / "documents.parquet"))
+    rows = corpus_pipeline.run(spark, str(tmp_path)).collect()
+    full = {}
+    for r in odd.collect():  # without labels of both kinds nothing is toxic
+        d, t = -(2**63) if r["doc_id"] is None else r["doc_id"], r["text"] or ""
+        key = re.sub("[A-Z]", lambda m: m.group().lower(), t)
+        full[key] = max(full.get(key, (-(2**63), "")), (d, t))
+    gone = brute_groups(list(full.values()))
+    assert {-(2**63) if r["doc_id"] is None else r["doc_id"] for r in rows} == {d for d, _ in full.values() if d not in gone}
+    odd.limit(0).write.mode("overwrite").parquet(str(tmp_path / "documents.parquet"))
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
 def test_pipeline_stages_against_brute_force(spark):
     """Exact, near and passage stage on groups of more than two, pairs at 0.80-0.85 and long texts; the packing keeps every id."""
     import corpus_pipeline
