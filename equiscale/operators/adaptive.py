@@ -20,7 +20,7 @@ from equiscale.sources.io import cut, shared_dir
 from . import index
 from .keys import Sides, check_how, names
 from .small_large import index_broadcast_pairs
-from .staged import _cell_join, _levels, both_hot, build_padded_index, keyed, shared_plan, staged_join
+from .staged import _cell_join, _levels, both_hot, build_padded_index, keyed, plan_of, staged_join
 
 CLASSES = ("hh", "hc", "ch", "cc")
 
@@ -103,7 +103,7 @@ def adaptive_join(left: DataFrame, right: DataFrame, on, how: str = "inner", cfg
     if how in ("left_semi", "left_anti"):
         return sides.present(_semi(sides, how, kl), only_left=True)
     routes = cut(route_map(kl, kr, own.keys))
-    plan, l_max = shared_plan(kl, kr, own.keys, cfg)
+    plan, l_max = plan_of(routes.filter("fl is not null and fr is not null"), cfg)
     sl, sr = (Pieces(df, routes, own.keys, cfg.split == "all") for df in (own.left, own.right))
     preserve_l, preserve_r = how in ("left", "full"), how in ("right", "full")
     trusted = cfg.kappa_trusted

@@ -171,12 +171,15 @@ def _cell_join(left: DataFrame, right: DataFrame, sides: Sides, plan: DataFrame,
     return sides.order(left.join(right, by))
 
 
-def shared_plan(kl: DataFrame, kr: DataFrame, keys: list[str], cfg: JoinConfig) -> tuple[DataFrame, float]:
-    """(keys hot on both sides with frequencies and planned cells, the longest geometric mean)."""
-    shared = cut(shared_hot(kl, kr, keys))
+def plan_of(shared: DataFrame, cfg: JoinConfig) -> tuple[DataFrame, float]:
+    """(written keys hot on both sides with frequencies and planned cells, the longest geometric mean)."""
     a, b = F.col("fl").cast("double"), F.col("fr").cast("double")
     pairs, longest = shared.agg(F.sum(a * b), F.max(F.sqrt(a * b))).first()
-    return planned_cells(shared, cfg, pairs or 0.0, cfg.executors(kl.sparkSession)), longest or 1.0
+    return planned_cells(shared, cfg, pairs or 0.0, cfg.executors(shared.sparkSession)), longest or 1.0
+
+
+def shared_plan(kl: DataFrame, kr: DataFrame, keys: list[str], cfg: JoinConfig) -> tuple[DataFrame, float]:
+    return plan_of(cut(shared_hot(kl, kr, keys)), cfg)
 
 
 def grid_levels(left: DataFrame, right: DataFrame, on, cfg: JoinConfig = JoinConfig(), *, right_on=None) -> DataFrame:

@@ -76,9 +76,27 @@ def cut(df: DataFrame) -> DataFrame:
     df.write.parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._cut = path
+    _CUTS.append(path)
     return out
 
 
+_CUTS: list[str] = []
+
+
+def made() -> int:
+    """How many tables ``cut`` has written so far; see ``sweep``."""
+    return len(_CUTS)
+
+
+def sweep(spark: SparkSession, since: int, keep: DataFrame) -> None:
+    """Deletes what ``cut`` has written since ``made()`` was ``since``, but ``keep``: for work whose result is written and whose parts nobody else has."""
+    context, kept = spark.sparkContext, getattr(keep, "_cut", None)
+    for path in _CUTS[since:]:
+        if path != kept:
+            _remove(context._jvm, context._jsc.hadoopConfiguration(), path)
+    _CUTS[since:] = [kept] if kept in _CUTS[since:] else []
+
+
 def release(*cuts: DataFrame) -> None:
     """Deletes what ``cut`` has written, once nothing will read it any more."""
     for df in cuts:
