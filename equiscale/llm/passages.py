@@ -33,6 +33,7 @@ from .suffixes import common_prefixes, locate, merge_windows, suffix_array, wind
 LENGTH, GRAM = 50, 20
 SEGMENT = 1_000_000  # bytes that are hashed at once
 _PLACE = np.uint64((1 << 24) - 1)
+_TOP = np.uint64(32)
 _BASE = 0x9E3779B97F4A7C15
 _UNIT = np.random.default_rng(20_240_501).integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _POWERS: dict[str, np.ndarray] = {}
@@ -59,7 +60,7 @@ STEP = 4  # neighbouring windows of a hot anchor that are dealt together
 
 def _split(a: np.ndarray, b: np.ndarray, p: np.ndarray, h: np.ndarray, hot: np.ndarray, digest, length: int, gram: int) -> tuple[np.ndarray, ...]:
     """(first window, last window, anchor, key): contexts of hot anchors cut by where the anchor lies in the window, keyed by the bytes that all windows of a cut share."""
-    split = _among(h >> np.uint64(24), hot)
+    split = _among(h >> _TOP, hot)
     if not split.any():
         return a, b, p, h
     cuts = [(a[~split], b[~split], p[~split], h[~split])]
@@ -147,7 +148,7 @@ def _pack(*cols: np.ndarray) -> bytes:
     return b"".join(np.ascontiguousarray(c).tobytes() for c in cols)
 
 
-ANCHOR = 5  # bytes of an anchor's hash by which anchors are told apart; its bucket comes from the others
+ANCHOR = 4  # bytes of an anchor's hash by which anchors are told apart; its bucket comes from the others
 _ANCHOR = np.dtype([("hash", "u1", ANCHOR), ("contexts", "<u2")])
 MANY = 1 << 15  # added to ``contexts`` if the shard has the anchor in several documents
 _SPAN = np.dtype([("row", "<u4"), ("a", "<u4"), ("b", "<u4")])
@@ -205,7 +206,7 @@ def _anchors(n_buckets: int, length: int, gram: int):
         n = np.add.reduceat(np.concatenate([[1], (h[1:] != h[:-1]) | (c[1:] != c[:-1])]), first) if len(h) else first
         many = np.minimum.reduceat(doc, first) < np.maximum.reduceat(doc, first) if len(h) else first
         out = np.zeros(len(first), _ANCHOR)
-        out["hash"], out["contexts"] = _narrow(h[first] >> np.uint64(24)), np.minimum(n, MANY - 1) + MANY * many
+        out["hash"], out["contexts"] = _narrow(h[first] >> _TOP), np.minimum(n, MANY - 1) + MANY * many
         return _rows([(b, key[0].as_py(), out[i].tobytes()) for b, i in _by_bucket(((h[first] & _PLACE) % np.uint64(n_buckets)).astype(np.int64))], "bucket", "shard", "blob")
 
     return run
@@ -259,6 +260,8 @@ def _select(n_routes: int, length: int, gram: int):
     """Shard and its candidates -> (route, shard, blob): bytes of its contexts, equal ones once; spans already sure on route -1 - shard."""
 
     def run(key, docs, verdicts):
+        import pyarrow as pa
+
         shard, rows = key[0].as_py(), []
         if docs.num_rows:
             _, ids, raw = _docs_of(docs)
@@ -271,7 +274,7 @@ def _select(n_routes: int, length: int, gram: int):
             hot = np.unique(np.concatenate(hot))
             t, a, b, h, c = contexts(raw, length, gram)
             wanted = np.unique(np.concatenate([hot, *cool]))
-            ask = _among(h >> np.uint64(24), wanted)
+            ask = _among(h >> _TOP, wanted)
             if len(hot):  # again, with contexts of hot anchors cut
                 t, a, b, h, c, ask = _with_cuts(raw, length, gram, hot, (t, a, b, h, c), ask)
             t, a, b, h, c = t[ask], a[ask], b[ask], h[ask], c[ask]
@@ -294,7 +297,7 @@ def _select(n_routes: int, length: int, gram: int):
                 body = [bodies[g] for g in mine]
                 at = np.repeat(first[i] - (np.cumsum(count[i]) - count[i]), count[i]) + np.arange(count[i].sum())
                 head = np.array([len(body), len(at)], "<i8")
-                rows.append((route, shard, _pack(head, least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count[i].astype("<u4"), (h[open_at[first[i]]] >> np.uint64(32)).astype("<u4"), place[at]) + b"".join(body)))
+                rows.append((route, shard, _pack(head, least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count[i].astype("<u4"), (h[open_at[first[i]]] >> np.uint64(32)).astype("<u4"), place[at]) + pa.compress(b"".join(body), codec="zstd", asbytes=True)))
         return _rows(rows, "route", "shard", "blob")
 
     return run
@@ -302,7 +305,7 @@ def _select(n_routes: int, length: int, gram: int):
 
 def _with_cuts(raw: list[bytes], length: int, gram: int, hot: np.ndarray, plain: tuple[np.ndarray, ...], ask: np.ndarray):
     """The contexts with those of hot anchors cut, and which of them are candidates: a cut one always is."""
-    is_hot = _among(plain[3] >> np.uint64(24), hot)
+    is_hot = _among(plain[3] >> _TOP, hot)
     texts = np.unique(plain[0][is_hot])
     t, a, b, h, c = contexts([raw[k] for k in texts.tolist()], length, gram, hot)
     # cut contexts lie inside the plain ones of hot anchors
@@ -361,6 +364,8 @@ def _resolve(length: int, suffix_bytes: int):
     """Route -> (shard, blob) with removed spans."""
 
     def run(key, table):
+        import pyarrow as pa
+
         if key[0].as_py() < 0:
             return table.select(["shard", "blob"])
         number: dict[bytes, int] = {}
@@ -372,8 +377,8 @@ def _resolve(length: int, suffix_bytes: int):
             counts.append(np.frombuffer(blob, "<u4", n, 16 + 10 * n).astype(np.int64))
             keys.append(np.frombuffer(blob, "<u4", n, 16 + 14 * n))
             places.append(np.frombuffer(blob, _SPAN, m, 16 + 18 * n))
-            ends = np.cumsum(size) + 16 + 18 * n + _SPAN.itemsize * m
-            which += [number.setdefault(blob[e - z : e], len(number)) for e, z in zip(ends.tolist(), size.tolist())]
+            body = pa.decompress(blob[16 + 18 * n + _SPAN.itemsize * m :], int(size.sum()), "zstd", asbytes=True)
+            which += [number.setdefault(body[e - z : e], len(number)) for e, z in zip(np.cumsum(size).tolist(), size.tolist())]
             shards.append(np.full(n, s, np.int64))
         doc, shard, count, place, which = np.concatenate(docs), np.concatenate(shards), np.concatenate(counts), np.concatenate(places), np.array(which)
         least = np.full(len(number), np.iinfo(np.int64).max)

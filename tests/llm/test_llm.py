@@ -131,7 +131,7 @@ def test_frequent_headers_are_split_and_stay_exact(spark, hot):
 def test_contexts_of_hot_anchors_cover_the_same_windows():
     raw = [t.encode() for _, t in header_rows()]
     t, a, b, h, _ = passages.contexts(raw)
-    hot = np.unique(h >> np.uint64(24))
+    hot = np.unique(h >> passages._TOP)
     cut = passages.contexts(raw, hot=hot)
     windows = lambda x: sorted((k, w) for k, p, q in zip(*(v.tolist() for v in x[:3])) for w in range(p, q + 1))
     assert windows((t, a, b)) == windows(cut)
