@@ -7,6 +7,8 @@ import heapq
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from equiscale.sources.io import cut
+
 from .keys import field, free, names, no_nulls
 
 METHODS = ("exact", "prepartitioned", "space_saving", "sketch", "freq_items", "sample")
@@ -65,8 +67,28 @@ def _exact(df: DataFrame, keys: list[str]) -> DataFrame:
     return df.groupBy(*keys).agg(F.count("*").alias("__f"))
 
 
+#: Keys that are chosen by sorting, at most.
+SORTED = 10_000
+
+
 def _bounded(counts: DataFrame, keys: list[str], theta: float, k_max: int) -> DataFrame:
-    return counts.filter(F.col("__f") >= theta).orderBy(F.desc("__f"), *keys).limit(k_max)
+    """Up to SORTED keys, the most frequent ones, ties by key.  For a larger ``k_max`` all, if they are no more, else all
+    above a frequency: a sixteenth of an octave is taken whole or not at all, so that no task sorts what all tasks have."""
+    hot = counts.filter(F.col("__f") >= theta)
+    if k_max <= SORTED:
+        return hot.orderBy(F.desc("__f"), *keys).limit(k_max)
+    hot = cut(hot)
+    step = F.floor(16 * F.log2(F.col("__f"))).cast("int")
+    sizes = sorted(((r[0], r[1]) for r in hot.groupBy(step.alias("s")).count().collect()), reverse=True)
+    total, last = 0, None
+    for s, n in sizes:
+        total += n
+        if total > k_max:
+            break
+        last = s
+    if total <= k_max:
+        return hot
+    return hot.filter(step >= last) if last is not None else hot.orderBy(F.desc("__f"), *keys).limit(SORTED)
 
 
 def _space_saving(df: DataFrame, keys: list[str], capacity: int, fanout: int) -> DataFrame:

@@ -14,7 +14,7 @@ from equiscale.functions.chunking import chunk, grid_lane
 from equiscale.plans.config import JoinConfig
 from equiscale.sources.io import cut
 
-from .hotkeys import hot_keys
+from .hotkeys import SORTED, hot_keys
 from .keys import field, free, names, no_nulls
 from .staged import levels_of, placed, planned_cells, respread
 
@@ -88,8 +88,10 @@ def natural_self_join(df: DataFrame, on, row_id: str, cfg: JoinConfig = JoinConf
     n, pairs, least = hot.agg(F.count("*"), F.sum(F.col("fl").cast("double") * F.col("fl") / 2), F.min("fl")).first()
     cold = known.join(F.broadcast(hot.select(*keys)), keys, "left_anti")
     # a full table may have left out keys as frequent as its last; one from outside or from a sketch may have left out any
-    sure = kappa is None and cfg.hot_method in ("exact", "prepartitioned")
-    longest = (least if n >= k_max else cfg.theta) if sure else cold.groupBy(*keys).agg(F.count("*").alias("f")).agg(F.max("f")).first()[0] or 1
+    if kappa is None and cfg.hot_method in ("exact", "prepartitioned"):
+        longest = cfg.theta if n < min(k_max, SORTED) else least
+    else:
+        longest = cold.groupBy(*keys).agg(F.count("*").alias("f")).agg(F.max("f")).first()[0] or 1
     out = _triangles(cold, keys, cfg, longest)
     if n:
         plan = planned_cells(hot, cfg, pairs, cfg.executors(df.sparkSession), LIST_ROWS)

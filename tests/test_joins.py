@@ -173,6 +173,16 @@ def test_any_column_name(spark):
             assert natural_self_join(df, key, "id", few, variant).count() == 37
 
 
+def test_many_hot_keys_are_cut_at_a_frequency(spark, monkeypatch):
+    from equiscale.operators import hotkeys
+
+    monkeypatch.setattr(hotkeys, "SORTED", 3)
+    df = spark.range(1, 31).select(F.col("id").alias("key"), F.explode(F.sequence(F.lit(1), F.col("id")))).select("key")
+    assert {(r["key"], r["f"]) for r in hot_keys(df, "key", 100, 5).collect()} == {(k, k) for k in range(5, 31)}
+    few = {r["key"]: r["f"] for r in hot_keys(df, "key", 8, 5).collect()}
+    assert 4 <= len(few) <= 8 and min(few) == 31 - len(few) and all(k == f for k, f in few.items())
+
+
 def test_unrefined_summaries_keep_their_own_counts(spark):
     df = spark.createDataFrame([(i % 5,) for i in range(100)] + [(7,)] * 50, "key int").repartition(3)
     got = {r["key"]: r["f"] for r in hot_keys(df, "key", 3, 10, "space_saving", capacity=3, refine=False).collect()}
