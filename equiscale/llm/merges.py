@@ -113,26 +113,40 @@ def agenda_many(block: np.ndarray, table: PairTable) -> np.ndarray:
 
 
 class UnitCache:
-    """Ids of text units in one flat array.  ``fill`` gets the new units of a batch; over ``limit`` units the cache starts anew."""
+    """Ids of text units in one flat array.  ``fill`` gets the new units of a batch; over ``limit`` units those used most stay, at most half, and the others go."""
 
-    def __init__(self, fill, limit: int = 300_000):
+    def __init__(self, fill, limit: int = 400_000):
         self._fill, self._limit = fill, limit
-        self._reset()
-
-    def _reset(self):
         self._at: dict[str, int] = {}
-        self._flat, self._start, self._len, self._used = np.zeros(1 << 16, np.int32), np.zeros(1 << 12, np.int64), np.zeros(1 << 12, np.int64), 0
+        self._flat, self._used = np.zeros(1 << 16, np.int32), 0
+        self._start, self._len, self._hits = (np.zeros(1 << 12, np.int64) for _ in range(3))
+
+    def _shrink(self) -> None:
+        n = len(self._at)
+        hits = self._hits[:n]
+        least = max(2, int(np.partition(hits, n - self._limit // 2)[n - self._limit // 2]) + 1)  # at most half have more than the middle one
+        keep = np.flatnonzero(hits >= least)
+        start, lens = self._start[keep], self._len[keep]
+        where = np.repeat(start - (np.cumsum(lens) - lens), lens) + np.arange(int(lens.sum()))
+        kept = self._flat[where]
+        units = list(self._at)
+        self._at = {units[k]: i for i, k in enumerate(keep.tolist())}
+        self._flat, self._used = np.zeros(max(1 << 16, 2 * len(kept)), np.int32), len(kept)
+        self._flat[: len(kept)] = kept
+        size = max(1 << 12, 2 * len(keep))
+        self._start, self._len, self._hits = (np.zeros(size, np.int64) for _ in range(3))
+        self._start[: len(keep)], self._len[: len(keep)], self._hits[: len(keep)] = np.cumsum(lens) - lens, lens, hits[keep] // 2
 
     def ids(self, units: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in order, and the number of ids of each unit."""
         if len(self._at) > self._limit:
-            self._reset()
+            self._shrink()
         new = [u for u in dict.fromkeys(units) if u not in self._at] if units else []
         if new:
             flat, lens = self._fill(new)
             n = len(self._at)
             while n + len(new) > len(self._start):
-                self._start, self._len = np.concatenate([self._start, np.zeros_like(self._start)]), np.concatenate([self._len, np.zeros_like(self._len)])
+                self._start, self._len, self._hits = (np.concatenate([x, np.zeros_like(x)]) for x in (self._start, self._len, self._hits))
             while self._used + len(flat) > len(self._flat):
                 self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
             self._flat[self._used : self._used + len(flat)] = flat
@@ -141,6 +155,7 @@ class UnitCache:
             self._used += len(flat)
             self._at.update(zip(new, range(n, n + len(new))))
         at = np.fromiter(map(self._at.__getitem__, units), np.int64, len(units))
+        self._hits[: len(self._at)] += np.bincount(at, minlength=len(self._at))
         lens = self._len[at]
         total = int(lens.sum())
         where = np.repeat(self._start[at] - (np.cumsum(lens) - lens), lens) + np.arange(total)

@@ -69,6 +69,25 @@ def test_agenda_forms_agree():
         assert agenda(symbols, codec.table) == codec.library.encode(word[1:])
 
 
+def test_unit_cache_keeps_what_is_used():
+    from equiscale.llm.merges import UnitCache
+
+    filled = []
+
+    def fill(units):
+        filled.append(len(units))
+        return np.concatenate([np.full(len(u), len(u), np.int32) for u in units]), np.array([len(u) for u in units])
+
+    cache, rng = UnitCache(fill, limit=50), random.Random(3)
+    hot = ["x" * k for k in range(1, 11)]
+    for step in range(60):
+        units = [rng.choice(hot) for _ in range(80)] + [f"{step}-{k}" for k in range(20)]
+        flat, lens = cache.ids(units)
+        assert lens.tolist() == [len(u) for u in units] and flat.tolist() == [len(u) for u in units for _ in u]
+        assert len(cache._at) <= 50 + 30 and (step < 10 or set(hot) <= set(cache._at))
+    assert sum(filled) <= 10 + 60 * 20 + 10
+
+
 def brute_passages(rows, length=50):
     out, seen = {}, {}
     for d, t in sorted(rows, key=lambda r: (r[0] is not None, r[0])):
