@@ -115,7 +115,7 @@ def agenda_many(block: np.ndarray, table: PairTable) -> np.ndarray:
 class UnitCache:
     """Ids of text units in one flat array.  ``fill`` gets the new units of a batch; over ``limit`` units those used most stay, at most half, and the others go."""
 
-    def __init__(self, fill, limit: int = 400_000):
+    def __init__(self, fill, limit: int = 600_000):
         self._fill, self._limit = fill, limit
         self._at: dict[str, int] = {}
         self._flat, self._used = np.zeros(1 << 16, np.int32), 0
