@@ -134,7 +134,8 @@ def _candidates(df: DataFrame, keys: list[str], method: str, k_max: int, capacit
         return _space_saving(df, keys, capacity, fanout).select(F.col("h").alias("__h"), F.col("c").alias("__c"))
     hashed = df.select(F.xxhash64(*keys).alias("__h"))
     if method == "sketch":
-        top = hashed.agg(F.expr(f"approx_top_k(__h, {min(k_max, capacity)}, {capacity})").alias("t"))
+        k = min(capacity, max(k_max, capacity // 2))  # more than asked for, so that ties are broken by key
+        top = hashed.agg(F.expr(f"approx_top_k(__h, {k}, {capacity})").alias("t"))
         return top.select(F.explode("t").alias("x")).select("x.item", F.col("x.count").cast("long")).toDF("__h", "__c")
     if method == "freq_items":
         return hashed.freqItems(["__h"], 1.0 / capacity).select(F.explode("__h_freqItems").alias("__h"), F.lit(None).cast("long").alias("__c"))
