@@ -381,3 +381,21 @@ def test_io(spark, tmp_path):
     io.write_split(df, str(tmp_path / "split"))
     assert spark.read.parquet(str(tmp_path / "split")).filter("route = 'a'").count() == 1
     io.write(df, None, "noop", "overwrite")
+
+
+def test_levels_cut_the_same_lists(spark):
+    """Rows that come in another order each time that they are read."""
+
+    def mixed(frames):
+        import numpy as np
+
+        for pdf in frames:
+            yield pdf.iloc[np.random.default_rng().permutation(len(pdf))]
+
+    left, right = (spark.range(70).selectExpr("id % 2 AS key", f"id AS {n}").coalesce(1).mapInPandas(mixed, f"key long, {n} long") for n in "ab")
+    spark.conf.set("spark.sql.exchange.reuse", "false")
+    try:
+        got = staged_join_basic(left, right, "key", cfg=JoinConfig(hot_threshold=8.7)).select("a", "b").collect()
+    finally:
+        spark.conf.unset("spark.sql.exchange.reuse")
+    assert sorted(map(tuple, got)) == [(a, b) for a in range(70) for b in range(70) if a % 2 == b % 2]
