@@ -399,3 +399,27 @@ def test_levels_cut_the_same_lists(spark):
     finally:
         spark.conf.unset("spark.sql.exchange.reuse")
     assert sorted(map(tuple, got)) == [(a, b) for a in range(70) for b in range(70) if a % 2 == b % 2]
+
+
+@pytest.mark.parametrize("how", HOWS)
+def test_totals_without_pairs(bags, how):
+    from equiscale.operators.totals import join_totals
+
+    rng = random.Random(4)
+    rows = [[(rng.choice([None, *own]), i) for i in range(70)] for own in ((1, 1, 1, 2, 2, 3, 4), (1, 1, 2, 6, 6, 7))]
+    spark = bags[2].sparkSession
+    l, r = (spark.createDataFrame(x, f"key int, {n} long").repartition(3) for x, n in zip(rows, "ab"))
+    want = {}
+    for (k, a, b), n in nested_loop(*rows, how).items():
+        t = want.setdefault(k, [0, None, None])
+        t[0] += n
+        for at, v in ((1, a), (2, b)):
+            t[at] = t[at] if v is None else (t[at] or 0) + n * v
+    few = JoinConfig(hot_threshold=3)
+    joins = [lambda x, y, on, c=c, **w: adaptive_join(x, y, on, how, c, **w) for c in (few, few.but(broadcast="never", split="all"), few.but(levels="counted", cell_share=0, hot_threshold=1.2))]
+    joins.append(lambda x, y, on, **w: baselines.heavier_side_join(x, y, on, how, few, **w))
+    joins.append(lambda x, y, on, **w: staged_join_basic(x, y, on, how, few, **w))
+    if how == "inner":
+        joins += [lambda x, y, on, **w: adaptive_join(x, y, on, how, few, hh="basic", **w), lambda x, y, on, **w: baselines.grid_join(x, y, on, 9, few, **w), baselines.broadcast_join]
+    for join in joins:
+        assert {x[0]: list(x)[1:] for x in join_totals(join, l, r, "key", "a", "b").collect()} == want
