@@ -423,3 +423,14 @@ def test_totals_without_pairs(bags, how):
         joins += [lambda x, y, on, **w: adaptive_join(x, y, on, how, few, hh="basic", **w), lambda x, y, on, **w: baselines.grid_join(x, y, on, 9, few, **w), baselines.broadcast_join]
     for join in joins:
         assert {x[0]: list(x)[1:] for x in join_totals(join, l, r, "key", "a", "b").collect()} == want
+
+
+def test_broadcast_sides_go_in_pieces(bags, monkeypatch):
+    from equiscale.operators import small_large
+
+    left, right, l, r = bags
+    monkeypatch.setattr(small_large, "PIECE_BYTES", 200)
+    for how in ("inner", "left"):
+        out = baselines.broadcast_join(l, r, "key", how)
+        assert out._jdf.queryExecution().optimizedPlan().toString().count("Relation") > 3
+        assert bag(out) == nested_loop(left, right, how)
