@@ -434,3 +434,10 @@ def test_broadcast_sides_go_in_pieces(bags, monkeypatch):
         out = baselines.broadcast_join(l, r, "key", how)
         assert out._jdf.queryExecution().optimizedPlan().toString().count("Relation") > 3
         assert bag(out) == nested_loop(left, right, how)
+
+
+def test_exact_counts_where_a_summary_overflows(spark):
+    df = spark.range(3000).select((F.col("id") % 900).alias("key")).repartition(4)
+    for method in ("space_saving", "sketch"):
+        got = hot_keys(df, "key", 20, 2, method, refine=False, capacity=64, exact=True).collect()
+        assert [tuple(x) for x in sorted(got)] == [(k, 4) for k in range(20)]
