@@ -441,3 +441,11 @@ def test_exact_counts_where_a_summary_overflows(spark):
     for method in ("space_saving", "sketch"):
         got = hot_keys(df, "key", 20, 2, method, refine=False, capacity=64, exact=True).collect()
         assert [tuple(x) for x in sorted(got)] == [(k, 4) for k in range(20)]
+
+
+def test_grid_report_is_not_cut_at_the_copies_of_a_join(spark):
+    from equiscale.operators.staged import grid_levels
+
+    df = spark.range(3000).select(F.lit(1).alias("key"), "id")
+    row = grid_levels(df, df.withColumnRenamed("id", "rid"), "key", JoinConfig(cell_share=0, hot_threshold=6, max_copies=50)).first()
+    assert row["cell_pairs"] <= 36 and row["grid_rows"] > 50
