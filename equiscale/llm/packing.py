@@ -4,7 +4,7 @@ Documents are tokenised once; what is packed are thin rows (id, piece, length).
 Pieces of full length fill a sequence alone.  The rest is dealt into blocks of
 about ``block`` pieces and each block is packed by best fit.  Well-filled bins
 stay; what lies in the other bins goes on to a next level with fewer blocks,
-so that the remainders of all blocks meet.  On the last level, where all bins stay, blocks evolve on several islands (one Spark task
+so that the remainders of all blocks meet.  On every level, however many blocks it has, blocks evolve on several islands (one Spark task
 each), whose best packings migrate to the next island after each epoch.  A
 chromosome is a list of bins (groups); crossover injects whole well-filled bins
 of one parent into the other, removes the bins that hold the same documents
@@ -339,10 +339,10 @@ def evolution(pieces: DataFrame, *, capacity: int = 4096, block: int = 4000, isl
     return blocks.select("block", "n_bins", "data").mapInArrow(lean(bounds), "block long, pieces long, bound long, best_fit long").join(done, "block")
 
 
-def _pack_level(items: DataFrame, n_blocks: int, capacity: int, islands: int, epochs: int, seed: int, level: int, keep_above: float, last: bool) -> DataFrame:
-    """Rows of ``items`` with sequence_id, offset and ``stays`` (its bin is filled to ``keep_above`` at least).  Blocks evolve on the last level, where all their bins stay."""
+def _pack_level(items: DataFrame, n_blocks: int, capacity: int, islands: int, epochs: int, seed: int, level: int, keep_above: float) -> DataFrame:
+    """Rows of ``items`` with sequence_id, offset and ``stays`` (its bin is filled to ``keep_above`` at least).  Blocks whose best fit misses the bound evolve, on every level alike."""
     blocks = cut(_blocks(items, n_blocks, capacity))
-    done = _evolved(blocks, capacity, islands, epochs, seed) if last else _settled(blocks)
+    done = _evolved(blocks, capacity, islands, epochs, seed)
     best = done.groupBy("block").agg(F.max_by(F.struct("own", "data"), F.struct(-F.col("n_bins"), F.col("fit"), -F.col("island"))).alias("best")).select("block", "best.own", "best.data")
 
     def unfold(batches):
@@ -376,7 +376,7 @@ def pack(pieces: DataFrame, *, capacity: int = 4096, block: int = 4000, islands:
             break
         n_blocks = -(-n // block)
         last = n_blocks == 1 or level == levels - 1
-        packed = cut(_pack_level(rest, n_blocks, capacity, islands, epochs, seed + level, level, keep_above, last))
+        packed = cut(_pack_level(rest, n_blocks, capacity, islands, epochs, seed + level, level, keep_above))
         out = out.unionByName((packed if last else packed.filter("stays")).drop("stays"))
         if last:
             break

@@ -868,3 +868,11 @@ def test_pipeline_stages_against_brute_force(spark):
     got = {r["doc_id"]: hashlib.sha256(r["text"].encode()).hexdigest() for r in out.collect()}
     assert got == {d: r[3] for d, r in brute_passages(list(near.items())).items()}
     assert {r[0] for r in stage["best-fit packing"](spark, out, SF).select("doc_id").distinct().collect()} == set(got)
+
+
+def test_blocks_evolve_on_every_level(spark):
+    """Several blocks whose bins all stay on the first level are packed as well as one block."""
+    sizes = hard_sizes(300)
+    pieces = spark.createDataFrame([(i, 0, 0, s, 0) for i, s in enumerate(sizes)], packing.PIECE_SCHEMA)
+    packed = packing.pack(pieces, block=150, islands=2, epochs=1, levels=2, keep_above=0.0).select("sequence_id").distinct().count()
+    assert packed < len(packing.best_fit(sizes, 4096))
