@@ -449,3 +449,16 @@ def test_grid_report_is_not_cut_at_the_copies_of_a_join(spark):
     df = spark.range(3000).select(F.lit(1).alias("key"), "id")
     row = grid_levels(df, df.withColumnRenamed("id", "rid"), "key", JoinConfig(cell_share=0, hot_threshold=6, max_copies=50)).first()
     assert row["cell_pairs"] <= 36 and row["grid_rows"] > 50
+
+
+def test_weighted_sublists_are_copied_as_one_row(spark):
+    from equiscale.operators import index
+    from equiscale.operators.keys import Sides
+
+    sides = Sides.of(*(spark.range(64).selectExpr("id % 2 AS key", f"id AS {n}") for n in "ab"), "key", weighted=True)
+    idx = index.cross_chunks(index.build_joined_index(sides), sides)
+    rows = idx.select("__k0", F.size("ls").alias("l"), F.size("rs").alias("r"), F.col("ls")[0]["__l_0"].alias("a"), F.col("rs")[0]["__r_0"].alias("b")).collect()
+    assert {(x["l"], x["r"]) for x in rows} == {(1, 1)}
+    for k in (0, 1):
+        mine, total = [x for x in rows if x["__k0"] == k], sum(range(k, 64, 2))
+        assert len(mine) == 16 and sum(x["a"] for x in mine) == sum(x["b"] for x in mine) == 4 * total
