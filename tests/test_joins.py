@@ -462,3 +462,19 @@ def test_weighted_sublists_are_copied_as_one_row(spark):
     for k in (0, 1):
         mine, total = [x for x in rows if x["__k0"] == k], sum(range(k, 64, 2))
         assert len(mine) == 16 and sum(x["a"] for x in mine) == sum(x["b"] for x in mine) == 4 * total
+
+
+@pytest.mark.parametrize("name", ["chunk_example", "communication", "hot_keys", "kappa_max", "level_bound", "memory_examples", "threshold_lambda"])
+def test_cost_queries_follow_their_tables(spark, tmp_path, name):
+    from equiscale.queries import QUERIES
+
+    got = []
+    for n in (400, 4000):
+        lines = spark.range(n).selectExpr("CAST(2 + id % 7 AS DOUBLE) AS l_quantity", "id % 9 AS l_partkey")
+        lines.write.parquet(str(tmp_path / f"{n}" / "lineitem.parquet"))
+        spark.range(n // 4).selectExpr("id AS p_partkey").write.parquet(str(tmp_path / f"{n}" / "part.parquet"))
+        got.append(sorted(map(tuple, QUERIES[f"cost_{name}"](spark, str(tmp_path / f"{n}")).collect())))
+    if name == "threshold_lambda":  # its counts of hot parts are all nine parts either way
+        assert {r[-1] for r in got[0]} == {9}
+    else:
+        assert got[0] != got[1]
