@@ -436,6 +436,25 @@ def test_broadcast_sides_go_in_pieces(bags, monkeypatch):
         assert bag(out) == nested_loop(left, right, how)
 
 
+def test_left_rows_are_read_once_for_all_pieces(spark, monkeypatch):
+    from equiscale.operators import small_large
+
+    l, r = (spark.range(100).selectExpr(f"id * {k} % 40 AS key", f"id AS {n}").repartition(3) for k, n in ((3, "a"), (7, "b")))
+    plans, cut = [], small_large.cut
+    monkeypatch.setattr(small_large, "cut", lambda df: plans.append(df._jdf.queryExecution().optimizedPlan().toString()) or cut(df))
+    monkeypatch.setattr(small_large, "PIECE_BYTES", 400)
+    want = bag(l.join(r, "key", "left"))
+    assert bag(baselines.broadcast_join(l, r, "key", "left")) == want
+    assert len(plans) > 3 and not any("Range (" in p for p in plans)
+    plans.clear()
+    monkeypatch.setattr(small_large, "PIECE_BYTES", 1700)  # of 2400 bytes; the added-up rows fit
+    from equiscale.operators.totals import join_totals
+
+    got = join_totals(baselines.broadcast_join, l, r, "key", "a", "b")
+    assert not plans and got.agg(F.sum("pairs")).first()[0] == l.join(r, "key").count()
+    assert small_large.grouped_pieces({0: 5, 1: 5, 3: 20, 4: 1}, 6, 10) == [[0, 1, 2], [3], [4, 5]]
+
+
 def test_exact_counts_where_a_summary_overflows(spark):
     df = spark.range(3000).select((F.col("id") % 900).alias("key")).repartition(4)
     for method in ("space_saving", "sketch"):
