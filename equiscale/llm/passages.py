@@ -31,7 +31,7 @@ from .common import lean
 from .suffixes import common_prefixes, locate, merge_windows, suffix_array, window_words
 
 LENGTH, GRAM = 50, 20
-SEGMENT = 1_000_000  # bytes that are hashed at once
+SEGMENT = 125_000  # bytes that are hashed at once: their arrays stay in a core's cache
 _PLACE = np.uint64((1 << 24) - 1)
 _TOP = np.uint64(32)
 _BASE = 0x9E3779B97F4A7C15
@@ -290,14 +290,24 @@ def _select(n_routes: int, length: int, gram: int):
             open_at = open_at[np.argsort(group[open_at], kind="stable")]
             first = np.flatnonzero(np.concatenate([[True], np.diff(group[open_at]) > 0])) if len(open_at) else open_at
             count = np.diff(np.append(first, len(open_at)))
-            place = np.zeros(len(open_at), _SPAN)
-            place["row"], place["a"] = t[open_at], a[open_at]
-            for route, i in _by_bucket(((h[open_at[first]] & _PLACE) % np.uint64(n_routes)).astype(np.int64)):
-                mine = group[open_at[first[i]]].tolist()
-                body = [bodies[g] for g in mine]
-                at = np.repeat(first[i] - (np.cumsum(count[i]) - count[i]), count[i]) + np.arange(count[i].sum())
-                head = np.array([len(body), len(at)], "<i8")
-                rows.append((route, shard, _pack(head, least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count[i].astype("<u4"), (h[open_at[first[i]]] >> np.uint64(32)).astype("<u4"), place[at]) + pa.compress(b"".join(body), codec="zstd", asbytes=True)))
+            key = h[open_at[first]]
+            route = ((key & _PLACE) % np.uint64(n_routes)).astype(np.int64)
+            by = np.argsort(route, kind="stable")
+            first, count, key, route = first[by], count[by], key[by], route[by]
+            # all columns in order of the routes: a route's part of each is one slice
+            ends = np.concatenate([[0], np.cumsum(count)])
+            at = open_at[np.repeat(first - ends[:-1], count) + np.arange(ends[-1])]
+            place = np.zeros(len(at), _SPAN)
+            place["row"], place["a"] = t[at], a[at]
+            mine = group[open_at[first]]
+            body = [bodies[g] for g in mine.tolist()]
+            cols = [memoryview(np.ascontiguousarray(x)).cast("B") for x in (least[mine].astype("<i8"), np.array([len(x) for x in body], "<u2"), count.astype("<u4"), (key >> _TOP).astype("<u4"), place.view(np.uint8))] if len(mine) else []
+            own, low = np.unique(route, return_index=True)
+            low = np.append(low, len(route))
+            codec = pa.Codec("zstd")
+            for r, x, y, u, v in zip(own.tolist(), low[:-1].tolist(), low[1:].tolist(), ends[low[:-1]].tolist(), ends[low[1:]].tolist()):
+                cut = [c[n * (u if n == _SPAN.itemsize else x) : n * (v if n == _SPAN.itemsize else y)] for c, n in zip(cols, (8, 2, 4, 4, _SPAN.itemsize))]
+                rows.append((r, shard, b"".join([np.array([y - x, v - u], "<i8").tobytes(), *cut, codec.compress(b"".join(body[x:y]), asbytes=True)])))
         return _rows(rows, "route", "shard", "blob")
 
     return run
@@ -306,19 +316,11 @@ def _select(n_routes: int, length: int, gram: int):
 def _with_cuts(raw: list[bytes], length: int, gram: int, hot: np.ndarray, plain: tuple[np.ndarray, ...], ask: np.ndarray):
     """The contexts with those of hot anchors cut, and which of them are candidates: a cut one always is."""
     is_hot = _among(plain[3] >> _TOP, hot)
-    texts = np.unique(plain[0][is_hot])
-    t, a, b, h, c = contexts([raw[k] for k in texts.tolist()], length, gram, hot)
-    # cut contexts lie inside the plain ones of hot anchors
-    t = texts[t]
-    plain_hot = np.flatnonzero(is_hot)
-    key = lambda x, y: (x.astype(np.int64) << 32) | y
-    begins = key(plain[0][plain_hot], plain[1][plain_hot])
-    order = np.argsort(begins)
-    at = np.searchsorted(begins[order], key(t, a), side="right") - 1
-    own = plain_hot[order[np.maximum(at, 0)]]
-    inside = (at >= 0) & (plain[0][own] == t) & (a <= plain[2][own])
+    text, begin, last = (x[is_hot] for x in plain[:3])
+    # the bytes of a context have its anchor: they alone give its cuts
+    own, a, b, h, c = contexts([raw[k][x:y] for k, x, y in zip(text.tolist(), begin.tolist(), (last + length).tolist())], length, gram, hot)
     keep = ask & ~is_hot
-    cut = [np.concatenate([x[keep], y[inside]]) for x, y in zip(plain, (t, a, b, h, c))]
+    cut = [np.concatenate([x[keep], y]) for x, y in zip(plain, (text[own], a + begin[own], b + begin[own], h, c))]
     return (*cut, np.ones(len(cut[0]), bool))
 
 
@@ -408,8 +410,10 @@ def _resolve(length: int, suffix_bytes: int):
         run_of = np.repeat(np.arange(len(of)), count[of])
         spot = place[np.repeat(begin[of] - (np.cumsum(count[of]) - count[of]), count[of]) + np.arange(len(run_of))]
         a = spot["a"].astype(np.int64)
-        s, row, x, y = shard[of][run_of], spot["row"].astype(np.int64), a + low[run_of], a + high[run_of]
-        return _rows([(k, _spans(*_merge_spans(row[i], x[i], y[i]))) for k, i in _by_bucket(s)], "shard", "blob")
+        row, x, y = _merge_spans((shard[of][run_of] << 32) | spot["row"].astype(np.int64), a + low[run_of], a + high[run_of])
+        own, low = np.unique(row >> 32, return_index=True)
+        every, low = memoryview(_spans(row & ((1 << 32) - 1), x, y)), np.append(low, len(row)) * _SPAN.itemsize
+        return _rows([(k, bytes(every[i:j])) for k, i, j in zip(own.tolist(), low[:-1].tolist(), low[1:].tolist())], "shard", "blob")
 
     return run
 

@@ -167,6 +167,21 @@ def test_strings_of_one_hash_are_told_apart_by_their_bytes():
     assert [bodies[g] for g in group] == [b"aaaa", b"bbbb", b"aaaa", b"cccc"] and len(bodies) == 3
 
 
+def test_cuts_of_hot_anchors_are_made_from_their_own_bytes(monkeypatch):
+    rng = random.Random(12)
+    words = LOREM.split()
+    raw = [" ".join(rng.choice(words) for _ in range(300)).encode() for _ in range(30)]
+    plain = passages.contexts(raw)
+    hot = np.unique(plain[3] >> passages._TOP)[::40]
+    among = passages._among(plain[3] >> passages._TOP, hot)
+    every = [x for x in zip(*(v.tolist() for v in passages.contexts(raw, hot=hot)))]
+    asked, real = [], passages.contexts
+    monkeypatch.setattr(passages, "contexts", lambda texts, *a, **k: asked.append(sum(map(len, texts))) or real(texts, *a, **k))
+    cut = passages._with_cuts(raw, passages.LENGTH, passages.GRAM, hot, plain, np.ones(len(plain[0]), bool))
+    assert sorted(zip(*(v.tolist() for v in cut[:5]))) == sorted(every)
+    assert 0 < asked[0] < sum(map(len, raw)) / 4 and among.any() and cut[5].all()
+
+
 def test_passages_on_documents_and_filter_form(spark, docs, odd):
     rows = local(docs)
     got = {r["doc_id"]: tuple(r)[1:] for r in passages.repeated_passages(docs, shard_bytes=40_000).collect()}
