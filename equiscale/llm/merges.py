@@ -137,11 +137,11 @@ class UnitCache:
         self._start, self._len, self._hits = (np.zeros(size, np.int64) for _ in range(3))
         self._start[: len(keep)], self._len[: len(keep)], self._hits[: len(keep)] = np.cumsum(lens) - lens, lens, hits[keep] // 2
 
-    def ids(self, units: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """All ids in order, and the number of ids of each unit."""
+    def ids(self, units: list[str], codes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """All ids in order, and the number of ids of each unit.  With ``codes`` the units are distinct and ``units[c]`` is meant for each code c."""
         if len(self._at) > self._limit:
             self._shrink()
-        new = [u for u in dict.fromkeys(units) if u not in self._at] if units else []
+        new = [u for u in (dict.fromkeys(units) if codes is None else units) if u not in self._at]
         if new:
             flat, lens = self._fill(new)
             n = len(self._at)
@@ -155,6 +155,8 @@ class UnitCache:
             self._used += len(flat)
             self._at.update(zip(new, range(n, n + len(new))))
         at = np.fromiter(map(self._at.__getitem__, units), np.int64, len(units))
+        if codes is not None:
+            at = at[codes]
         self._hits[: len(self._at)] += np.bincount(at, minlength=len(self._at))
         lens = self._len[at]
         total = int(lens.sum())

@@ -37,7 +37,7 @@ PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
 class WordCodec:
-    """A word-level tokenizer file with end-of-word merges.  Chunks between blanks are encoded once per worker.
+    """A word-level tokenizer file with end-of-word merges.  Chunks between blanks, and the words that they share, are encoded once per worker.
 
     Chunks of ASCII and Latin-1 letters go through the agenda of merges; a chunk with any other character goes to the tokenizers library.
     """
@@ -55,31 +55,31 @@ class WordCodec:
         shown = _byte_characters()
         self.first = np.array([vocab[shown[b]] for b in range(256)], np.int64)
         self.last = np.array([vocab[shown[b] + model["end_of_word_suffix"]] for b in range(256)], np.int64)
-        self.plain = re.compile("[!-~À-ÖØ-öø-ÿ]+").fullmatch
+        self.plain = re.compile("[ !-~À-ÖØ-öø-ÿ]*").fullmatch
         letters = "a-zªµºß-öø-ÿ"
-        self.words = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[0-9]|[^{letters}0-9]+").findall
-        self.cache = UnitCache(self._encode_chunks)
+        self.words = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[0-9]| |[^ {letters}0-9]+").findall
+        self.cache, self.word_cache = UnitCache(self._encode_chunks), UnitCache(self._encode_words, 300_000)
 
-    def _encode_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        split, odd = [], {}
-        for k, c in enumerate(chunks):
-            if self.plain(c) and "<|" not in c:
-                split.append((c,) if c.isascii() and c.isalpha() and c.islower() else self.words(c.lower()))
-            else:
-                split.append(())
-                if c:
-                    odd[k] = self.library.encode(c, add_special_tokens=False).ids
-        words = [w for s in split for w in s]
-        raw = "".join(words).encode()
-        size = np.fromiter((len(w) if w.isascii() else len(w.encode()) for w in words), np.int64, len(words))
-        code = np.frombuffer(raw, np.uint8)
+    def _encode_words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        size = pc.binary_length(pa.array(words, pa.string())).to_numpy().astype(np.int64)
+        code = np.frombuffer("".join(words).encode(), np.uint8)
         symbols = self.first[code]
         ends = np.cumsum(size) - 1
         symbols[ends] = self.last[code[ends]]
-        flat, lens = merge_words(symbols, size, self.table)
-        per = np.zeros(len(chunks), np.int64)
-        counts = np.fromiter(map(len, split), np.int64, len(split))
-        np.add.at(per, np.repeat(np.arange(len(chunks)), counts), lens)
+        return merge_words(symbols, size, self.table)
+
+    def _encode_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        line, odd = " ".join(chunks), {}
+        if "<|" in line or not self.plain(line):
+            odd = {k: self.library.encode(c, add_special_tokens=False).ids for k, c in enumerate(chunks) if "<|" in c or not self.plain(c)}
+            line = " ".join("" if k in odd else c for k, c in enumerate(chunks))
+        parts = self.words(line.lower())  # a blank ends each chunk but the last
+        gap = np.fromiter(map(" ".__eq__, parts), bool, len(parts))
+        flat, lens = self.word_cache.ids([w for w in parts if w != " "])
+        per = np.bincount(np.cumsum(gap)[~gap], lens, len(chunks)).astype(np.int64)
         if odd:
             out, at, begin = [], 0, np.concatenate([[0], np.cumsum(per)])
             for k in sorted(odd):
@@ -89,10 +89,16 @@ class WordCodec:
             flat = np.concatenate([*out, flat[at:]])
         return flat, per
 
-    def encode(self, batch: list[str]) -> list[np.ndarray]:
-        split = [t.replace("\n", " ").split(" ") for t in batch]
-        flat, lens = self.cache.ids([u for s in split for u in s])
-        ends = np.concatenate([[0], np.cumsum(lens)])[np.cumsum([0] + [len(s) for s in split])]
+    def encode(self, batch) -> list[np.ndarray]:
+        """Ids of each text of a list or an Arrow column.  Arrow splits at blanks and numbers the distinct chunks; only these are looked up."""
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        column = batch if isinstance(batch, pa.Array) else pa.array(batch, pa.string())
+        split = pc.split_pattern(pc.replace_substring(column, "\n", " "), " ")
+        chunks = pc.dictionary_encode(split.flatten())
+        flat, lens = self.cache.ids(chunks.dictionary.to_pylist(), chunks.indices.to_numpy())
+        ends = np.concatenate([[0], np.cumsum(lens)])[np.concatenate([[0], np.cumsum(split.value_lengths().to_numpy())])]
         return [flat[a:b] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist())]
 
 
@@ -116,9 +122,9 @@ def token_pieces(docs: DataFrame, tokenizer: str, *, capacity: int = 4096, end_i
 
         codec = word_codec(tokenizer)
         for batch in batches:
-            for part in text_chunks(batch):
+            for part in text_chunks(batch, 4_000_000):
                 ids_of, cols = part.column(0).to_pylist(), ([], [], [], [], [])
-                for doc, ids in zip(ids_of, codec.encode(part.column(1).to_pylist())):
+                for doc, ids in zip(ids_of, codec.encode(part.column(1))):
                     ids = np.append(ids, end_id).astype("<u4")
                     for k, at in enumerate(range(0, len(ids), capacity)):
                         own = ids[at : at + capacity]
@@ -159,11 +165,15 @@ class Bins:
         self._open(b, room - size)
 
 
+def load(items: list[int], sizes: list[int]) -> int:
+    return sum(map(sizes.__getitem__, items))
+
+
 def best_fit(sizes: list[int], capacity: int, items=None, bins: list[list[int]] | None = None, noise: random.Random | None = None) -> list[list[int]]:
     """Best fit of ``items`` (largest first; with ``noise``, about so) into ``bins`` and new ones."""
     open_bins = Bins(capacity)
     for b in bins or ():
-        open_bins.add(b, sum(sizes[i] for i in b))
+        open_bins.add(b, load(b, sizes))
     key = (lambda i: -sizes[i] * noise.uniform(0.8, 1.0)) if noise else (lambda i: -sizes[i])
     for i in sorted(range(len(sizes)) if items is None else items, key=key):
         open_bins.put(i, sizes[i])
@@ -171,14 +181,16 @@ def best_fit(sizes: list[int], capacity: int, items=None, bins: list[list[int]]
 
 
 def fitness(bins: list[list[int]], sizes: list[int], capacity: int) -> float:
-    return sum((sum(sizes[i] for i in b) / capacity) ** 2 for b in bins) / max(1, len(bins))
+    return sum((load(b, sizes) / capacity) ** 2 for b in bins) / max(1, len(bins))
 
 
 def swap_in(bins: list[list[int]], displaced: list[int], sizes: list[int], capacity: int) -> list[int]:
     """Trades a piece of a bin for a larger displaced one that still fits, bin by bin; returns what is displaced then, smaller than before and easier to place."""
     ranked = sorted((sizes[i], i) for i in displaced)
     for x in bins:
-        room = capacity - sum(sizes[i] for i in x)
+        room = capacity - load(x, sizes)
+        if not room:
+            continue
         best = (0, 0, 0)
         for k, i in enumerate(x):
             at = bisect_right(ranked, (sizes[i] + room, len(sizes))) - 1
@@ -194,7 +206,7 @@ def swap_in(bins: list[list[int]], displaced: list[int], sizes: list[int], capac
 
 def crossover(a: list[list[int]], b: list[list[int]], sizes: list[int], capacity: int, rng: random.Random) -> list[list[int]]:
     """Whole well-filled bins of ``b`` go into ``a``; bins of ``a`` that hold one of their pieces go, and their other pieces are put back."""
-    ranked = sorted(b, key=lambda x: -sum(sizes[i] for i in x))
+    ranked = sorted(b, key=lambda x: -load(x, sizes))
     give = [list(x) for x in ranked[: max(1, len(ranked) // 2)] if rng.random() < 0.5]
     taken = {i for x in give for i in x}
     keep, displaced = [], []
@@ -209,7 +221,7 @@ def crossover(a: list[list[int]], b: list[list[int]], sizes: list[int], capacity
 
 def mutate(bins: list[list[int]], sizes: list[int], capacity: int, rng: random.Random) -> list[list[int]]:
     """The emptiest bins and a few others are opened, their pieces traded for smaller ones where that fills a bin, and the rest put back in a noisy order."""
-    ranked = sorted((list(b) for b in bins), key=lambda x: sum(sizes[i] for i in x))
+    ranked = sorted((list(b) for b in bins), key=lambda x: load(x, sizes))
     n = max(1, len(ranked) // 20)
     out, rest = ranked[:n], ranked[n:]
     rng.shuffle(rest)

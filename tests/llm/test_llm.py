@@ -550,6 +550,22 @@ def test_packing_is_whole_and_tight(spark, docs, odd):
     assert packing.pack_documents(empty(odd), tokenizer_file("word_bpe_49k.json")).count() == 0
 
 
+def test_chunks_of_known_words_need_no_merges(monkeypatch):
+    import pyarrow as pa
+
+    codec, merged = packing.WordCodec(tokenizer_file("word_bpe_49k.json")), []
+    plain = packing.merge_words
+    monkeypatch.setattr(packing, "merge_words", lambda flat, size, table: merged.append(len(size)) or plain(flat, size, table))
+    rows = ["", "other", "alpha beta, (gamma) don't", "Alpha, (BETA) Gamma don'T alpha(beta)\nGamma,alpha", "\n ", "naïve <|endoftext|> alpha\tbeta 12 日本 ÉÉ!", "alpha  beta, "]
+    assert codec.encode([]) == []
+    column = pa.array(rows, pa.string())
+    for at, n, new in ((2, 1, 8), (3, 1, 0), (4, 3, 5)):  # alpha beta , ( gamma ) don 't; nothing; naïve 1 2 éé !
+        merged.clear()
+        got = codec.encode(column.slice(at, n))
+        assert [x.tolist() for x in got] == [codec.library.encode(t, add_special_tokens=False).ids for t in rows[at : at + n]]
+        assert sum(merged) == new
+
+
 def hard_sizes(n=1200, seed=3):
     """Pieces of a fifth to a half of a sequence: best fit leaves much room."""
     rng = random.Random(seed)
